@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, langid, media, simhash, toxicity
+from . import binary_ids, bpe, chat, langid, media, simhash, toxicity
 from .base import table
 
 PIECES = "piece_bpe_32k.model"
@@ -20,6 +20,11 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
 
 
+def op2_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    files = binary_ids.write(table(spark, sf_dir, "documents"), public_tokenizers.path(WORD_BPE))
+    return binary_ids.read(spark, files)
+
+
 def op4_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.digests(table(spark, sf_dir, "documents"))
 
@@ -29,6 +34,10 @@ def op5_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.predict(docs, langid.train(docs, langid.public_pieces(public_tokenizers.path(PIECES))))
 
 
+def op6_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe.digests(table(spark, sf_dir, "documents"), public_tokenizers.path(WORD_BPE))
+
+
 def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(table(spark, sf_dir, "documents"))
     return found.select("doc_id", simhash.hex_digits().alias("fingerprint"), F.col("component_id"))
