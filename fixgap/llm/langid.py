@@ -22,6 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .base import materialise
+
 WORD = re.compile(r"[^\W\d_]+")
 SAMPLE_DOCS = 1000  # labelled documents a language that the model is fitted on, at most
 MAX_WORDS = 12_000  # most frequent distinct words a language used in fitting
@@ -48,7 +50,7 @@ class Lattice:
     """
 
     def __init__(self, pieces: list[str]):
-        self.ids = {p: i for i, p in enumerate(pieces)}
+        self.ids = {p[:k]: -1 for p in pieces for k in range(1, len(p))} | {p: i for i, p in enumerate(pieces)}  # -1: a beginning only
         self.longest = max(map(len, pieces), default=1)
         self.unknown = len(pieces)
 
@@ -59,14 +61,16 @@ class Lattice:
         out = np.full((len(words), n + 1, L + 1), -1, np.int32)
         get = self.ids.get
         for w, word in enumerate(words):
-            s, row = " " + word, out[w]
-            for end in range(1, n + 1):
-                for k in range(1, min(end, L) + 1):
-                    i = get(s[end - k : end])
-                    if i is not None:
-                        row[end, k] = i
-                if row[end, 1] < 0:
-                    row[end, 1] = self.unknown
+            s = " " + word
+            for start in range(n):
+                for end in range(start + 1, min(start + L, n) + 1):
+                    i = get(s[start:end])
+                    if i is None:
+                        break
+                    if i >= 0:
+                        out[w, end, end - start] = i
+        single = out[:, 1:, 1]
+        single[single < 0] = self.unknown
         return out
 
 
@@ -84,6 +88,22 @@ def forward(lattice: np.ndarray, logp: np.ndarray) -> np.ndarray:
     return alpha
 
 
+def word_probability(lattice: np.ndarray, logp: np.ndarray) -> np.ndarray:
+    """Log of forward's last column: [word, language]. Short words need no logarithms on the way."""
+    W, n1, L1 = lattice.shape
+    if n1 > 30:
+        return forward(lattice, logp)[:, -1]
+    p = np.append(np.exp(logp), np.zeros((1, logp.shape[1])), axis=0)  # the last row is for no piece
+    alpha = np.zeros((n1, W, logp.shape[1]))
+    alpha[0] = 1
+    for end in range(1, n1):
+        for k in range(1, min(end, L1 - 1) + 1):
+            ids = lattice[:, end, k]
+            if (ids >= 0).any():
+                alpha[end] += alpha[end - k] * p[ids]
+    return np.log(alpha[-1])
+
+
 def expected(lattice: np.ndarray, logp: np.ndarray, weight: np.ndarray) -> np.ndarray:
     """Expected uses of each piece over all segmentations, weighted by word counts: [piece, language]."""
     W, n1, L1 = lattice.shape
@@ -135,7 +155,7 @@ class Model:
         self._lattice = self._lattice or Lattice(self.pieces)
         out = np.zeros((len(words), len(self.langs)))
         for block in by_length(words):
-            out[block] = forward(self._lattice.of([words[i] for i in block]), self.logp)[:, -1]
+            out[block] = word_probability(self._lattice.of([words[i] for i in block]), self.logp)
         return out
 
 
@@ -184,7 +204,7 @@ def train(docs: DataFrame, pieces: list[str], sample_docs: int = SAMPLE_DOCS) ->
         yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.string()), pa.array(cols[1], pa.string()), pa.array(cols[2], pa.int64())], names=["lang", "word", "n"])
 
     words = sample.select(F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).mapInArrow(count, "lang string, word string, n long")
-    ranked = words.groupBy("lang", "word").agg(F.sum("n").alias("n"))
+    ranked = materialise(words.groupBy("lang", "word").agg(F.sum("n").alias("n")), "words")
     counts: dict[str, Counter] = {}
     for lang in sorted(totals):
         top = ranked.where(F.col("lang") == lang).orderBy(F.desc("n"), "word").limit(MAX_WORDS).select("word", "n").toPandas()
