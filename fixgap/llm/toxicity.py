@@ -9,7 +9,7 @@ Texts are scored whole. Words are runs of letters and digits, lower-cased; a beg
 
 Nulls: a null text is scored as an empty one, which has no feature; a null doc_id is never held out. Labels that are null
 or belong to no document are ignored; of repeated labels of one document the highest counts. Repeated rows stay; extra
-columns are ignored; without any confirmed toxic document every score is the prior 0.
+columns are ignored; without any confirmed toxic document every score is next to 0.
 """
 
 from __future__ import annotations
@@ -23,6 +23,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .base import materialise
+
 WORD = re.compile(r"[^\W_]+")
 POSITIVES, UNLABELLED = 3000, 6000  # documents that the classifier is fitted on, in expectation at most
 FEATURES = 1000
@@ -69,16 +71,21 @@ class Model:
             yield 1 / (1 + np.exp(-np.clip(out, -60, 60)))
 
 
-def choose_features(pos: list[set[str]], unl: list[set[str]], most: int = FEATURES) -> list[str]:
-    """Features of at least three positives, ranked by the significance of their excess over the unlabelled."""
-    p, u = Counter(f for s in pos for f in s), Counter(f for s in unl for f in s)
-    names = sorted(f for f, n in p.items() if n >= 3)
-    a = np.array([p[f] for f in names]) / max(len(pos), 1)
-    b = np.array([u[f] for f in names]) / max(len(unl), 1)
-    both = (a * len(pos) + b * len(unl)) / max(len(pos) + len(unl), 1)
-    z = (a - b) / np.sqrt(both * (1 - both) * (1 / max(len(pos), 1) + 1 / max(len(unl), 1)) + 1e-9)
-    order = sorted(range(len(names)), key=lambda i: (-abs(z[i]), names[i]))[:most]
-    return [names[i] for i in order if abs(z[i]) > 6]
+def choose_features(sample: DataFrame, n_pos: int, n_unl: int, most: int = FEATURES) -> list[str]:
+    """Features of at least three positives and a fiftieth of them, ranked by the significance of their excess over the unlabelled; counted on the executors."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            found = (Counter(), Counter())
+            for text, toxic in zip(b.column("text").to_pylist(), b.column("toxic").to_pylist(), strict=True):
+                found[toxic].update(doc_features(text))
+            for toxic, c in enumerate(found):
+                yield pa.RecordBatch.from_arrays([pa.array(list(c), pa.string()), pa.array([n * toxic for n in c.values()], pa.int64()), pa.array([n * (1 - toxic) for n in c.values()], pa.int64())], names=["feature", "p", "u"])
+
+    counts = sample.select("text", "toxic").mapInArrow(count, "feature string, p long, u long").groupBy("feature").agg(F.sum("p").alias("p"), F.sum("u").alias("u")).where(F.col("p") >= max(3, n_pos // 50))
+    both = (F.col("p") + F.col("u")) / float(n_pos + n_unl)
+    z = F.abs(F.col("p") / float(n_pos) - F.col("u") / float(n_unl)) / F.sqrt(both * (1 - both) * (1 / n_pos + 1 / n_unl) + 1e-9)
+    return [r["feature"] for r in counts.withColumn("z", z).where("z > 6").orderBy(F.desc("z"), "feature").limit(most).collect()]
 
 
 def nn_pu(x_pos: np.ndarray, x_unl: np.ndarray, prior: float, epochs: int = 150, batches: int = 8, rate: float = 0.02, l2: float = 1e-5, beta: float = 0.0, gamma: float = 1.0, seed: int = 7) -> tuple[np.ndarray, float]:
@@ -94,14 +101,15 @@ def nn_pu(x_pos: np.ndarray, x_unl: np.ndarray, prior: float, epochs: int = 150,
             if not len(a) or not len(b):
                 continue
             xp, xu = x_pos[a], x_unl[b]
-            zp, zu = xp @ w[:-1] + w[-1], xu @ w[:-1] + w[-1]
+            w32 = w[:-1].astype(np.float32)
+            zp, zu = xp @ w32 + w[-1], xu @ w32 + w[-1]
             negative = soft(zu).mean() - prior * soft(zp).mean()
-            gu, gp = sig(zu) / len(b), prior * sig(zp) / len(a)
+            gu, gp = (sig(zu) / len(b)).astype(np.float32), (prior * sig(zp) / len(a)).astype(np.float32)
             neg_w = np.append(xu.T @ gu - xp.T @ gp, gu.sum() - gp.sum())
             if negative < -beta:
                 grad = -gamma * neg_w
             else:
-                gq = prior * (sig(zp) - 1) / len(a)
+                gq = (prior * (sig(zp) - 1) / len(a)).astype(np.float32)
                 grad = np.append(xp.T @ gq, gq.sum()) + neg_w
             grad[:-1] += l2 * w[:-1]
             step += 1
@@ -110,38 +118,47 @@ def nn_pu(x_pos: np.ndarray, x_unl: np.ndarray, prior: float, epochs: int = 150,
     return w[:-1], float(w[-1])
 
 
-def fit(pos: list[str], unl: list[str], prior: float) -> Model:
-    if not pos or not unl:
+def fit(sample: DataFrame, prior: float) -> Model:
+    """sample: text, toxic (1: confirmed, 0: unlabelled), of bounded size. Only feature places reach the driver."""
+    sizes = {r["toxic"]: r["n"] for r in sample.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
+    if not sizes.get(1) or not sizes.get(0):
         return Model([], np.zeros(0), -60.0, prior)
-    ps, us = [doc_features(t) for t in pos], [doc_features(t) for t in unl]
-    names = choose_features(ps, us)
-    index = {n: i for i, n in enumerate(names)}
-
-    def matrix(sets: list[set[str]]) -> np.ndarray:
-        x = np.zeros((len(sets), len(names)), np.float32)
-        for r, s in enumerate(sets):
-            for f in s:
-                if (i := index.get(f)) is not None:
-                    x[r, i] = 1
+    names = choose_features(sample, sizes[1], sizes[0])
+
+    def places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        index = {n: i for i, n in enumerate(names)}
+        for b in batches:
+            found = [sorted(index[f] for f in doc_features(t) if f in index) for t in b.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("toxic"), pa.array(found, pa.list_(pa.int32()))], names=["doc_id", "toxic", "places"])
+
+    rows = sample.select("doc_id", "toxic", "text").mapInArrow(places, "doc_id long, toxic int, places array<int>").toPandas()
+    rows = rows.iloc[sorted(range(len(rows)), key=lambda i: (rows.doc_id[i], tuple(rows.places[i])))]
+
+    def matrix(some) -> np.ndarray:
+        x = np.zeros((len(some), len(names)), np.float32)
+        for r, at in enumerate(some):
+            x[r, at] = 1
         return x
 
-    w, bias = nn_pu(matrix(ps), matrix(us), prior)
+    w, bias = nn_pu(matrix(rows.places[rows.toxic == 1]), matrix(rows.places[rows.toxic == 0]), prior)
     return Model(names, w, bias, prior)
 
 
 def train(docs: DataFrame, labels: DataFrame, positives: int = POSITIVES, unlabelled: int = UNLABELLED) -> Model:
     """Sample confirmed toxic and other documents outside the held-out fold by the hash of their ids, and fit."""
+    nothing = Model([], np.zeros(0), -60.0, 0.0)
     lab = labels.where(~held_out()).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max(F.col("toxic").cast("int")).alias("toxic")).where("doc_id IS NOT NULL AND toxic IS NOT NULL")
     n, toxic = lab.agg(F.count(F.lit(1)), F.coalesce(F.sum("toxic"), F.lit(0))).first()
     total = docs.count()
     if not toxic or not total:
-        return fit([], [], 0.0)
+        return nothing
     u = F.pmod(F.xxhash64(F.col("doc_id").cast("string")), F.lit(1 << 20)) / float(1 << 20)
-    base = docs.where(~held_out() & F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).withColumn("u", u)
     p_share, u_share = min(1.0, positives / toxic), min(1.0, unlabelled / total)
-    rows = base.where(F.col("u") < max(p_share, u_share)).join(lab.where("toxic = 1"), "doc_id", "left").where((F.col("toxic").isNotNull() & (F.col("u") < p_share)) | (F.col("toxic").isNull() & (F.col("u") < u_share)))
-    got = rows.select("doc_id", "text", F.coalesce("toxic", F.lit(0)).alias("toxic")).toPandas().sort_values(["doc_id", "text"])
-    return fit(got.text[got.toxic == 1].tolist(), got.text[got.toxic == 0].tolist(), toxic / n)
+    train_docs = docs.where(~held_out() & F.col("doc_id").isNotNull() & (u < max(p_share, u_share))).select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+    ids = train_docs.select("doc_id").distinct().join(lab.where("toxic = 1"), "doc_id", "left").withColumn("u", u)
+    ids = ids.where((F.col("toxic").isNotNull() & (F.col("u") < p_share)) | (F.col("toxic").isNull() & (F.col("u") < u_share))).select("doc_id", F.coalesce("toxic", F.lit(0)).alias("toxic"))
+    sample = materialise(train_docs.join(F.broadcast(ids), "doc_id"), "toxic-sample")  # ids: positives + unlabelled at most, in expectation
+    return fit(sample, toxic / n)
 
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
