@@ -70,10 +70,8 @@ def write(docs: DataFrame, tokenizer: str, end_id: int | None = 2, url: str | No
                 fs.create_dir(path, recursive=True)
                 out = fs.open_output_stream(f"{path}/{name}.bin")
             for first, texts in words.batches_of(b.column("raw").to_pylist()):
-                split = [t.split() for t in texts]
-                table.learn(split)
-                flat = [w for ws in split for w in ws]
-                at = table.at(flat)
+                split = [words.split(t) for t in texts]
+                at = table.places([w for ws in split for w in ws])
                 n = table.lens[at]
                 edges = np.concatenate([[0], np.cumsum([len(ws) for ws in split])])
                 sums = np.concatenate([[0], np.cumsum(n)])

@@ -41,7 +41,7 @@ def _ask(n_buckets: int):
         seen: dict[int, set[bytes]] = {}
         for b in batches:
             for chunk, text in zip(b.column("chunk").to_pylist(), b.column("raw").to_pylist(), strict=True):
-                seen.setdefault(chunk, set()).update((text or b"").split())
+                seen.setdefault(chunk, set()).update(words.split(text or b""))
         for chunk in list(seen):
             found = _buckets(seen.pop(chunk), n_buckets)
             blobs = [zlib.compress(b"\n".join(ws), 1) for ws in found.values()]
@@ -57,8 +57,7 @@ def _answer(tokenizer: str, dtype: str):
             out = []
             for blob in b.column("words").to_pylist():
                 ws = zlib.decompress(blob).split(b"\n")
-                table.learn([ws])
-                at = table.at(ws)
+                at = table.places(ws)
                 out.append(zlib.compress(table.lens[at].astype("<u4").tobytes() + table.ids(at).tobytes(), 1))
             yield pa.RecordBatch.from_arrays([b.column("chunk"), b.column("bucket"), pa.array(out, pa.binary())], names=["chunk", "bucket", "ids"])
 
@@ -95,7 +94,7 @@ def _join(docs: DataFrame, tokenizer: str, finish, schema: str) -> DataFrame:
     answered = asked.repartition(buckets, "bucket").mapInArrow(_answer(tokenizer, dtype), "chunk long, bucket long, ids binary")
 
     def solve(left: pa.Table, right: pa.Table) -> pa.Table:
-        texts = [(t or b"").split() for t in left.column("raw").to_pylist()]
+        texts = [words.split(t or b"") for t in left.column("raw").to_pylist()]
         return finish(left.column("doc_id"), texts, *_lookup(texts, right, buckets, dtype))
 
     return chunks.groupBy("chunk").cogroup(answered.repartition(n, "chunk").groupBy("chunk")).applyInArrow(solve, schema)

@@ -1,18 +1,30 @@
 """Encoding distinct words with the tokenizers library, and gathering their ids back by position.
 
-A text is split at ASCII white space. The library's pre-tokenizer never joins characters across white space, and neither
-its normaliser nor its special tokens reach across it, so a text's ids are the ids of its pieces between white space, in order.
+A text is split at ASCII white space, and a comma or full stop at a word's end is split off after an ASCII letter or digit.
+The library's pre-tokenizer never joins characters across these places, and neither its normaliser nor its special tokens
+reach across them, so a text's ids are the ids of the words, in order. ASCII capitals are lowered beforehand, as the
+normaliser will, except in texts with combining marks, which compose differently by case, or with a special token's opening.
 """
 
 from __future__ import annotations
 
 import os
+import re
 
 import numpy as np
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
 
+_TAIL = re.compile(rb"(?<=[A-Za-z0-9])([.,])(?=[ \n]|$)")
+
+
+def split(text: bytes) -> list[bytes]:
+    if b"<|" not in text and b"\xcc" not in text and b"\xcd" not in text:
+        text = _TAIL.sub(rb" \1", text.lower())
+    return text.split()
+
+
 def load(path: str):
     from tokenizers import Tokenizer
 
@@ -32,15 +44,18 @@ def width(path: str) -> str:
     return "<u2" if len(pieces(path)) <= 1 << 16 else "<u4"
 
 
-def encode_words(tokenizer, words: list[bytes], dtype: str) -> tuple[np.ndarray, np.ndarray]:
-    """Flat ids of words one after another, and each word's number of ids."""
+def encode_words(tokenizer, words: list[bytes], dtype: str, together: int = 400) -> tuple[np.ndarray, np.ndarray]:
+    """Flat ids of words one after another, and each word's number of ids. Words are encoded in runs; a token's offset tells its word."""
     flat: list[np.ndarray] = []
-    lens = np.zeros(len(words), np.int64)
-    for start in range(0, len(words), 20_000):
-        got = [e.ids for e in tokenizer.encode_batch_fast([w.decode() for w in words[start : start + 20_000]], add_special_tokens=False)]
-        lens[start : start + len(got)] = [len(x) for x in got]
-        flat.append(np.array([i for x in got for i in x], dtype))
-    return (np.concatenate(flat) if flat else np.zeros(0, dtype)), lens
+    lens: list[np.ndarray] = []
+    for start in range(0, len(words), together):
+        run = [w.decode() for w in words[start : start + together]]
+        got = tokenizer.encode(" ".join(run), add_special_tokens=False)
+        begins = np.cumsum([0] + [len(w) + 1 for w in run[:-1]])
+        at = np.fromiter((a for a, _ in got.offsets), np.int64, len(got.ids))
+        flat.append(np.array(got.ids, dtype))
+        lens.append(np.bincount(np.searchsorted(begins, at, side="right") - 1, minlength=len(run)))
+    return (np.concatenate(flat), np.concatenate(lens)) if flat else (np.zeros(0, dtype), np.zeros(0, np.int64))
 
 
 class Table:
@@ -54,23 +69,24 @@ class Table:
         self.index: dict[bytes, int] = {}
         self.flat, self.start, self.lens = np.zeros(0, self.dtype), np.zeros(0, np.int64), np.zeros(0, np.int64)
 
-    def learn(self, docs: list[list[bytes]]) -> None:
-        index = self.index
-        fresh = {w for ws in docs for w in ws if w not in index} if index else set().union(*docs)
-        if self.room and index and len(index) + len(fresh) > self.room:
-            self.clear()
-            index, fresh = self.index, set().union(*docs)
-        if not fresh:
-            return
-        new = list(fresh)
+    def places(self, words: list[bytes]) -> np.ndarray:
+        """Places of the words in this table, which learns those that it lacks."""
+        at = list(map(self.index.get, words))
+        if None in at:
+            fresh = {w for w, i in zip(words, at, strict=True) if i is None}
+            if self.room and self.index and len(self.index) + len(fresh) > self.room:
+                self.clear()
+                fresh = set(words)
+            self.learn(list(fresh))
+            at = list(map(self.index.__getitem__, words))
+        return np.array(at, np.int64)
+
+    def learn(self, new: list[bytes]) -> None:
         flat, lens = encode_words(self.tokenizer, new, self.dtype)
-        index.update(zip(new, range(len(index), len(index) + len(new)), strict=True))
+        self.index.update(zip(new, range(len(self.index), len(self.index) + len(new)), strict=True))
         self.start = np.concatenate([self.start, len(self.flat) + np.cumsum(lens) - lens])
         self.flat, self.lens = np.concatenate([self.flat, flat]), np.concatenate([self.lens, lens])
 
-    def at(self, words: list[bytes]) -> np.ndarray:
-        return np.fromiter(map(self.index.__getitem__, words), np.int64, len(words))
-
     def ids(self, at: np.ndarray) -> np.ndarray:
         return gather(self.flat, self.start, self.lens, at)
 
