@@ -55,7 +55,7 @@ def write(docs: DataFrame, tokenizer: str, end_id: int | None = 2, url: str | No
     dtype = words.width(tokenizer)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = words.Table(words.load(tokenizer), dtype, CACHE_WORDS)
+        table = words.table_of_worker(tokenizer, dtype, CACHE_WORDS)
         task = TaskContext.get()
         name = f"part-{task.partitionId():06d}-{task.taskAttemptId()}"
         fs, path = _open(url)

@@ -24,6 +24,7 @@ from . import words
 
 CHUNK_BYTES = 16 << 20
 MAX_BUCKETS = 4096
+MAX_PARTITIONS = 50_000
 DIGESTS = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 
 
@@ -45,7 +46,7 @@ def _ask(n_buckets: int):
         for chunk in list(seen):
             found = _buckets(seen.pop(chunk), n_buckets)
             blobs = [zlib.compress(b"\n".join(ws), 1) for ws in found.values()]
-            yield pa.RecordBatch.from_arrays([pa.array([chunk] * len(found), pa.int64()), pa.array(list(found), pa.int64()), pa.array(blobs, pa.binary())], names=["chunk", "bucket", "words"])
+            yield pa.RecordBatch.from_arrays([pa.array([chunk] * len(found), pa.int32()), pa.array(list(found), pa.int32()), pa.array(blobs, pa.binary())], names=["chunk", "bucket", "words"])
 
     return run
 
@@ -89,15 +90,21 @@ def _join(docs: DataFrame, tokenizer: str, finish, schema: str) -> DataFrame:
     n = max(1, -(-size // CHUNK_BYTES))
     buckets = min(n, MAX_BUCKETS)
     # by both, so that neither rows of one doc_id nor copies of one text meet in one chunk
-    chunks = rows.select("doc_id", "raw", F.pmod(F.xxhash64("doc_id", "raw"), F.lit(n)).alias("chunk")).repartition(n, "chunk")
-    asked = chunks.mapInArrow(_ask(buckets), "chunk long, bucket long, words binary")
-    answered = asked.repartition(buckets, "bucket").mapInArrow(_answer(tokenizer, dtype), "chunk long, bucket long, ids binary")
+    chunks = rows.select("doc_id", "raw", F.pmod(F.xxhash64("doc_id", "raw"), F.lit(n)).cast("int").alias("chunk"))
+    chunks = _deal(chunks, n)
+    asked = chunks.mapInArrow(_ask(buckets), "chunk int, bucket int, words binary")
+    answered = asked.repartitionById(buckets, F.col("bucket")).mapInArrow(_answer(tokenizer, dtype), "chunk int, bucket int, ids binary")
 
     def solve(left: pa.Table, right: pa.Table) -> pa.Table:
         texts = [words.split(t or b"") for t in left.column("raw").to_pylist()]
         return finish(left.column("doc_id"), texts, *_lookup(texts, right, buckets, dtype))
 
-    return chunks.groupBy("chunk").cogroup(answered.repartition(n, "chunk").groupBy("chunk")).applyInArrow(solve, schema)
+    return chunks.groupBy("chunk").cogroup(_deal(answered, n).groupBy("chunk")).applyInArrow(solve, schema)
+
+
+def _deal(df: DataFrame, n: int) -> DataFrame:
+    """A chunk is a partition; where there are very many, partitions hold several chunks."""
+    return df.repartitionById(n, F.col("chunk")) if n <= MAX_PARTITIONS else df.repartition(MAX_PARTITIONS, "chunk")
 
 
 def encode(docs: DataFrame, tokenizer: str) -> DataFrame:

@@ -20,6 +20,7 @@ from __future__ import annotations
 import re
 from collections import defaultdict
 from collections.abc import Iterator
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -29,7 +30,8 @@ from pyspark.sql import functions as F
 WORD = re.compile(r"[^\W_]+")
 MIN_WORDS = 5
 EDITS = 0.2  # of an item's words
-WALKS, KEYS, SAMPLED = 24, 6, 3
+WALKS, KEYS, SAMPLED = 10, 8, 5
+OTHER = 1 << 40  # stands in windows for words that no item has
 BLOCK_WORDS = 2_000_000  # words of a block of items: about 100 MB at most where it is used
 SCHEMA = "doc_id long, item_id long, first_word long, n_words long, edits long, similarity double"
 
@@ -48,30 +50,33 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(33))
 
 
-def embed(windows: np.ndarray, walk: int) -> np.ndarray:
-    """windows [B, n] of word ids -> [B, 3n]: the walk's word at each step; 0 once the window is used up."""
+def embed(windows: np.ndarray) -> np.ndarray:
+    """windows [B, n] of word ids -> [WALKS, B, 3n]: each walk's word at each step; 0 once the window is used up."""
     B, n = windows.shape
-    padded = np.concatenate([windows, np.zeros((B, 1), windows.dtype)], axis=1)
-    at = np.zeros(B, np.int64)
-    rows = np.arange(B)
-    out = np.empty((B, 3 * n), windows.dtype)
+    padded = np.concatenate([windows, np.zeros((B, 1), windows.dtype)], axis=1).ravel()
+    base = np.tile(np.arange(B) * (n + 1), WALKS)
+    walk = np.repeat(np.arange(WALKS, dtype=np.uint64), B) * np.uint64(0xD1342543DE82EF95)
+    at = np.zeros(WALKS * B, np.int64)
+    out = np.empty((3 * n, WALKS * B), windows.dtype)
     for step in range(3 * n):
-        here = padded[rows, at]
-        out[:, step] = here
-        salt = np.uint64((walk * 1_000_003 + step) * 0x9E3779B97F4A7C15 & (1 << 64) - 1)
-        at = np.minimum(at + (_mix(here.astype(np.uint64) + salt) & np.uint64(1)).astype(np.int64), n)
-    return out
-
-
-def keys(embedded: np.ndarray, walk: int) -> np.ndarray:
-    """[B, 3n] -> [B, KEYS] hashes of the words at a few random places each."""
-    rng = np.random.default_rng([walk, embedded.shape[1]])
-    out = np.empty((len(embedded), KEYS), np.uint64)
-    for k in range(KEYS):
-        h = np.full(len(embedded), np.uint64(walk * KEYS + k + 1))
-        for place in rng.integers(0, embedded.shape[1], SAMPLED):
-            h = _mix(h * np.uint64(0x9E3779B97F4A7C15) + embedded[:, place].astype(np.uint64))
-        out[:, k] = h
+        here = padded[base + at]
+        out[step] = here
+        bit = _mix(here.astype(np.uint64) + walk + np.uint64(step * 0x9E3779B97F4A7C15 & (1 << 64) - 1)) & np.uint64(1)
+        at = np.minimum(at + bit.astype(np.int64), n)
+    return out.T.reshape(WALKS, B, 3 * n)
+
+
+def keys(windows: np.ndarray) -> np.ndarray:
+    """[B, n] -> [B, WALKS * KEYS] hashes of each embedding's words at a few random places."""
+    embedded = embed(windows)
+    out = np.empty((len(windows), WALKS * KEYS), np.uint64)
+    for walk in range(WALKS):
+        rng = np.random.default_rng([walk, windows.shape[1]])
+        for k in range(KEYS):
+            h = np.full(len(windows), np.uint64(walk * KEYS + k + 1))
+            for place in rng.integers(0, 3 * windows.shape[1], SAMPLED):
+                h = _mix(h * np.uint64(0x9E3779B97F4A7C15) + embedded[walk, :, place].astype(np.uint64))
+            out[:, walk * KEYS + k] = h
     return out
 
 
@@ -105,79 +110,108 @@ class Items:
             if len(ws) >= MIN_WORDS:
                 self.ids.append(item_id)
                 self.items.append(np.array([self.vocab.setdefault(w, len(self.vocab) + 1) for w in ws], np.int64))
-        bits = max(20, int(np.ceil(np.log2(64 * max(1, sum(map(len, self.items)))))))
-        self.shift = np.uint64(64 - bits)
-        self.pairs = np.zeros(1 << bits, bool)
-        for x in self.items:
-            self.pairs[self._pair(x)] = True
         self.sizes: dict[int, list[int]] = defaultdict(list)
         for i, x in enumerate(self.items):
             self.sizes[len(x)].append(i)
-        self.tables: dict[int, dict[int, list[int]]] = {}
+        self.slot = {n: k % 63 for k, n in enumerate(sorted(self.sizes))}  # sizes that share a slot only weaken the filter
+        bits = max(20, int(np.ceil(np.log2(64 * max(1, sum(map(len, self.items)))))))
+        self.shift = np.uint64(64 - bits)
+        self.pairs = np.zeros(1 << bits, np.uint64)  # which sizes of items have a pair with this hash
+        for x in self.items:
+            self.pairs[self._pair(x)] |= np.uint64(1 << self.slot[len(x)])
+        self.tables: dict[int, tuple[np.ndarray, np.ndarray]] = {}  # sorted keys and their items
         for n, some in self.sizes.items():
-            t: dict[int, list[int]] = defaultdict(list)
-            stack = np.stack([self.items[i] for i in some])
-            for walk in range(WALKS):
-                for i, row in zip(some, keys(embed(stack, walk), walk).tolist(), strict=True):
-                    for k in row:
-                        t[k].append(i)
-            self.tables[n] = dict(t)
+            got = keys(np.stack([self.items[i] for i in some]))
+            order = np.argsort(got.ravel(), kind="stable")
+            self.tables[n] = got.ravel()[order], np.repeat(np.array(some), got.shape[1])[order]
 
     def _pair(self, x: np.ndarray) -> np.ndarray:
         return _mix((x[:-1].astype(np.uint64) << np.uint64(32)) + x[1:].astype(np.uint64)) >> self.shift
 
+    def _starts(self, at: np.ndarray, n: int) -> np.ndarray:
+        """Starts of stretches of n + d words that hold enough of the pairs at these places."""
+        d = allowed(n)
+        need, reach = n - 1 - 2 * d, n + d - 2  # the last pair of a stretch starts `reach` words after its first
+        if len(at) < need:
+            return at[:0]
+        a, b = at[: len(at) - need + 1], at[need - 1 :]
+        near = b - a <= reach
+        lo, hi = np.maximum(b[near] - reach, 0), a[near]
+        if not len(lo):
+            return lo
+        lo = np.maximum(lo, np.concatenate([[0], np.maximum.accumulate(hi)[:-1] + 1]))  # both are sorted: count each start once
+        some = hi >= lo
+        lo, size = lo[some], (hi - lo + 1)[some]
+        return np.repeat(lo - np.cumsum(size) + size, size) + np.arange(size.sum())
+
     def candidates(self, x: np.ndarray) -> set[tuple[int, int]]:
-        """(item, window start) pairs of a text that share a key."""
-        known = self.pairs[self._pair(x)] & (x[:-1] > 0) & (x[1:] > 0)
-        if not known.any():
-            return set()
-        sums = np.concatenate([[0], np.cumsum(known)])
+        """(item, window start) pairs that share a key. x: word ids of one or more texts, 0 for other words and between texts."""
+        mask = self.pairs[self._pair(x)]
+        mask[(x[:-1] == 0) | (x[1:] == 0)] = 0
+        at = np.flatnonzero(mask)
+        mask = mask[at]
         found: set[tuple[int, int]] = set()
-        for n, some in self.sizes.items():
-            d = allowed(n)
-            need = n - 1 - 2 * d
-            starts = np.arange(max(1, len(x) - n + d + 1))  # a stretch may be d words shorter than the item
-            ends = np.minimum(starts + n + d - 1, len(known))
-            starts = starts[(sums[ends] - sums[starts] >= need)]
-            if not len(starts):
-                continue
-            padded = np.concatenate([x, np.zeros(n, x.dtype)])
+        padded = np.concatenate([np.where(x, x, OTHER), np.full(max(self.sizes), OTHER)])
+        for n in self.sizes:
+            starts = self._starts(at[(mask >> np.uint64(self.slot[n])) & np.uint64(1) > 0], n)
+            known, owner = self.tables[n]
             for lo in range(0, len(starts), 4096):
                 part = starts[lo : lo + 4096]
-                windows = padded[part[:, None] + np.arange(n)]
-                table = self.tables[n]
-                for walk in range(WALKS):
-                    for start, row in zip(part.tolist(), keys(embed(windows, walk), walk).tolist(), strict=True):
-                        for k in row:
-                            for i in table.get(k, ()):
-                                found.add((i, start))
+                got = keys(padded[part[:, None] + np.arange(n)])
+                left, right = np.searchsorted(known, got, "left"), np.searchsorted(known, got, "right")
+                for r, c in zip(*np.nonzero(right > left), strict=True):
+                    start = int(part[r])
+                    found.update((i, start) for i in owner[left[r, c] : right[r, c]].tolist())
         return found
 
-    def matches(self, words: list[str]) -> list[tuple[int, int, int, int, float]]:
-        """(item_id, first word, words, edits, similarity) of each item that the text holds, best stretch first found."""
-        if len(words) < 2 or not self.items:
+    def matches(self, texts: list[list[str]]) -> list[tuple[int, int, int, int, int, float]]:
+        """(text, item_id, first word, words, edits, similarity) of each item that a text holds: its best stretch, the first of equals."""
+        if not self.items or not texts:
             return []
-        x = np.fromiter((self.vocab.get(w, 0) for w in words), np.int64, len(words))
-        by_item: dict[int, list[int]] = defaultdict(list)
+        ends = np.cumsum([len(ws) + 1 for ws in texts])
+        x = np.zeros(int(ends[-1]) + 1, np.int64)
+        get = self.vocab.get
+        for ws, end in zip(texts, ends.tolist(), strict=True):
+            x[end - 1 - len(ws) : end - 1] = np.fromiter(map(get, ws, repeat(0)), np.int64, len(ws))
+        found: dict[tuple[int, int], list[int]] = defaultdict(list)
         for i, start in self.candidates(x):
-            by_item[i].append(start)
+            n, d = len(self.items[i]), allowed(len(self.items[i]))
+            last = int(np.searchsorted(ends, min(start + n + d, len(x) - 2), side="right"))
+            for text in range(int(np.searchsorted(ends, start, side="right")), min(last, len(texts) - 1) + 1):
+                found[text, i].append(start)
         out = []
-        for i, starts in sorted(by_item.items()):
-            item = self.items[i]
-            n, d, best = len(item), allowed(len(item)), None
-            covered = -1
-            for start in sorted(starts):
+        for (text, i), starts in sorted(found.items()):
+            item, n, d, best, covered = self.items[i], len(self.items[i]), allowed(len(self.items[i])), None, -1
+            begin, end = int(ends[text]) - 1 - len(texts[text]), int(ends[text]) - 1
+            same = [s for s in sorted(starts) if s >= begin and np.array_equal(x[s : s + n], item)]
+            if same:
+                best = (0, same[0], n)
+            for start in [] if same else sorted(starts):
                 if start <= covered:
                     continue  # the stretch already looked at holds this window's
-                lo, hi = max(0, start - d), min(len(x), start + 2 * n + 2 * d)
+                lo, hi = max(begin, start - d), min(end, start + 2 * n + 2 * d)
                 covered = start + n - d
+                # the sound filter again, for this item alone
+                if hi - lo < 2 or np.isin(self._pair(x[lo:hi]), self._pair(item)).sum() < n - 1 - 2 * d:
+                    continue
                 cost, a, b = best_stretch(item, x[lo:hi])
                 if cost <= d and (best is None or cost < best[0]):
                     best = (cost, lo + a, b - a)
             if best:
-                out.append((self.ids[i], best[1], best[2], best[0], 1 - best[0] / n))
+                out.append((text, self.ids[i], best[1] - begin, best[2], best[0], 1 - best[0] / n))
         return out
 
+    def in_groups(self, texts: list[str | None], most: int = 4 << 20) -> Iterator[tuple]:
+        """matches() over texts in groups of bounded size."""
+        first, group, size = 0, [], 0
+        for t in texts:
+            group.append(words_of(t))
+            size += len(t or "")
+            if size >= most:
+                yield from ((first + m[0], *m[1:]) for m in self.matches(group))
+                first, group, size = first + len(group), [], 0
+        yield from ((first + m[0], *m[1:]) for m in self.matches(group))
+
 
 def blocks(benchmark: DataFrame, most: int = BLOCK_WORDS) -> Iterator[Items]:
     """Items in blocks of at most `most` words (a longer item is a block of its own), streamed to the driver one by one."""
@@ -207,7 +241,8 @@ def find(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 def _finder(shared):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            out = [(doc, *m) for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist(), strict=True) for m in shared.value.matches(words_of(text))]
+            ids = b.column("doc_id").to_pylist()
+            out = [(ids[m[0]], *m[1:]) for m in shared.value.in_groups(b.column("text").to_pylist())]
             cols = list(zip(*out, strict=True)) if out else [[]] * 6
             yield pa.RecordBatch.from_arrays([pa.array(c, pa.float64() if i == 5 else pa.int64()) for i, c in enumerate(cols)], names=["doc_id", "item_id", "first_word", "n_words", "edits", "similarity"])
 
@@ -223,7 +258,9 @@ def clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared, at=at) -> Iterator[pa.RecordBatch]:
             for b in batches:
-                yield b.filter(pa.array([not shared.value.matches(words_of(t)) for t in b.column(at).to_pylist()], pa.bool_()))
+                keep = np.ones(b.num_rows, bool)
+                keep[[m[0] for m in shared.value.in_groups(b.column(at).to_pylist())]] = False
+                yield b.filter(pa.array(keep))
 
         out = out.mapInArrow(run, docs.schema)
     return out

@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import os
 import re
+from itertools import repeat
 
 import numpy as np
 
@@ -45,17 +46,64 @@ def width(path: str) -> str:
 
 
 def encode_words(tokenizer, words: list[bytes], dtype: str, together: int = 400) -> tuple[np.ndarray, np.ndarray]:
-    """Flat ids of words one after another, and each word's number of ids. Words are encoded in runs; a token's offset tells its word."""
-    flat: list[np.ndarray] = []
-    lens: list[np.ndarray] = []
-    for start in range(0, len(words), together):
-        run = [w.decode() for w in words[start : start + together]]
+    """Flat ids of words one after another, and each word's number of ids. Words are encoded in runs.
+
+    A word of letters only is one pre-token, whose last id is the only one that ends a pre-token; that tells where each
+    word's ids end. In runs of other words a token's offset tells its word.
+    """
+    text = [w.decode() for w in words]
+    plain = np.fromiter((t.isalpha() and (t.isascii() or t.lower().isalpha()) for t in text), bool, len(text))
+    flat, lens = np.zeros(0, dtype), np.zeros(len(words), np.int64)
+    ends = _ends(tokenizer)
+    some = np.flatnonzero(plain)
+    first: list[np.ndarray] = []
+    for start in range(0, len(some), 50 * together):
+        block = [text[i] for i in some[start : start + 50 * together]]
+        runs = [" ".join(block[i : i + together]) for i in range(0, len(block), together)]
+        first += [np.array(e.ids, dtype) for e in tokenizer.encode_batch_fast(runs, add_special_tokens=False)]
+    if first:
+        flat = np.concatenate(first)
+        stop = np.flatnonzero(ends[flat]) + 1
+        lens[some] = np.diff(stop, prepend=0)
+    rest = np.flatnonzero(~plain)
+    more: list[np.ndarray] = []
+    for start in range(0, len(rest), together):
+        run = [text[i] for i in rest[start : start + together]]
         got = tokenizer.encode(" ".join(run), add_special_tokens=False)
         begins = np.cumsum([0] + [len(w) + 1 for w in run[:-1]])
         at = np.fromiter((a for a, _ in got.offsets), np.int64, len(got.ids))
-        flat.append(np.array(got.ids, dtype))
-        lens.append(np.bincount(np.searchsorted(begins, at, side="right") - 1, minlength=len(run)))
-    return (np.concatenate(flat), np.concatenate(lens)) if flat else (np.zeros(0, dtype), np.zeros(0, np.int64))
+        more.append(np.array(got.ids, dtype))
+        lens[rest[start : start + together]] = np.bincount(np.searchsorted(begins, at, side="right") - 1, minlength=len(run))
+    if not more:
+        return flat, lens
+    both = np.concatenate([flat, *more])
+    place = np.empty(len(words), np.int64)
+    order = np.concatenate([some, rest])
+    place[order] = np.cumsum(lens[order]) - lens[order]
+    return gather(both, place, lens, np.arange(len(words))), lens
+
+
+_known_ends: dict[int, tuple] = {}
+
+
+def _ends(tokenizer) -> np.ndarray:
+    """Which ids end a pre-token."""
+    if id(tokenizer) not in _known_ends:
+        _known_ends.clear()
+        n = max(tokenizer.get_vocab(with_added_tokens=True).values()) + 1
+        _known_ends[id(tokenizer)] = tokenizer, np.array([(tokenizer.id_to_token(i) or "").endswith("</w>") for i in range(n)])
+    return _known_ends[id(tokenizer)][1]
+
+
+_tables: dict[tuple, "Table"] = {}
+
+
+def table_of_worker(path: str, dtype: str, room: int) -> "Table":
+    """A table that later tasks of the same Python worker find again."""
+    if (path, dtype, room) not in _tables:
+        _tables.clear()
+        _tables[path, dtype, room] = Table(load(path), dtype, room)
+    return _tables[path, dtype, room]
 
 
 class Table:
@@ -71,15 +119,18 @@ class Table:
 
     def places(self, words: list[bytes]) -> np.ndarray:
         """Places of the words in this table, which learns those that it lacks."""
-        at = list(map(self.index.get, words))
-        if None in at:
-            fresh = {w for w, i in zip(words, at, strict=True) if i is None}
+        at = np.fromiter(map(self.index.get, words, repeat(-1)), np.int64, len(words))
+        gaps = np.flatnonzero(at < 0)
+        if len(gaps):
+            lacking = [words[i] for i in gaps.tolist()]
+            fresh = set(lacking)
             if self.room and self.index and len(self.index) + len(fresh) > self.room:
                 self.clear()
-                fresh = set(words)
+                self.learn(list(set(words)))
+                return np.fromiter(map(self.index.__getitem__, words), np.int64, len(words))
             self.learn(list(fresh))
-            at = list(map(self.index.__getitem__, words))
-        return np.array(at, np.int64)
+            at[gaps] = np.fromiter(map(self.index.__getitem__, lacking), np.int64, len(lacking))
+        return at
 
     def learn(self, new: list[bytes]) -> None:
         flat, lens = encode_words(self.tokenizer, new, self.dtype)
