@@ -397,14 +397,18 @@ def redacted(text: str | None, tagger: Tagger | None) -> str | None:
 
 
 def redact(docs: DataFrame, tagger: Tagger | None) -> DataFrame:
-    """The documents with their text redacted; other columns, names and order stay, and unnamed counts are not touched."""
+    """The documents with their text redacted, and n_chars, where there is one, set anew for texts that changed; all else stays."""
     shared = docs.sparkSession.sparkContext.broadcast(tagger)
-    at = docs.columns.index("text")
+    at, size = docs.columns.index("text"), docs.columns.index("n_chars") if dict(docs.dtypes).get("n_chars") == "bigint" else None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             cols = list(b.columns)
-            cols[at] = pa.array([redacted(t, shared.value) for t in cols[at].to_pylist()], pa.string())
+            old = cols[at].to_pylist()
+            new = [redacted(t, shared.value) for t in old]
+            cols[at] = pa.array(new, pa.string())
+            if size is not None:
+                cols[size] = pa.array([n if x == y else len(y) for n, x, y in zip(cols[size].to_pylist(), old, new, strict=True)], pa.int64())
             yield pa.RecordBatch.from_arrays(cols, names=b.schema.names)
 
     return docs.mapInArrow(run, docs.schema)

@@ -23,6 +23,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .base import is_empty, materialise
 from .components import connected
@@ -160,5 +161,34 @@ def near_duplicates(docs: DataFrame, radius: int = 3, words: int = 3, bucket: in
     return fps.join(label, "fp").select("doc_id", "fp", "component_id")
 
 
+def keep_one(docs: DataFrame, **options) -> DataFrame:
+    """One document of each component, with all its columns: that with the smallest doc_id.
+
+    Where a component's rows share that doc_id (repeated rows) or have none, one of them stays, chosen by its text's hash.
+    """
+    found = materialise(near_duplicates(docs, **options), "components")
+    first = found.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("_id"))
+    sizes = first.agg(F.count(F.lit(1)), F.count_distinct("_id")).first()
+    if sizes[0] == sizes[1] and is_empty(found.where("component_id IS NULL")):
+        return docs.join(first, F.col("doc_id") == F.col("_id"), "left_semi")
+    label = found.groupBy("fp").agg(F.min("component_id").alias("_component"))
+    rows = with_fingerprint(docs, "_fp", options.get("words", 3)).join(label.withColumnRenamed("fp", "_label_fp"), F.col("_fp") == F.col("_label_fp"))
+    rows = rows.where(F.col("doc_id").cast("long").eqNullSafe(F.col("_component")))
+    group = F.when(F.col("_component").isNull(), F.col("_fp")).otherwise(F.col("_component"))  # null ids only: one row for each fingerprint
+    pick = F.min_by(F.struct(*docs.columns), F.struct(F.xxhash64("text"), F.col("text")))
+    return rows.groupBy(F.col("_component").isNull(), group).agg(pick.alias("_row")).select("_row.*")
+
+
+def with_fingerprint(docs: DataFrame, name: str, words: int = 3) -> DataFrame:
+    at = docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            fps = np.array([fingerprint((x or "").encode(), words) for x in b.column(at).to_pylist()], np.uint64)
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(fps.view(np.int64))], names=[*b.schema.names, name])
+
+    return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField(name, T.LongType())]))
+
+
 def hex_digits(fp: str = "fp"):
     return F.lower(F.lpad(F.hex(F.col(fp)), 16, "0"))

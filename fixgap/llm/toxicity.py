@@ -177,3 +177,22 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("held_out"), pa.array(s), pa.array((s >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out().alias("held_out"), F.col("text").cast("string").alias("text")).mapInArrow(run, SCHEMA)
+
+
+def clean(docs: DataFrame, model: Model) -> DataFrame:
+    """The documents that aren't predicted toxic, with all their columns."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    at = docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = []
+
+        def texts():
+            for b in batches:
+                held.append(b)
+                yield [x or "" for x in b.column(at).to_pylist()]
+
+        for s in shared.value.scores(texts()):
+            yield held.pop().filter(pa.array(s < 0.5))
+
+    return docs.mapInArrow(run, docs.schema)
