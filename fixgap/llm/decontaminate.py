@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 WORD = re.compile(r"[^\W_]+")
 MIN_WORDS = 5
 EDITS = 0.2  # of an item's words
-WALKS, KEYS, SAMPLED = 10, 8, 5
+WALKS, KEYS, SAMPLED = 8, 8, 4
 OTHER = 1 << 40  # stands in windows for words that no item has
 BLOCK_WORDS = 2_000_000  # words of a block of items: about 100 MB at most where it is used
 SCHEMA = "doc_id long, item_id long, first_word long, n_words long, edits long, similarity double"
@@ -74,7 +74,7 @@ def keys(windows: np.ndarray) -> np.ndarray:
         rng = np.random.default_rng([walk, windows.shape[1]])
         for k in range(KEYS):
             h = np.full(len(windows), np.uint64(walk * KEYS + k + 1))
-            for place in rng.integers(0, 3 * windows.shape[1], SAMPLED):
+            for place in rng.integers(0, 3 * windows.shape[1] // 2, SAMPLED):  # later places are mostly past a window's end
                 h = _mix(h * np.uint64(0x9E3779B97F4A7C15) + embedded[walk, :, place].astype(np.uint64))
             out[:, walk * KEYS + k] = h
     return out
@@ -174,11 +174,13 @@ class Items:
         for ws, end in zip(texts, ends.tolist(), strict=True):
             x[end - 1 - len(ws) : end - 1] = np.fromiter(map(get, ws, repeat(0)), np.int64, len(ws))
         found: dict[tuple[int, int], list[int]] = defaultdict(list)
-        for i, start in self.candidates(x):
-            n, d = len(self.items[i]), allowed(len(self.items[i]))
-            last = int(np.searchsorted(ends, min(start + n + d, len(x) - 2), side="right"))
-            for text in range(int(np.searchsorted(ends, start, side="right")), min(last, len(texts) - 1) + 1):
-                found[text, i].append(start)
+        pairs = sorted(self.candidates(x))
+        start = np.array([s for _, s in pairs], np.int64)
+        reach = np.array([len(self.items[i]) + allowed(len(self.items[i])) for i, _ in pairs], np.int64)
+        first, last = np.searchsorted(ends, start, side="right"), np.searchsorted(ends, np.minimum(start + reach, len(x) - 2), side="right")
+        for (i, s), a, b in zip(pairs, first.tolist(), np.minimum(last, len(texts) - 1).tolist(), strict=True):
+            for text in range(a, b + 1):
+                found[text, i].append(s)
         out = []
         for (text, i), starts in sorted(found.items()):
             item, n, d, best, covered = self.items[i], len(self.items[i]), allowed(len(self.items[i])), None, -1
