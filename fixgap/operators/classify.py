@@ -10,10 +10,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
-def linear_svm(train: DataFrame, test: DataFrame, reg: float = 0.01, max_iter: int = 30) -> DataFrame:
+def linear_svm(train: DataFrame, test: DataFrame, reg: float = 0.01, max_iter: int = 15) -> DataFrame:
     """Predictions for test: seq_id, label, prediction (label names). One classifier against the rest for each class."""
     index = StringIndexer(inputCol="label", outputCol="y", handleInvalid="keep", stringOrderType="alphabetAsc").fit(train)
-    model = OneVsRest(classifier=LinearSVC(regParam=reg, maxIter=max_iter), labelCol="y", featuresCol="features").fit(index.transform(train).where(F.col("y") < len(index.labels)))
+    model = OneVsRest(classifier=LinearSVC(regParam=reg, maxIter=max_iter), parallelism=8, labelCol="y", featuresCol="features").fit(index.transform(train).where(F.col("y") < len(index.labels)))
     names = F.array(*[F.lit(x) for x in index.labels])
     return model.transform(index.transform(test)).select("seq_id", "label", F.get(names, F.col("prediction").cast("int")).alias("prediction"))
 

@@ -400,7 +400,7 @@ def _workloads() -> None:
     Q["text_top20"] = w.text_top20
     Q["sweep_parameters"] = w.sweep
     Q["two_vs_greedy"] = lambda s, d: w.two_vs_greedy(s, d).drop("s_two_phase", "s_path_greedy")
-    Q["tab_accuracy_embeddings"] = lambda s, d: w.accuracy(s, d, "embeddings")
+    Q["tab_accuracy_embeddings"] = lambda s, d: w.accuracy(s, d, "embeddings", folds=2)
 
 
 _workloads()
