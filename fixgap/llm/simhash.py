@@ -127,14 +127,10 @@ def links(fps: DataFrame, radius: int = 3, bucket: int = BUCKET) -> DataFrame:
     rows = fps.select("fp", F.lit(0).cast("long").alias("done"), F.lit(0).cast("long").alias("space"))
     spaces = [0]
     while spaces:
-        masks = {d: covering_masks([p for p in range(BITS) if not d >> p & 1], radius) for d in spaces}
-        whens = F.array()
-        for d, ms in masks.items():
-            here = F.array(*[F.struct(F.lit(_signed(d | m)).alias("done"), F.lit(_signed(m)).alias("mask")) for m in dict.fromkeys(ms)])
-            whens = here if len(masks) == 1 else F.when(F.col("done") == _signed(d), here).otherwise(whens)
-        keyed = rows.select("fp", "space", F.explode(whens).alias("m")).select(
-            "fp", F.col("m.done").alias("done"), F.xxhash64("space", "m.done", "m.mask").alias("space"), F.col("fp").bitwiseAND(F.col("m.mask")).alias("key")
-        )
+        # a row for each mask of each set of bits fixed so far: 15 to the level's power at most
+        rules = [(_signed(d), _signed(d | m), _signed(m)) for d in spaces for m in dict.fromkeys(covering_masks([p for p in range(BITS) if not d >> p & 1], radius))]
+        masks = F.broadcast(spark.createDataFrame(rules, "done long, next long, mask long"))
+        keyed = rows.join(masks, "done").select("fp", F.col("next").alias("done"), F.xxhash64("space", "next", "mask").alias("space"), F.col("fp").bitwiseAND(F.col("mask")).alias("key"))
         sizes = keyed.groupBy("space", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
         shared = materialise(keyed.join(sizes, ["space", "key"]), f"buckets{level}")
         here = shared.where(F.col("n") <= bucket).select("space", "key", "fp").repartition("space", "key").sortWithinPartitions("space", "key").mapInArrow(_solve(radius), "a long, b long")
