@@ -34,6 +34,9 @@ class Pick:
     episode: Candidate
 
 
+DENSE = 1 << 22  # counters that direct addressing may take
+
+
 class Events:
     """Distinct events in order of time, then type."""
 
@@ -66,13 +69,37 @@ def followers(ev: Events, end: np.ndarray, tg: int) -> tuple[np.ndarray, np.ndar
     return row, at, ev.t[at] - end[row]
 
 
-def _grouped(path: np.ndarray, etype: np.ndarray, gap: np.ndarray, m: int, tg: int) -> tuple[np.ndarray, ...]:
-    """Counts of (path, type, gap), and which count each row belongs to."""
+def _grouped(path: np.ndarray, etype: np.ndarray, gap: np.ndarray, m: int, tg: int, n_paths: int) -> tuple[np.ndarray, ...]:
+    """Counts of (path, type, gap), and which count each row belongs to; by direct addressing where the kinds are few."""
     key = (path * m + etype) * (tg + 1) + gap
-    kinds, inverse, n = np.unique(key, return_inverse=True, return_counts=True)
+    space = n_paths * m * (tg + 1)
+    if space <= max(DENSE, 2 * len(key)):
+        n = np.bincount(key, minlength=space)
+        kinds = np.flatnonzero(n)
+        place = np.zeros(space, np.int64)
+        place[kinds] = np.arange(len(kinds))
+        inverse, n = place[key], n[kinds]
+    else:
+        kinds, inverse, n = np.unique(key, return_inverse=True, return_counts=True)
     return kinds // ((tg + 1) * m), kinds // (tg + 1) % m, kinds % (tg + 1), n, inverse
 
 
+def _unused(who: np.ndarray, etype: np.ndarray, members: list[tuple[int, tuple[int, ...]]], m: int, n_paths: int) -> np.ndarray:
+    """Which rows bring a type that their path doesn't have."""
+    if n_paths * m <= 16 * DENSE:
+        used = np.zeros((n_paths, m), bool)
+        for k, types in members:
+            used[k, list(types)] = True
+        return ~used[who, etype]
+    table = np.full((n_paths, max((len(t) for _, t in members), default=1)), -1, np.int64)
+    for k, types in members:
+        table[k, : len(types)] = types
+    ok = np.ones(len(who), bool)
+    for c in range(table.shape[1]):
+        ok &= table[who, c] != etype
+    return ok
+
+
 def best_paths(ev: Events, p: Params) -> list[Candidate]:
     """One episode for each starting type, grown by its most frequent extension while the rule allows; all grow in lockstep."""
     types_at, counts = np.unique(ev.e, return_counts=True)
@@ -82,14 +109,9 @@ def best_paths(ev: Events, p: Params) -> list[Candidate]:
     while len(path):
         row, at, gap = followers(ev, end, p.tg)
         who, etype = path[row], ev.e[at]
-        ok = np.ones(len(row), bool)
-        members = np.full((ev.m, size), -1, np.int64)
-        for k, (types, _, _) in paths.items():
-            members[k] = types
-        for c in range(size):
-            ok &= members[who, c] != etype
+        ok = _unused(who, etype, [(k, x[0]) for k, x in paths.items()], ev.m, ev.m)
         row, at, gap, who, etype = row[ok], at[ok], gap[ok], who[ok], etype[ok]
-        g_path, g_type, g_gap, n, inverse = _grouped(who, etype, gap, ev.m, p.tg)
+        g_path, g_type, g_gap, n, inverse = _grouped(who, etype, gap, ev.m, p.tg, ev.m)
         order = np.lexsort((g_type, g_gap, -n, g_path))
         first = order[np.flatnonzero(np.diff(g_path[order], prepend=-1))]
         grown, wins = {}, np.zeros(len(n), bool)
@@ -127,12 +149,11 @@ def frequent(ev: Events, p: Params, total: int) -> list[Candidate]:
     number = np.cumsum(often) - 1
     path, start, end, out, size = number[ev.e], ev.t.copy(), ev.t.copy(), [], 1
     while len(path) and not (p.max_size and size >= p.max_size):
-        members = np.array([x[0] for x in eps], np.int64)
         row, at, gap = followers(ev, end, p.tg)
         who, etype = path[row], ev.e[at]
-        ok = (members[who] != etype[:, None]).all(1)
+        ok = _unused(who, etype, [(k, x[0]) for k, x in enumerate(eps)], ev.m, len(eps))
         row, at, gap, who, etype = row[ok], at[ok], gap[ok], who[ok], etype[ok]
-        g_path, g_type, g_gap, n, inverse = _grouped(who, etype, gap, ev.m, p.tg)
+        g_path, g_type, g_gap, n, inverse = _grouped(who, etype, gap, ev.m, p.tg, len(eps))
         good = n >= least
         eps = [((*eps[a][0], int(b)), (*eps[a][1], int(g))) for a, b, g in zip(g_path[good].tolist(), g_type[good].tolist(), g_gap[good].tolist(), strict=True)]
         renumber = np.cumsum(good) - 1

@@ -27,7 +27,7 @@ class Params:
     min_gain: int = 0
     overlap_mode: str = "penalise"
     engine: str = "auto"
-    kernel_events: int = 2_000_000
+    kernel_events: int = 4_000_000
     block_ticks: int = 1 << 16
 
     def __post_init__(self):
