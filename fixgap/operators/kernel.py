@@ -180,20 +180,45 @@ def overlaps(ev: Events, cands: list[Candidate]) -> dict[int, dict[int, int]]:
     at, who = at[order], who[order]
     first = np.flatnonzero(np.diff(at, prepend=-1))
     size = np.diff(np.append(first, len(at)))
-    out: dict[int, dict[int, int]] = {}
+    n = len(cands)
+    if n <= 4000 and 2.0 * n * n * len(ev) / 4e10 < float((size.astype(np.float64) ** 2).sum()) * 1e-8:
+        return _by_product(at, who, n, len(ev))  # events are in so many candidates that a matrix product is quicker
+    dense = np.zeros(n * n, np.int64) if n * n <= 16 * DENSE else None
     total: dict[int, int] = {}
     for d in range(1, int(size.max(initial=1))):  # the d-th next candidate of the same event
         same = np.flatnonzero(at[d:] == at[:-d])
-        keys, n = np.unique(who[same] * len(cands) + who[same + d], return_counts=True)
-        for k, x in zip(keys.tolist(), n.tolist(), strict=True):
-            total[k] = total.get(k, 0) + x
+        key = who[same] * n + who[same + d]
+        if dense is not None:
+            if len(key) * 8 > n * n:
+                dense += np.bincount(key, minlength=n * n)
+            else:
+                np.add.at(dense, key, 1)
+        else:
+            for k, x in zip(*map(np.ndarray.tolist, np.unique(key, return_counts=True)), strict=True):
+                total[k] = total.get(k, 0) + x
+    if dense is not None:
+        some = np.flatnonzero(dense)
+        total = dict(zip(some.tolist(), dense[some].tolist(), strict=True))
+    out: dict[int, dict[int, int]] = {}
     for k, x in total.items():
-        a, b = divmod(k, len(cands))
+        a, b = divmod(k, n)
         out.setdefault(a, {})[b] = x
         out.setdefault(b, {})[a] = x
     return out
 
 
+def _by_product(at: np.ndarray, who: np.ndarray, n: int, n_events: int, block: int = 1 << 15) -> dict[int, dict[int, int]]:
+    """The same from products of 0-1 blocks of candidates by events; sums stay exact in single precision."""
+    shared = np.zeros((n, n), np.int64)
+    edges = np.searchsorted(at, np.arange(0, n_events + block, block))
+    for k in range(len(edges) - 1):
+        x = np.zeros((n, block), np.float32)
+        x[who[edges[k] : edges[k + 1]], at[edges[k] : edges[k + 1]] - k * block] = 1
+        shared += (x @ x.T).astype(np.int64)
+    np.fill_diagonal(shared, 0)
+    return {a: {int(b): int(shared[a, b]) for b in np.flatnonzero(shared[a])} for a in range(n) if shared[a].any()}
+
+
 def tie_order(c) -> tuple:
     """Among equal scores: the larger, then the shorter in time, then smaller types, then smaller gaps."""
     return -len(c.types), sum(c.gaps), tuple(c.types), tuple(c.gaps)
