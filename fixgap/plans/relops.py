@@ -171,7 +171,7 @@ both("agg_cube", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem
 both("agg_rollup", "SELECT lang, source, count(*) AS n FROM documents GROUP BY ROLLUP (lang, source)")
 both("agg_filter_clause", "SELECT lang, count(*) FILTER (WHERE n_chars > 1000) AS n FROM documents GROUP BY lang")
 both("agg_having_frequency", "SELECT event_type, count(*) AS n FROM events GROUP BY event_type HAVING count(*) >= 0.1 * (SELECT count(*) FROM events)")
-both("agg_pivot", "SELECT * FROM (SELECT lang, quality, l.doc_id AS id FROM documents d JOIN labels l ON d.doc_id = l.doc_id) PIVOT (count(id) FOR quality IN (0 AS bad, 1 AS good))", "SELECT lang, count(l.doc_id) FILTER (WHERE quality = 0) AS bad, count(l.doc_id) FILTER (WHERE quality = 1) AS good FROM documents d JOIN labels l ON d.doc_id = l.doc_id GROUP BY lang")
+both("agg_pivot", "SELECT lang, coalesce(bad, 0L) AS bad, coalesce(good, 0L) AS good FROM (SELECT lang, quality, l.doc_id AS id FROM documents d JOIN labels l ON d.doc_id = l.doc_id) PIVOT (count(id) FOR quality IN (0 AS bad, 1 AS good))", "SELECT lang, count(l.doc_id) FILTER (WHERE quality = 0) AS bad, count(l.doc_id) FILTER (WHERE quality = 1) AS good FROM documents d JOIN labels l ON d.doc_id = l.doc_id GROUP BY lang")
 both("agg_collect_sorted", "SELECT n_regionkey, array_join(sort_array(collect_list(n_name)), ',') AS names FROM nation GROUP BY n_regionkey", "SELECT n_regionkey, string_agg(n_name, ',' ORDER BY n_name) AS names FROM nation GROUP BY n_regionkey")
 both("agg_max_by", "SELECT n_regionkey, max_by(n_name, n_nationkey) AS last, min_by(n_name, n_nationkey) AS first FROM nation GROUP BY n_regionkey")
 both("agg_stddev_corr", "SELECT round(stddev_samp(l_quantity), 6) AS s, round(corr(l_quantity, l_extendedprice), 6) AS c FROM lineitem")
