@@ -6,7 +6,9 @@ its words is within floor(0.2 n) word edits of the item's n words. Windows of an
    many pairs that occur in some item. One running sum over a text's pairs tests all its windows for one item size.
 2. Windows that remain are embedded by random walks: a walk repeats or advances a word by a random bit of word and step,
    so few edits become few differing places. Each walk's embedding is sampled at random places into hash keys; windows
-   that share a key with an item of their size are its candidates. Walks and keys are many enough for the target recall.
+   that share a key with an item of their size are its candidates. Walks and keys are the same for every size, so recall falls
+   with length: with the most edits allowed it is at least RECALL up to WALKED words. Longer items are cut into one segment
+   more than they may have edits; some segment is whole in any stretch that holds the item, so looking up segments misses none.
 3. A candidate is verified exactly: the smallest edit distance of the item to any stretch around the window.
 
 Items are broadcast in blocks of bounded size, one pass over the documents for each block. Long texts are handled whole.
@@ -31,6 +33,8 @@ WORD = re.compile(r"[^\W_]+")
 MIN_WORDS = 5
 EDITS = 0.2  # of an item's words
 WALKS, KEYS, SAMPLED = 8, 8, 4
+RECALL = 0.99  # of items with the most edits allowed
+WALKED = 40  # words of the longest items whose walks reach it, as measured; longer ones go by segments
 OTHER = 1 << 40  # stands in windows for words that no item has
 BLOCK_WORDS = 2_000_000  # words of a block of items: about 100 MB at most where it is used
 SCHEMA = "doc_id long, item_id long, first_word long, n_words long, edits long, similarity double"
@@ -80,6 +84,20 @@ def keys(windows: np.ndarray) -> np.ndarray:
     return out
 
 
+def segments(n: int) -> np.ndarray:
+    """Starts of an item's segments, and its end: one segment more than edits allowed."""
+    k = allowed(n) + 1
+    return np.arange(k + 1) * n // k
+
+
+def runs(x: np.ndarray, at: np.ndarray, length: int) -> np.ndarray:
+    """Hashes of the `length` words from each place."""
+    h = np.full(len(at), np.uint64(length))
+    for k in range(length):
+        h = _mix(h * np.uint64(0x9E3779B97F4A7C15) + x[at + k].astype(np.uint64))
+    return h
+
+
 def best_stretch(item: np.ndarray, text: np.ndarray) -> tuple[int, int, int]:
     """Fewest word edits from the item to any stretch of the text, and the stretch (the earliest, shortest of equals)."""
     n, m = len(item), len(text)
@@ -120,11 +138,25 @@ class Items:
         for x in self.items:
             self.pairs[self._pair(x)] |= np.uint64(1 << self.slot[len(x)])
         self.tables: dict[int, tuple[np.ndarray, np.ndarray]] = {}  # sorted keys and their items
+        self.parts: dict[int, dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]] = {}  # by size and length: sorted segments, their items and offsets
         for n, some in self.sizes.items():
+            if n > WALKED:
+                self.parts[n] = self._segments(n, some)
+                continue
             got = keys(np.stack([self.items[i] for i in some]))
             order = np.argsort(got.ravel(), kind="stable")
             self.tables[n] = got.ravel()[order], np.repeat(np.array(some), got.shape[1])[order]
 
+    def _segments(self, n: int, some: list[int]) -> dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        cuts, x, out = segments(n), np.stack([self.items[i] for i in some]), {}
+        for length in np.unique(np.diff(cuts)).tolist():
+            begins = cuts[:-1][np.diff(cuts) == length]
+            at = (np.arange(len(some))[:, None] * n + begins).ravel()
+            got = runs(x.ravel(), at, length)
+            order = np.argsort(got, kind="stable")
+            out[length] = got[order], np.repeat(np.array(some), len(begins))[order], np.tile(begins, len(some))[order]
+        return out
+
     def _pair(self, x: np.ndarray) -> np.ndarray:
         return _mix((x[:-1].astype(np.uint64) << np.uint64(32)) + x[1:].astype(np.uint64)) >> self.shift
 
@@ -154,6 +186,9 @@ class Items:
         padded = np.concatenate([np.where(x, x, OTHER), np.full(max(self.sizes), OTHER)])
         for n in self.sizes:
             starts = self._starts(at[(mask >> np.uint64(self.slot[n])) & np.uint64(1) > 0], n)
+            if n in self.parts:
+                found |= self._by_segments(n, at[(mask >> np.uint64(self.slot[n])) & np.uint64(1) > 0], starts, padded)
+                continue
             known, owner = self.tables[n]
             for lo in range(0, len(starts), 4096):
                 part = starts[lo : lo + 4096]
@@ -164,6 +199,23 @@ class Items:
                     found.update((i, start) for i in owner[left[r, c] : right[r, c]].tolist())
         return found
 
+    def _by_segments(self, n: int, at: np.ndarray, starts: np.ndarray, padded: np.ndarray) -> set[tuple[int, int]]:
+        """(item, start it would have without edits) of segments found near a start that the filter leaves."""
+        d, found = allowed(n), set()
+        if not len(starts):
+            return found
+        near = np.searchsorted(starts, at + d, "right") > np.searchsorted(starts, at - n - d, "left")
+        at = at[near]
+        for length, (known, owner, offset) in self.parts[n].items():
+            got = runs(padded, at, length)
+            left = np.searchsorted(known, got, "left")
+            size = np.searchsorted(known, got, "right") - left
+            which = np.repeat(left - np.cumsum(size) + size, size) + np.arange(size.sum())
+            items, begin = owner[which], np.repeat(at, size) - offset[which]
+            near = np.searchsorted(starts, begin + d, "right") > np.searchsorted(starts, begin - d, "left")
+            found.update(zip(items[near].tolist(), begin[near].tolist(), strict=True))
+        return found
+
     def matches(self, texts: list[list[str]]) -> list[tuple[int, int, int, int, int, float]]:
         """(text, item_id, first word, words, edits, similarity) of each item that a text holds: its best stretch, the first of equals."""
         if not self.items or not texts:
@@ -185,7 +237,7 @@ class Items:
         for (text, i), starts in sorted(found.items()):
             item, n, d, best, covered = self.items[i], len(self.items[i]), allowed(len(self.items[i])), None, -1
             begin, end = int(ends[text]) - 1 - len(texts[text]), int(ends[text]) - 1
-            same = [s for s in sorted(starts) if s >= begin and np.array_equal(x[s : s + n], item)]
+            same = [s for s in sorted(starts) if s >= begin and np.array_equal(x[s : s + n], item)]  # of segments' starts, some lie before the text
             if same:
                 best = (0, same[0], n)
             for start in [] if same else sorted(starts):

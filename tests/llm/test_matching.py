@@ -219,3 +219,24 @@ def test_skipping_windows_without_anchors_changes_nothing(rng):
     every = dict(tagger.stretches(codes, np.arange(len(text))))
     few = dict(tagger.stretches(codes, np.array([402])))
     assert set(few) and len(every) == 1
+
+
+def test_long_leaks_with_edits_are_found():
+    rng = random.Random(8)
+    vocab = [f"v{i}" for i in range(3000)]
+    for n, times in ((41, 60), (59, 60), (150, 40), (400, 12), (1000, 5)):
+        some = [[rng.choice(vocab) for _ in range(n)] for _ in range(3)]
+        items = decontaminate.Items(list(enumerate(some)))
+        for _ in range(times):
+            i = rng.randrange(3)
+            w = list(some[i])
+            for _ in range(decontaminate.allowed(n)):
+                p, kind = rng.randrange(len(w)), rng.randrange(3)
+                w[p : p + 1] = [[rng.choice(vocab)], [w[p], rng.choice(vocab)], []][kind]
+            before, after = ([rng.choice(vocab) for _ in range(rng.randrange(80))] for _ in range(2))
+            text = before + w + after
+            got = items.matches([["short"], text, some[i][: n // 2]])
+            brute = decontaminate.best_stretch(items.items[i], np.array([items.vocab.get(x, 0) for x in text]))
+            assert [(m[0], m[1], m[4]) for m in got] == [(1, i, brute[0])]
+        whole = items.matches([before + some[0] + after])
+        assert whole == [(0, 0, len(before), n, 0, 1.0)]
