@@ -28,9 +28,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The shared folder the session names; where it names none (tests), a folder of our own is set as checkpoint folder."""
+    """The shared folder the session names. Where it names none, a local session (as in tests) gets a folder of our own as
+    checkpoint folder; on a cluster that is an error, since executors would each write to a disk of their own."""
     root = spark.conf.get("spark.checkpoint.dir", None) or os.environ.get("FIXGAP_SHARED")
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         root = os.environ["FIXGAP_SHARED"] = "file://" + tempfile.mkdtemp(prefix="fixgap-shared-")
         atexit.register(__import__("shutil").rmtree, root.removeprefix("file://"), True)
     if spark.sparkContext.getCheckpointDir() is None:

@@ -1,4 +1,8 @@
-"""Connected components of an edge list by alternating star contraction, all in DataFrames."""
+"""Connected components of an edge list by alternating star contraction, all in DataFrames.
+
+Null ends and edges of a node to itself are left out; repeated edges count once; without edges there are no rows. A hub's edges
+are dealt out by their other end (SALTS ways): its smallest neighbour is found in two steps and sent to each part.
+"""
 
 from __future__ import annotations
 
@@ -7,6 +11,8 @@ from pyspark.sql import functions as F
 
 from .base import materialise
 
+SALTS = 64
+
 
 def _both(edges: DataFrame) -> DataFrame:
     return edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
@@ -14,9 +20,10 @@ def _both(edges: DataFrame) -> DataFrame:
 
 def _large_star(edges: DataFrame) -> DataFrame:
     """Every node links its larger neighbours to the smallest node around it."""
-    sym = _both(edges)
-    low = sym.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
-    return sym.where("b > a").join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b"))
+    sym = _both(edges).withColumn("salt", F.pmod(F.xxhash64("b"), F.lit(SALTS)))
+    parts = sym.groupBy("a", "salt").agg(F.min("b").alias("m"))
+    low = parts.groupBy("a").agg(F.least(F.min("m"), F.col("a")).alias("m"), F.collect_list("salt").alias("salts"))  # SALTS at most
+    return sym.where("b > a").join(low.select("a", "m", F.explode("salts").alias("salt")), ["a", "salt"]).select(F.col("b").alias("a"), F.col("m").alias("b"))
 
 
 def _small_star(edges: DataFrame) -> DataFrame:

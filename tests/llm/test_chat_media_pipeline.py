@@ -7,7 +7,7 @@ import struct
 import pytest
 
 import corpus_pipeline
-from fixgap.llm import chat, media, simhash
+from fixgap.llm import chat, media, near_copies
 from fixgap.llm.base import materialise, table
 
 CONV = "conv_id long, turn long, role string, text string"
@@ -124,7 +124,7 @@ def test_pipeline_stages(spark, small):
         out = materialise(stage(spark, docs, small), name)
         assert out.columns == columns and 0 < out.count() <= docs.count()
         if name == "near_copies":
-            assert out.count() == simhash.near_duplicates(docs).select("component_id").distinct().count()
+            assert out.count() == near_copies.near_duplicates(docs).select("root").distinct().count()
         docs = out
     last = corpus_pipeline.run(spark, small)
     assert last.count() == docs.count() < n and last.columns == ["doc_id", "n_tokens", "ids"]
