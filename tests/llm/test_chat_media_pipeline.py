@@ -3,13 +3,17 @@
 import hashlib
 import random
 import struct
+import zlib
 
 import pytest
+from tokenizers import Tokenizer
 
 import corpus_pipeline
+import public_tokenizers
 from fixgap.llm import chat, media, near_copies
 from fixgap.llm.base import materialise, table
 
+TOK = public_tokenizers.path("word_bpe_49k.json")
 CONV = "conv_id long, turn long, role string, text string"
 
 
@@ -42,28 +46,39 @@ def test_each_target_once_whatever_the_budget(spark, rng, budget):
             rows.append((c, t, role, rng.choice([None, "", "hi </s>", "x" * rng.randrange(300), "a\\b\n" + chat.CLOSE])))
     rows += [(0, 0, "user", "again"), (0, 0, "user", "again"), (7, None, None, "t"), (None, 1, "user", "nobody"), (99, 5, "assistant", "alone")]
     df = spark.createDataFrame(rows, CONV + "").repartition(3)
-    wins = materialise(chat.windows(df, budget=budget, history=20), "windows")
+    library = Tokenizer.from_file(TOK)
+    wins = materialise(chat.windows(df, TOK, budget=budget, history=20), "windows")
     got = {r.conv_id: (r.n_turns, r.turns_sha256, r.loss_chars, r.loss_sha256) for r in chat.digests(wins).collect()}
     assert got == _want(rows)
     for r in wins.collect():
         new = [m for m in r.turns if not m.repeated]
-        assert new and (r.n_tokens <= budget or len(new) == 1)
+        assert new and r.n_tokens == len(library.encode(r.text, add_special_tokens=False).ids)
+        if r.n_tokens > budget:  # one turn that doesn't fit even alone, beside the system turn at most
+            assert len(new) == 1 and len(r.turns) <= 2 and (len(r.turns) == 1 or r.text.startswith(f"{chat.OPEN}system\n"))
         assert not any(m.target and m.repeated for m in r.turns)
 
 
 def test_system_turn_is_repeated(spark):
     rows = [(1, 0, "system", "rules")] + [(1, t, "user" if t % 2 else "assistant", f"turn {t} " * 5) for t in range(1, 9)]
-    got = chat.windows(spark.createDataFrame(rows, CONV), budget=40, history=12).orderBy("window").collect()
+    got = chat.windows(spark.createDataFrame(rows, CONV), TOK, budget=40, history=12).orderBy("window").collect()
     assert len(got) > 2 and all(r.text.startswith(f"{chat.OPEN}system\nrules") for r in got)
     assert [r.turns[0].repeated for r in got] == [False] + [True] * (len(got) - 1)
 
 
+def test_history_gives_way_to_a_new_turn(spark):
+    """System 100, then 700, 150 and 900 tokens: beside the last, the earlier turn must go."""
+    word = lambda n: " ".join(["a"] * n)
+    rows = [(1, 0, "system", word(100)), (1, 1, "user", word(700)), (1, 2, "assistant", word(150)), (1, 3, "user", word(850))]
+    got = chat.windows(spark.createDataFrame(rows, CONV), TOK, budget=1024, history=256).orderBy("window").collect()
+    assert [[m.repeated for m in r.turns] for r in got] == [[False] * 3, [True, False]] and all(r.n_tokens <= 1024 for r in got)
+
+
 def test_chat_empty_and_clashing(spark):
     empty = spark.createDataFrame([], CONV)
-    assert chat.digests(chat.windows(empty)).collect() == []
-    assert chat.digests(chat.windows(chat.with_probe(empty))).first().loss_chars == 21
+    assert chat.digests(chat.windows(empty, TOK)).collect() == []
+    assert chat.digests(chat.windows(chat.with_probe(empty), TOK)).first().loss_chars == 21
     more = spark.createDataFrame([(1, 1, "user", "a", 7, "w")], CONV + ", n int, window string")
-    assert chat.digests(chat.windows(chat.with_probe(more))).count() == 2
+    assert chat.digests(chat.windows(chat.with_probe(more), TOK)).count() == 2
 
 
 @pytest.mark.parametrize("n", [0, 1, 63, 64, 65, 511, 512, 513, 4096, 4097, 40_000, 200_000])
@@ -75,7 +90,7 @@ def test_media_round_trip(n):
     p = media.packets(data)
     assert b"".join(data[o : o + s] for o, s in zip(p["offset"], p["size"], strict=True)) == payload
     assert [c[2] for c in p["cues"]] == p["clusters"] and set(p["track"]) == {1}
-    assert p["timestamp"] == sorted(p["timestamp"])
+    assert p["timestamp"] == [i * media.FRAME * 1000 // media.SAMPLE_RATE for i in range(len(p["size"]))]
 
 
 def _block(lacing, frames):
@@ -117,6 +132,22 @@ def test_media_tables(spark, odd_docs):
             assert r["sum(byte_size)"] == want[r.doc_id].payload_bytes
 
 
+def test_digests_against_plain_values(spark, odd_docs):
+    """Every contract column, from the texts alone; equal texts have equal values."""
+    got = media.digests(odd_docs).collect()
+    texts = odd_docs.select("doc_id", "text").collect()
+    want = []
+    for r in texts:
+        raw = (r.text or "").encode()
+        payload = raw + bytes(-len(raw) % 64 if raw else 64)
+        want.append((r.doc_id, len(raw), len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:])))
+    key = lambda x: tuple(map(str, x))
+    assert sorted((tuple(r)[:5] for r in got), key=key) == sorted(want, key=key)
+    assert len({tuple(r)[1:] for r in got}) == len({r.text or "" for r in texts})
+    files = {r.doc_id: r.media for r in media.store(odd_docs).collect()}
+    assert all(r.media_bytes == len(files[r.doc_id]) and r.media_sha256 == hashlib.sha256(files[r.doc_id]).hexdigest() for r in got if r.doc_id not in (3, None))
+
+
 def test_pipeline_stages(spark, small):
     docs = table(spark, small, "documents")
     columns, n = docs.columns, docs.count()
