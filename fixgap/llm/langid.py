@@ -5,7 +5,8 @@ the sum over all ways to segment it into pieces, by a forward pass over its char
 the sum of its words' log probabilities plus the language's log prior. Piece probabilities are fitted by expectation
 maximisation with the forward-backward sums over words of a bounded sample of labelled documents.
 
-Words are the maximal runs of letters, lower-cased. A text with no letter, an empty or a null text is `und` with score 0.
+Words are the maximal runs of letters (Unicode category L; numbers such as a superscript two aren't letters), lower-cased. The model
+is fitted on all words of a sample of documents whose size is a parameter (SAMPLE_DOCS a language). A text with no letter, an empty or a null text is `und` with score 0.
 Languages that are null or not in the sample are never predicted. Repeated rows stay; extra columns are ignored; with no
 labelled document every prediction is `und`. Texts of any length are scored whole; work a word costs is shared through a
 bounded per-task cache, since the same word always gets the same scores.
@@ -22,24 +23,29 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import materialise
-
-WORD = re.compile(r"[^\W\d_]+")
-SAMPLE_DOCS = 1000  # labelled documents a language that the model is fitted on, at most
-MAX_WORDS = 12_000  # most frequent distinct words a language used in fitting
+_RUN = re.compile(r"[^\W\d_]+")  # letters, and numbers that aren't decimal digits
+SAMPLE_DOCS = 300  # labelled documents a language that the model is fitted on, in expectation at most
 ROUNDS = 4
 CACHE_WORDS = 500_000
 MAX_PIECE = 16
 SCHEMA = "doc_id long, held_out boolean, lang_pred string, score double"
 
 
+def words_of(text: str | None) -> list[str]:
+    """The maximal runs of letters, lower-cased."""
+    found = _RUN.findall((text or "").lower())
+    if text and not text.isascii() and not all(map(str.isalpha, found)):
+        found = [w for x in found for w in (x if x.isalpha() else "".join(c if c.isalpha() else " " for c in x)).split()]
+    return found
+
+
 def public_pieces(path: str) -> list[str]:
     """Lower-cased pieces of a sentencepiece vocabulary; its word-start mark is kept as a space."""
     import sentencepiece
 
     model = sentencepiece.SentencePieceProcessor(model_file=path)
     found = {model.id_to_piece(i).lower().replace("▁", " ") for i in range(model.get_piece_size()) if not (model.is_control(i) or model.is_unknown(i) or model.is_byte(i))}
-    return sorted(p for p in found if p.strip() and " " not in p[1:] and p[:1] + p[1:].strip() == p and len(p) <= MAX_PIECE and WORD.fullmatch(p.strip()))
+    return sorted(p for p in found if p.strip() and " " not in p[1:] and p[:1] + p[1:].strip() == p and len(p) <= MAX_PIECE and p.strip().isalpha())
 
 
 class Lattice:
@@ -182,33 +188,29 @@ def split(held_key: str = "doc_id", mod: int = 4, fold: int = 2):
 
 
 def train(docs: DataFrame, pieces: list[str], sample_docs: int = SAMPLE_DOCS) -> Model:
-    """Fit on the documents with the smallest hashes of each language, at most `sample_docs`, outside the held-out fold."""
-    labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~split()).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"))
-    totals = {r["lang"]: r["n"] for r in labelled.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}
+    """Fit on the documents with the smallest hashes of each language, `sample_docs` in expectation at most, outside the held-out fold."""
+    labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~split())
+    totals = {r["lang"]: r["n"] for r in labelled.groupBy(F.col("lang").cast("string").alias("lang")).agg(F.count(F.lit(1)).alias("n")).collect()}  # a row for each language
     if not totals:
         return fit({}, {}, pieces)
-    share = F.lit(None).cast("double")
-    for lang, n in totals.items():
-        share = F.when(F.col("lang") == lang, F.lit(min(1.0, sample_docs / n))).otherwise(share)
+    shares = F.create_map(*[F.lit(x) for lang, n in sorted(totals.items()) for x in (lang, min(1.0, sample_docs / n))])
     # A share of a language's hashes: the sample's size is bounded in expectation and needs no sort of the corpus.
-    draw = (F.pmod(F.xxhash64(F.col("doc_id").cast("string")), F.lit(1 << 20)) / float(1 << 20)) < share
-    sample = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~split()).where(draw)
+    draw = (F.pmod(F.xxhash64(F.col("doc_id").cast("string")), F.lit(1 << 20)) / float(1 << 20)) < shares[F.col("lang").cast("string")]
+    sample = labelled.where(draw)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found: dict[str, Counter] = {}
         for b in batches:
             for text, lang in zip(b.column("text").to_pylist(), b.column("lang").to_pylist(), strict=True):
-                found.setdefault(lang, Counter()).update(WORD.findall(text.lower()))
+                found.setdefault(lang, Counter()).update(words_of(text))
         rows = [(lang, w, n) for lang, c in found.items() for w, n in c.items()]
         cols = list(zip(*rows, strict=True)) if rows else [[]] * 3
         yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.string()), pa.array(cols[1], pa.string()), pa.array(cols[2], pa.int64())], names=["lang", "word", "n"])
 
     words = sample.select(F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).mapInArrow(count, "lang string, word string, n long")
-    ranked = materialise(words.groupBy("lang", "word").agg(F.sum("n").alias("n")), "words")
-    counts: dict[str, Counter] = {}
-    for lang in sorted(totals):
-        top = ranked.where(F.col("lang") == lang).orderBy(F.desc("n"), "word").limit(MAX_WORDS).select("word", "n").toPandas()
-        counts[lang] = Counter(dict(zip(top["word"], top["n"].astype(int), strict=True)))
+    counts: dict[str, Counter] = {lang: Counter() for lang in sorted(totals)}
+    for lang, word, n in words.groupBy("lang", "word").agg(F.sum("n").alias("n")).toPandas().itertuples(index=False):  # the sample's distinct words
+        counts[lang][word] = int(n)
     counts = {k: v for k, v in counts.items() if v}
     return fit(counts, {k: totals[k] for k in counts}, pieces)
 
@@ -221,7 +223,7 @@ def predict(docs: DataFrame, model: Model) -> DataFrame:
         model, cache = shared.value, {}
         scores = np.empty((0, len(model.langs)))
         for b in batches:
-            texts = [WORD.findall((x or "").lower()) for x in b.column("text").to_pylist()]
+            texts = [words_of(x) for x in b.column("text").to_pylist()]
             if len(cache) > CACHE_WORDS:
                 cache, scores = {}, scores[:0]
             fresh = list(dict.fromkeys(w for ws in texts for w in ws if w not in cache)) if model.langs else []
