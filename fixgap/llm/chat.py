@@ -1,16 +1,19 @@
 """Chat formatting in budgeted windows.
 
 Turns are written in a marked template, control strings inside texts are escaped reversibly, and a conversation becomes
-one or more windows of whole turns. Prefix sums of turn tokens decide where a window ends: a window holds the leading
-system turn again, then as many of the latest earlier turns as fit `history` tokens, then new turns up to the budget.
-Every turn is new in exactly one window; a repeated assistant turn is masked, so each assistant text is a target once.
+one or more windows of whole turns. A turn's tokens are those of its formatted text under a public tokenizer. Prefix sums of
+them, by a window function, decide where a window ends: a window holds the leading system turn again, then as many of the latest
+earlier turns as fit `history` tokens, then new turns up to the budget. Where the first new turn doesn't fit beside them, earlier
+turns go, the oldest first. Every turn is new in exactly one window; a repeated assistant turn is masked, so each assistant text
+is a target once.
 
-Rows are brought together by conversation and sorted by turn; a task then streams over them and keeps the current
-window and its history only, so the memory needed is bounded by the budget and the longest turn, not by a conversation.
+Rows are brought together by conversation and sorted by turn (a conversation is one key: its windows follow from one another,
+and its digest is of all its turns in order); a task streams over them and keeps the current window and its history only, so
+the memory needed is bounded by the budget and the longest turn, not by a conversation.
 
 Nulls: a null text is empty; a null role is written as an empty role; a null turn comes first; rows of a null
-conversation form one conversation. Equal turn numbers are ordered by role, then text; repeated rows stay. A turn above
-the budget gets a window of its own and is never cut. Extra columns are ignored; an empty table gives no windows.
+conversation form one conversation. Equal turn numbers are ordered by role, then text; repeated rows stay. A turn that, alone
+or with the system turn, is above the budget gets a window of its own, beside the system turn, and is never cut. Extra columns are ignored; an empty table gives no windows.
 """
 
 from __future__ import annotations
@@ -20,9 +23,11 @@ import re
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import words
+
 # The strings of the template and other common templates' control strings, which must not appear inside a text.
 OPEN, CLOSE = "<|im_start|>", "<|im_end|>"
 CONTROLS = ["<|im_start|>", "<|im_end|>", "<|endoftext|>", "<s>", "</s>", "[INST]", "[/INST]", "<<SYS>>", "<</SYS>>"]
@@ -50,9 +55,25 @@ def unescape_role(text: str) -> str:
     return _UNESCAPE.sub(lambda m: "\n" if m[1] == "n" else m[1], text)
 
 
-def tokens_of(text: Column) -> Column:
-    """The default measure of a turn: a token for every four bytes begun, and four for the turn's marks."""
-    return (F.octet_length(F.coalesce(text, F.lit(""))) + F.lit(3)) / F.lit(4) + F.lit(4)
+def formatted(role: str, text: str) -> tuple[str, str]:
+    """A turn's opening line and its escaped text."""
+    return f"{OPEN}{escape_role(role)}\n", escape(text)
+
+
+def _counted(tokenizer: str):
+    """Adds the number of tokens of each formatted turn."""
+    dtype = words.width(tokenizer)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = words.table_of_worker(tokenizer, dtype, 1 << 18)
+        for b in batches:
+            n = []
+            for role, text in zip(b.column("role").to_pylist(), b.column("text").to_pylist(), strict=True):
+                at = table.places(words.split(("".join(formatted(role, text)) + CLOSE).encode()))
+                n.append(int(table.lens[at].sum()))
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(n, pa.int64())], names=[*b.schema.names, "n"])
+
+    return run
 
 
 class _Windows:
@@ -64,17 +85,23 @@ class _Windows:
         self.system: tuple | None = None
         self.new: list[tuple] = []  # (role, text, tokens) of the open window
         self.past: list[tuple] = []  # the latest turns before it, within the limit
-        self.first, self.number, self.prefix, self.base = True, 0, 0, 0
+        self.first, self.number, self.upto, self.base = True, 0, 0, 0
 
     def begin(self, conv: int | None) -> None:
         self.conv, self.system, self.new, self.past = conv, None, [], []
-        self.first, self.number, self.prefix, self.base = True, 0, 0, 0
+        self.first, self.number, self.upto, self.base = True, 0, 0, 0
+
+    def held(self) -> int:
+        """Tokens of repeated turns."""
+        return (self.system[2] if self.system else 0) + sum(x[2] for x in self.past)
 
-    def add(self, role: str, text: str, n: int) -> Iterator[tuple]:
-        held = (self.system[2] if self.system else 0) + sum(x[2] for x in self.past)
-        if self.new and held + self.prefix + n - self.base > self.budget:
+    def add(self, role: str, text: str, n: int, upto: int) -> Iterator[tuple]:
+        """The next turn: its tokens, and all tokens of the conversation up to it."""
+        if self.new and self.held() + upto - self.base > self.budget:
             yield self.close()
-        self.prefix += n
+        while not self.new and self.past and self.held() + upto - self.base > self.budget:
+            self.past.pop(0)
+        self.upto = upto
         self.new.append((role, text, n))
         if self.first and role == "system":
             self.system = None  # it is new in this window; repeated from the next one on
@@ -87,12 +114,12 @@ class _Windows:
         repeated = ([self.system] if self.system else []) + self.past
         parts, turns, at = [], [], 0
         for i, (role, text, _) in enumerate([*repeated, *self.new]):
-            head, body = f"{OPEN}{escape_role(role)}\n", escape(text)
+            head, body = formatted(role, text)
             parts.append(f"{head}{body}{CLOSE}\n")
             old = i < len(repeated)
             turns.append({"start": at + len(head), "end": at + len(head) + len(body), "repeated": old, "target": not old and role == "assistant"})
             at += len(parts[-1])
-        row = (self.conv, self.number, "".join(parts), turns, sum(x[2] for x in repeated) + self.prefix - self.base)
+        row = (self.conv, self.number, "".join(parts), turns, sum(x[2] for x in repeated) + self.upto - self.base)
         self.system = self.pending
         pool = [x for x in [*self.past, *self.new] if x is not self.pending]
         kept, left = [], self.limit
@@ -101,12 +128,12 @@ class _Windows:
                 break
             kept.append(x)
             left -= x[2]
-        self.past, self.new, self.base, self.number = kept[::-1], [], self.prefix, self.number + 1
+        self.past, self.new, self.base, self.number = kept[::-1], [], self.upto, self.number + 1
         return row
 
 
-def windows(turns: DataFrame, budget: int = 1024, history: int = 256, tokens=tokens_of) -> DataFrame:
-    """conv_id, window, text, turns (ranges in code points, repeated, target), n_tokens."""
+def windows(turns: DataFrame, tokenizer: str, budget: int = 1024, history: int = 256) -> DataFrame:
+    """conv_id, window, text, turns (ranges in code points, repeated, target), n_tokens. tokenizer: path of a tokenizers file."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         state, some, out = _Windows(budget, history), False, []
@@ -118,13 +145,13 @@ def windows(turns: DataFrame, budget: int = 1024, history: int = 256, tokens=tok
             return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=names)
 
         for b in batches:
-            for conv, role, text, n in zip(*(b.column(c).to_pylist() for c in ("conv_id", "role", "text", "n")), strict=True):
+            for conv, role, text, n, upto in zip(*(b.column(c).to_pylist() for c in ("conv_id", "role", "text", "n", "upto")), strict=True):
                 if not some or conv != state.conv:
                     if some:
                         out.append(state.close())
                     state.begin(conv)
                     some = True
-                out.extend(state.add(role, text, n))
+                out.extend(state.add(role, text, n, upto))
             if len(out) > 500:
                 yield flush()
         if some:
@@ -135,8 +162,11 @@ def windows(turns: DataFrame, budget: int = 1024, history: int = 256, tokens=tok
     rows = turns.select(
         F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"),
         F.coalesce(F.col("role").cast("string"), F.lit("")).alias("role"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"),
-    ).withColumn("n", tokens(F.col("text")).cast("long"))
-    return rows.repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "text").select("conv_id", "role", "text", "n").mapInArrow(run, WINDOW)
+    )
+    counted = rows.mapInArrow(_counted(tokenizer), "conv_id long, turn long, role string, text string, n long")
+    line = Window.partitionBy("conv_id").orderBy("turn", "role", "text").rowsBetween(Window.unboundedPreceding, 0)
+    summed = counted.repartition("conv_id").withColumn("upto", F.sum("n").over(line))
+    return summed.sortWithinPartitions("conv_id", "turn", "role", "text", "upto").select("conv_id", "role", "text", "n", "upto").mapInArrow(run, WINDOW)
 
 
 _TURN = re.compile(re.escape(OPEN) + r"([^\n]*)\n(.*?)" + re.escape(CLOSE) + "\n", re.DOTALL)

@@ -57,7 +57,7 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return chat.digests(chat.windows(chat.with_probe(table(spark, sf_dir, "conversations"))))
+    return chat.digests(chat.windows(chat.with_probe(table(spark, sf_dir, "conversations")), public_tokenizers.path(WORD_BPE)))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
