@@ -4,9 +4,9 @@ The symbols are blocks of `step` bytes, and the transform is over suffixes at ev
 byte i is the block that ends at i, so the suffixes of one string form `step` chains, each with an end of its own. A shard
 sorts its own suffixes once. Merging never sorts suffixes of different shards: an interleave (which shard gives the next
 suffix) starts as one shard after another and is refined; a round deals the shards' transform symbols, in the present
-order, stably into their buckets, which orders all suffixes by one more symbol. Along with it, a boundary appears between
-neighbours as soon as they differ, so after h rounds the stretches without a boundary are the repeated intervals: suffixes
-that share a prefix of h blocks.
+order, stably into their buckets, which orders all suffixes by one more symbol. A boundary appears between neighbours in the
+first round that tells them apart and stays there, so that round gives the length of their common prefix (one less, in blocks).
+The repeated intervals are the stretches whose common prefixes are long enough.
 """
 
 from __future__ import annotations
@@ -104,8 +104,8 @@ class Shard:
         self.place, self.n_ends, self.before = order, n_ends, before[order]
 
 
-def repeated_intervals(shards: list[Shard], depth: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Interleave after `depth` rounds: shard and place of each suffix in merged order, and the number of its interval."""
+def merge(shards: list[Shard], depth: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Merged order by the first `depth` symbols: shard and place of each suffix, and the common prefix (in blocks, `depth` at most) with the one before it."""
     if len(shards) > 1 << 16:
         raise ValueError("too many shards for one merge")
     source = np.repeat(np.arange(len(shards)), [len(s.place) for s in shards]).astype(np.uint16)
@@ -113,24 +113,35 @@ def repeated_intervals(shards: list[Shard], depth: int) -> tuple[np.ndarray, np.
     # symbols as small integers, the same in all shards; 0 is the mark
     kinds, flat = np.unique(np.concatenate([s.before for s in shards] + [np.zeros(1, np.uint64)]), return_inverse=True)
     flat = flat[:-1].astype(np.int64)
-    group = np.zeros(len(source), np.int64)
-    for _ in range(depth):
+    n, total = len(ends), len(source)
+    common = np.full(total, -1, np.int32)  # -1: no boundary yet
+    group = np.zeros(total, np.int64)
+    for known in range(depth):
         # the transform symbols in the present order: each shard's own, one after another
-        turn = np.argsort(source, kind="stable") if len(shards) > 1 else np.arange(len(source))
-        symbol = np.empty(len(source), np.int64)
+        turn = np.argsort(source, kind="stable") if len(shards) > 1 else np.arange(total)
+        symbol = np.empty(total, np.int64)
         symbol[turn] = flat
         moving = np.flatnonzero(symbol)
-        to = moving[np.argsort(symbol[moving] * len(source) + np.arange(len(moving)))]  # stable
+        to = moving[np.argsort(symbol[moving] * total + np.arange(len(moving)))]  # stable
         s, g = symbol[to], group[to]
-        edge = np.ones(len(source), bool)
-        n = len(ends)
+        edge = np.ones(total, bool)
         edge[n + 1 :] = (s[1:] != s[:-1]) | (g[1:] != g[:-1])
+        common[edge & (common < 0)] = known
         source = np.concatenate([ends, source[to]])
         group = np.cumsum(edge) - 1
+    common[common < 0] = depth
     turn = np.argsort(source, kind="stable")
-    place = np.empty(len(source), np.int64)
+    place = np.empty(total, np.int64)
     place[turn] = np.concatenate([s.place for s in shards])
-    return source, place, group
+    return source, place, common
+
+
+def repeated_intervals(common: np.ndarray, depth: int) -> np.ndarray:
+    """Which suffixes of the merged order share a prefix of `depth` blocks with a neighbour."""
+    joined = common >= depth
+    if len(joined):
+        joined[0] = False
+    return joined | np.concatenate([joined[1:], [False]]) if len(joined) else joined
 
 
 def repeated_windows(strings: list[bytes], length: int, step: int, shard_bytes: int = 1 << 20) -> list[np.ndarray]:
@@ -149,8 +160,8 @@ def repeated_windows(strings: list[bytes], length: int, step: int, shard_bytes:
     out = [np.zeros(max(0, len(s) - length + 1), bool) for s in strings]
     if not shards:
         return out
-    source, place, group = repeated_intervals(shards, length // step)
-    many = np.bincount(group)[group] > 1
+    source, place, common = merge(shards, length // step)
+    many = repeated_intervals(common, length // step)
     for k, g in enumerate(x for x in groups if x):
         here = place[many & (source == k)]
         lens = np.array([len(strings[i]) + 1 for i in g])
