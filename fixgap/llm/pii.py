@@ -1,13 +1,14 @@
 """Personal data: exact patterns, and a character-level bidirectional LSTM with CRF transitions that adds spans.
 
 The patterns give emails, IPv4 addresses, payment cards (Luhn) and international phone numbers. The tagger is trained in
-numpy on labelled spans: pattern matches in a bounded sample of documents, and rewritten forms of them that the patterns
-miss (no country code, other separators, spaces around the at sign). It reads overlapping windows; where windows overlap a
-character's scores are averaged by how central it is, and one Viterbi pass runs over each joined stretch, so a span that
-crosses windows is decoded once.
+numpy on labelled spans: pattern matches in a bounded sample of documents (SAMPLE_DOCS, TRAIN_WINDOWS), and rewritten forms of
+them that the patterns miss (no country code, other separators, spaces around the at sign). It reads overlapping windows; where
+windows overlap a character's scores are averaged by how central it is, and one Viterbi pass runs over each joined stretch, so a
+span that crosses windows is decoded once, however long the stretch.
 
-A tagged span counts only if it holds a digit or an at sign, passes its kind's check, and meets no pattern match. So windows
-without a digit or an at sign can't give a span and aren't computed: the result is that of reading every window.
+A tagged span counts only if it holds a digit or an at sign, passes its kind's check, and meets no pattern match. So the tagger
+reads the windows with a digit or an at sign and MARGIN more on either side; a tagged span that reaches further than those from
+every digit and at sign would be cut there.
 
 Nulls: a null text is empty. Repeated rows stay; extra columns are ignored; without labelled spans only patterns are used. Long
 texts are tagged in bounded batches of windows. Offsets are code points, ends exclusive.
@@ -17,11 +18,12 @@ from __future__ import annotations
 
 import hashlib
 import re
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 KINDS = ["email", "ip", "card", "phone"]
@@ -36,7 +38,12 @@ LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz012345678
 
 SAMPLE_DOCS = 20_000  # documents looked at for labelled spans, in expectation at most
 TRAIN_WINDOWS = 3000
+FORMS = 2  # rewritten forms of each labelled span
+STEPS = 500  # of training, in batches of 64 windows
+OTHERS = 40  # one in so many digits and at signs outside spans is an example too, drawn by hash
 WINDOW, STRIDE = 64, 32
+MARGIN = 1  # windows read beyond those with a digit or an at sign
+PART = 1024  # windows computed at once
 EMBED, HIDDEN = 12, 16
 
 
@@ -56,7 +63,7 @@ def valid(kind: str, s: str) -> bool:
     if kind == "email":
         return "@" in s
     if kind == "ip":
-        return all(len(p) < 10 and int(p) <= 255 for p in s.split("."))
+        return all(len(p) <= 3 and int(p or "0") <= 255 for p in (x.lstrip("0") for x in s.split(".")))
     n = only_digits(s)
     return 12 <= len(n) <= 19 and luhn(n) if kind == "card" else 9 <= len(n) <= 15
 
@@ -219,42 +226,61 @@ class Tagger:
             losses.append(total / max(len(codes), 1))
         return losses
 
-    def viterbi(self, e: np.ndarray) -> np.ndarray:
-        """Best tags of one stretch's scores [T, TAGS]; an inside tag follows its own kind only."""
+    def viterbi(self, parts: Iterator[np.ndarray]) -> np.ndarray:
+        """Best tags of one stretch, whose scores [T, TAGS] come in parts; an inside tag follows its own kind only."""
         allowed = np.zeros((TAGS, TAGS), np.float32)
         for k in range(len(KINDS)):
             bad = [t for t in range(TAGS) if t not in (1 + 2 * k, 2 + 2 * k)]
             allowed[bad, 2 + 2 * k] = -1e9
         tr = self.p["trans"] + allowed
-        score = e[0].copy()
-        score[2::2] = -1e9
-        back = np.zeros(e.shape, np.int8)
-        for t in range(1, len(e)):
-            s = score[:, None] + tr
-            back[t] = s.argmax(0)
-            score = s.max(0) + e[t]
-        tags = np.empty(len(e), np.int8)
+        score, backs = None, []
+        for e in parts:
+            back = np.zeros(e.shape, np.int8)
+            for t in range(len(e)):
+                if score is None:
+                    score = e[0].copy()
+                    score[2::2] = -1e9
+                    continue
+                s = score[:, None] + tr
+                back[t] = s.argmax(0)
+                score = s.max(0) + e[t]
+            score = score - score.max()
+            backs.append(back)
+        back = np.concatenate(backs)
+        tags = np.empty(len(back), np.int8)
         tags[-1] = score.argmax()
-        for t in range(len(e) - 1, 0, -1):
+        for t in range(len(back) - 1, 0, -1):
             tags[t - 1] = back[t, tags[t]]
         return tags
 
-    def stretches(self, codes: np.ndarray, anchors: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
-        """Tags of the joined windows that hold an anchor: (start, tags)."""
-        last = max(0, -(-(len(codes) - WINDOW) // STRIDE))
-        lo, hi = np.maximum(0, -(-(anchors - WINDOW + 1) // STRIDE)), np.minimum(anchors // STRIDE, last)
-        numbers = np.unique(np.concatenate([np.arange(a, b + 1) for a, b in zip(lo, hi, strict=True)]))
-        runs = np.split(numbers, np.flatnonzero(np.diff(numbers) > 1) + 1)
+    def _scores(self, codes: np.ndarray, run: np.ndarray) -> Iterator[np.ndarray]:
+        """Scores of the characters under a run of windows, in parts; what later windows add to is carried on."""
+        start, end = int(run[0]) * STRIDE, min(int(run[-1]) * STRIDE + WINDOW, len(codes))
         weight = np.minimum(np.arange(WINDOW) + 1, WINDOW - np.arange(WINDOW)).astype(np.float32)
-        for run in (part for r in runs for part in np.array_split(r, -(-len(r) // 4096))):
-            start, end = int(run[0]) * STRIDE, min(int(run[-1]) * STRIDE + WINDOW, len(codes))
-            at = run[:, None] * STRIDE + np.arange(WINDOW)
+        left, done = np.zeros((0, TAGS + 1), np.float32), 0
+        for first in range(0, len(run), PART):
+            part = run[first : first + PART]
+            at = part[:, None] * STRIDE + np.arange(WINDOW)
             e = self.emissions(np.where(at < len(codes), codes[np.minimum(at, len(codes) - 1)], CLASSES))
-            total, mass = np.zeros((end - start + WINDOW, TAGS), np.float32), np.zeros(end - start + WINDOW, np.float32)
-            for w, a in enumerate((run * STRIDE - start).tolist()):
-                total[a : a + WINDOW] += e[w] * weight[:, None]
-                mass[a : a + WINDOW] += weight
-            yield start, self.viterbi(total[: end - start] / mass[: end - start, None])
+            total = np.zeros(((len(part) - 1) * STRIDE + WINDOW, TAGS + 1), np.float32)  # the last column sums weights
+            total[: len(left)] += left
+            for w in range(len(part)):
+                total[w * STRIDE : w * STRIDE + WINDOW, :TAGS] += e[w] * weight[:, None]
+                total[w * STRIDE : w * STRIDE + WINDOW, TAGS] += weight
+            ready = len(part) * STRIDE if first + PART < len(run) else end - start - done
+            yield total[:ready, :TAGS] / total[:ready, TAGS:]
+            left, done = total[ready:], done + ready
+
+    def stretches(self, codes: np.ndarray, anchors: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+        """Tags of the joined windows around anchors: (start, tags)."""
+        last = max(0, -(-(len(codes) - WINDOW) // STRIDE))
+        lo, hi = np.maximum(0, -(-(anchors - WINDOW + 1) // STRIDE) - MARGIN), np.minimum(anchors // STRIDE + MARGIN, last)
+        edge = np.zeros(last + 2, np.int64)
+        np.add.at(edge, lo, 1)
+        np.add.at(edge, hi + 1, -1)
+        numbers = np.flatnonzero(np.cumsum(edge[:-1]) > 0)
+        for run in np.split(numbers, np.flatnonzero(np.diff(numbers) > 1) + 1):
+            yield int(run[0]) * STRIDE, self.viterbi(self._scores(codes, run))
 
     def spans(self, text: str, base: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
         anchors = np.array([m.start() for m in ANCHOR.finditer(text)], np.int64)
@@ -300,8 +326,22 @@ def rewritten(kind: int, s: str, rng: np.random.Generator) -> str:
     return [f"({d[:3]}) {d[3:6]}-{d[6:]}", f"{d[:3]}-{d[3:6]}-{d[6:]}", f"{d[:3]}.{d[3:6]}.{d[6:]}"][r]
 
 
-def examples(texts: list[str], most: int = TRAIN_WINDOWS, seed: int = 3) -> tuple[np.ndarray, np.ndarray]:
-    """Windows around labelled spans, their rewritten forms, and around other digits; tags by character."""
+#: A stretch of text around a span or another anchor: kind (-1: no span), text, where it starts there, and all spans in it.
+EXAMPLE = "kind int, part string, near int, spans array<struct<a:int,k:int,b:int>>"
+
+
+def stretches_of(text: str) -> Iterator[tuple[int, str, int, list[dict]]]:
+    """EXAMPLE rows of a text: one for every pattern match, and one in OTHERS of the other anchors."""
+    spans = base_spans(text)
+    near = [(k, a) for a, k, _ in spans]
+    near += [(-1, m.start()) for m in ANCHOR.finditer(text) if not zlib.crc32(text[m.start() : m.start() + 40].encode()) % OTHERS and not any(a - 4 <= m.start() < b + 4 for a, _, b in spans)]
+    for kind, at in near:
+        lo, hi = max(0, at - 2 * WINDOW), at + 2 * WINDOW
+        yield kind, text[lo:hi], at - lo, [{"a": a - lo, "k": k, "b": b - lo} for a, k, b in spans if a >= lo and b <= hi]
+
+
+def examples(rows: list[tuple[int, str, int, list[tuple[int, int, int]]]], seed: int = 3) -> tuple[np.ndarray, np.ndarray]:
+    """Windows around labelled spans, their rewritten forms, and around other anchors; tags by character."""
     rng = np.random.default_rng(seed)
     codes, tags = [], []
 
@@ -317,23 +357,22 @@ def examples(texts: list[str], most: int = TRAIN_WINDOWS, seed: int = 3) -> tupl
         codes.append(c)
         tags.append(t)
 
-    for text in texts:
-        spans = base_spans(text)
+    for kind, part, near, spans in rows:
+        add(part, spans, near)
         for a, k, b in spans:
-            add(text, spans, a)
-            new = rewritten(k, text[a:b], rng)
-            around = text[max(0, a - WINDOW) : a], text[b : b + WINDOW]
-            add(around[0] + new + around[1], [(len(around[0]), k, len(around[0]) + len(new))], len(around[0]))
-        for m in list(ANCHOR.finditer(text))[:: max(1, 40)]:
-            if not any(a - 4 <= m.start() < b + 4 for a, _, b in spans):
-                add(text, spans, m.start())
-        if len(codes) >= most:
-            break
-    return (np.array(codes[:most]), np.array(tags[:most])) if codes else (np.zeros((0, WINDOW), np.int16), np.zeros((0, WINDOW), np.int64))
-
-
-def train(docs: DataFrame, sample_docs: int = SAMPLE_DOCS, epochs: int = 8) -> Tagger | None:
-    """Fit on documents with digits or at signs among those with the smallest hashes of their ids."""
+            if k == kind and a == near:
+                for _ in range(FORMS):
+                    new = rewritten(k, part[a:b], rng)
+                    add(part[:a] + new + part[b:], [x for x in spans if x[2] <= a] + [(a, k, a + len(new))] + [(x + len(new) - b + a, y, z + len(new) - b + a) for x, y, z in spans if x >= b], a)
+    return (np.array(codes), np.array(tags)) if codes else (np.zeros((0, WINDOW), np.int16), np.zeros((0, WINDOW), np.int64))
+
+
+def train(docs: DataFrame, sample_docs: int = SAMPLE_DOCS, epochs: int | None = None, windows: int = TRAIN_WINDOWS) -> Tagger | None:
+    """Fit on documents with digits or at signs among those with the smallest hashes of their ids.
+
+    Of the sample's spans each kind gives those with the smallest hashes, each as it is and in rewritten forms; other anchors give
+    as many as a kind's spans. Together that is `windows` at most.
+    """
     total = docs.count()
     if not total:
         return None
@@ -341,26 +380,27 @@ def train(docs: DataFrame, sample_docs: int = SAMPLE_DOCS, epochs: int = 8) -> T
     some = docs.where((u < min(1.0, sample_docs / total)) & F.col("text").cast("string").rlike("[0-9@]"))
 
     def around(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kinds = [pa.int32(), pa.string(), pa.int32(), pa.list_(pa.struct([("a", pa.int32()), ("k", pa.int32()), ("b", pa.int32())]))]
         for b in batches:
-            doc, parts = [], []
-            for i, t in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist(), strict=True):
-                if spans := base_spans(t):
-                    a = spans[0][0]
-                    doc.append(i)
-                    parts.append(t[max(0, a - 400) : spans[0][2] + 400])  # a stretch of the sampled text to learn from
-            yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(parts, pa.string())], names=["doc_id", "text"])
-
-    rows = some.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(around, "doc_id long, text string").orderBy(F.xxhash64("doc_id"), "text").limit(TRAIN_WINDOWS).toPandas()
-    codes, tags = examples(rows.text.tolist())
-    if not len(codes):
+            rows = [r for t in b.column("text").to_pylist() for r in stretches_of(t)]
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=["kind", "part", "near", "spans"])
+
+    found = some.select(F.col("text").cast("string").alias("text")).mapInArrow(around, EXAMPLE)
+    draw = F.xxhash64("part", "near")
+    # one kind is one key here; its rows are short stretches of a bounded sample
+    first = found.withColumn("r", F.row_number().over(Window.partitionBy("kind").orderBy(draw, "part", "near"))).where(F.col("r") <= windows // (len(KINDS) * (1 + FORMS) + 1))
+    rows = [(r.kind, r.part, r.near, [tuple(x) for x in r.spans]) for r in first.orderBy("kind", "r").collect()]
+    codes, tags = examples(rows)
+    if not tags.any():
         return None
     tagger = Tagger()
-    tagger.train(codes, tags, epochs)
+    tagger.train(codes, tags, epochs or -(-STEPS * 64 // len(codes)))
     return tagger
 
 
 def find(docs: DataFrame, tagger: Tagger | None) -> DataFrame:
-    """doc_id, counts of base spans by kind, base_sha256, spans (base and added), n_added."""
+    """doc_id, counts of base spans by kind, base_sha256, spans (base and added), n_added, n_spans (base and added)."""
     shared = docs.sparkSession.sparkContext.broadcast(tagger)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -370,17 +410,17 @@ def find(docs: DataFrame, tagger: Tagger | None) -> DataFrame:
             rows: list[tuple] = []
             for text in b.column("text").to_pylist():
                 if not text or not ANCHOR.search(text):
-                    rows.append((0, 0, 0, 0, nothing, "", 0))
+                    rows.append((0, 0, 0, 0, nothing, "", 0, 0))
                     continue
                 base = base_spans(text)
                 more = tagger.spans(text, base) if tagger else []
                 counts = [sum(k == i for _, k, _ in base) for i in range(4)]
-                rows.append((*counts, hashlib.sha256(show(base).encode()).hexdigest(), show(sorted(base + more)), len(more)))
-            cols = list(zip(*rows, strict=True)) if rows else [[]] * 7
-            kinds = [pa.int64()] * 4 + [pa.string(), pa.string(), pa.int64()]
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], names=["doc_id", "n_email", "n_ip", "n_card", "n_phone", "base_sha256", "spans", "n_added"])
+                rows.append((*counts, hashlib.sha256(show(base).encode()).hexdigest(), show(sorted(base + more)), len(more), len(base) + len(more)))
+            cols = list(zip(*rows, strict=True)) if rows else [[]] * 8
+            kinds = [pa.int64()] * 4 + [pa.string(), pa.string(), pa.int64(), pa.int64()]
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], names=["doc_id", "n_email", "n_ip", "n_card", "n_phone", "base_sha256", "spans", "n_added", "n_spans"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long, n_spans long")
 
 
 def redacted(text: str | None, tagger: Tagger | None) -> str | None:

@@ -199,26 +199,90 @@ def test_tagger_gradients():
         assert abs((a - b) / 2e-2 - g[k][at]) < 2e-3
 
 
-def test_base_spans_stay_and_forms_are_added(spark):
-    docs = table(spark, "/root/testdata/sf0.01", "documents")
-    tagger = pii.train(docs)
-    for r in pii.find(docs, tagger).collect():
-        assert r.base_sha256 == hashlib.sha256(b"").hexdigest() or r.spans
-    text = "write to jo.doe @ mail3.example.com or 46.139.188.94 now"
-    base = pii.base_spans(text)
-    assert [text[a:b] for a, _, b in base] == ["46.139.188.94"]
-    assert set(base) <= set(base + tagger.spans(text, base))
+PLAIN = {"email": EMAIL, "ip": IP, "card": re.compile(r"[0-9]([\x20-]?[0-9])+"), "phone": re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")}
+
+
+def _plain_spans(text):
+    """Base spans by the patterns as they are stated."""
+    out = []
+    for k, (kind, pattern) in enumerate(PLAIN.items()):
+        for m in pattern.finditer(text):
+            digits = [int(c) for c in m[0] if c in "0123456789"]
+            luhn = sum(sum(divmod(d * (1 + i % 2), 10)) for i, d in enumerate(reversed(digits))) % 10 == 0
+            if {"email": True, "ip": kind == "ip" and all(int(p) <= 255 for p in m[0].split(".")), "card": 12 <= len(digits) <= 19 and luhn, "phone": 9 <= len(digits) <= 15}[kind]:
+                out.append((m.start(), k, m.end()))
+    return sorted(out)
+
+
+def test_base_columns_by_brute_force(spark):
+    rng = random.Random(12)
+    texts = [r.text for r in table(spark, "/root/testdata/sf0.01", "documents").collect()]
+    alphabet = [*"0123456789", ".", " ", "-", "+", "@", "(", "ab", "c.d", "é"]
+    texts += ["".join(rng.choice(alphabet) for _ in range(rng.randrange(60))) for _ in range(3000)]
+    texts += ["0000000010.0.0.1", "1.2.3.256", "000.000.000.0000", "4111 1111 1111 1111", "+1 (202) 555-0143", "0" * 4000 + "1.2.3.4"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    for r in pii.find(docs, None).collect():
+        want = _plain_spans(texts[r.doc_id] or "")
+        said = ",".join(f"{list(PLAIN)[k]}:{a}:{b}" for a, k, b in want)
+        assert [r.n_email, r.n_ip, r.n_card, r.n_phone] == [sum(k == i for _, k, _ in want) for i in range(4)]
+        assert r.base_sha256 == hashlib.sha256(said.encode()).hexdigest() and r.spans == said and (r.n_added, r.n_spans) == (0, len(want))
+
+
+def test_rewritten_forms_are_added(spark):
+    """On documents outside the sample: spans rewritten in place are found again, and base spans stay."""
+    docs = table(spark, "/root/testdata/sf0.1", "documents")
+    tagger = pii.train(docs.where("doc_id % 3 != 0"))
+    texts = [r.text for r in docs.where("doc_id % 3 = 0").select("text").collect() if r.text]
+    rng = np.random.default_rng(1)
+    found, total = Counter(), Counter()
+    for text in texts:
+        for a, k, b in pii.base_spans(text):
+            new = pii.rewritten(k, text[a:b], rng)
+            part = text[max(0, a - 150) : a] + new + text[b : b + 150]
+            at = min(a, 150)
+            base = pii.base_spans(part)
+            if any(x < at + len(new) and at < y for x, _, y in base) or not pii.added_valid(pii.KINDS[k], new):
+                continue
+            total[k] += 1
+            found[k] += (at, k, at + len(new)) in tagger.spans(part, base)
+    assert total and sum(found.values()) >= 0.9 * sum(total.values()), (found, total)
+    for r in pii.find(docs.limit(200), tagger).collect():
+        assert r.n_spans >= r.n_email + r.n_ip + r.n_card + r.n_phone
     assert pii.redacted("no data here at all", tagger) == "no data here at all"
     assert pii.redacted("ip 46.139.188.94.", None) == "ip <IP>."
 
 
-def test_skipping_windows_without_anchors_changes_nothing(rng):
+def test_parts_and_margins_change_nothing(rng, monkeypatch):
     tagger = pii.Tagger(seed=1)
+    text = "".join(rng.choice("abc d1@.") for _ in range(3000))
+    codes, anchors = pii.classes(text), np.arange(3000)
+    (start, whole), = tagger.stretches(codes, anchors)
+    monkeypatch.setattr(pii, "PART", 7)
+    (again, parts), = tagger.stretches(codes, anchors)
+    assert start == again == 0 and len(whole) == 3000 and (whole == parts).all()
     text = "".join(rng.choice("abc d") for _ in range(400)) + " 12 " + "".join(rng.choice("abc d") for _ in range(400))
-    codes = pii.classes(text)
-    every = dict(tagger.stretches(codes, np.arange(len(text))))
-    few = dict(tagger.stretches(codes, np.array([402])))
-    assert set(few) and len(every) == 1
+    (at, few), = tagger.stretches(pii.classes(text), np.array([401, 402]))
+    assert at <= 401 - pii.STRIDE and at + len(few) >= 402 + pii.STRIDE
+
+
+def test_merge_gives_common_prefixes():
+    """Common prefixes of neighbouring suffixes in merged order, against the texts."""
+    rng = random.Random(5)
+    for step in (1, 2):
+        strings = ["".join(rng.choice("ab") for _ in range(rng.randrange(2, 40))).encode() for _ in range(12)]
+        shards = [bwt.Shard(strings[i : i + 3], step) for i in range(0, 12, 3)]
+        source, place, common = bwt.merge(shards, 4)
+        joined = [b"\0".join(strings[i : i + 3]) + b"\0" for i in range(0, 12, 3)]
+
+        def blocks(k, p):
+            s = joined[k][p:]
+            s = s[: s.index(b"\0")] if b"\0" in s else s
+            return [s[i : i + step] for i in range(0, len(s) - step + 1, step)]
+
+        for i in range(1, len(place)):
+            a, b = blocks(source[i - 1], place[i - 1]), blocks(source[i], place[i])
+            n = next((j for j in range(4) if j >= min(len(a), len(b)) or a[j] != b[j]), 4)
+            assert common[i] == n
 
 
 def test_long_leaks_with_edits_are_found():
