@@ -1,9 +1,10 @@
 """BPE encoding and decoding through a distinct-word table.
 
-Texts are dealt into chunks of bounded size. Each chunk sends its distinct words, packed by hash bucket; each bucket encodes
-a word once, however many chunks have it, and answers every chunk with ids in the order asked. Back in its chunk, a text's
-ids are gathered by word position, and decoding joins ids to their pieces through the vocabulary, which is of fixed size.
-A frequent word reaches its bucket once for each chunk, not once for each use, so no word is hot.
+Spark splits texts into words and deals the texts into chunks of bounded size. Each chunk sends its distinct words, packed by
+hash bucket; each bucket encodes a word once, however many chunks have it: that is the distinct-word table. For decoding, its ids
+are joined with their pieces through the vocabulary, which is of fixed size. A bucket answers every chunk in the order asked, and
+back in its chunk a text's ids (and pieces) are gathered by word position. A frequent word reaches its bucket once for each
+chunk, not once for each use, so no word is hot.
 
 Nulls: a null text is empty and has no ids. Repeated rows stay, each with the same values; extra columns are ignored; an
 empty table gives an empty table. A text longer than a chunk makes its chunk longer; no text is cut.
@@ -21,9 +22,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import words
+from .base import materialise
 
 CHUNK_BYTES = 16 << 20
-MAX_BUCKETS = 4096
+PACK_BYTES = 32 << 20  # of words that a task packs by chunk at once
+MAX_BUCKETS = 50_000
 MAX_PARTITIONS = 50_000
 DIGESTS = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 
@@ -37,12 +40,41 @@ def _buckets(distinct: set[bytes] | dict, n: int) -> dict[int, list[bytes]]:
     return out
 
 
+def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows of one chunk put together: ids of documents, byte lengths and, compressed, their words."""
+    held: dict[int, tuple[list, list[bytes]]] = {}
+    size = 0
+
+    def flush() -> pa.RecordBatch:
+        cols = [pa.array(list(held), pa.int32()), pa.array([d for d, _ in held.values()], pa.list_(pa.int64())), pa.array([list(map(len, t)) for _, t in held.values()], pa.list_(pa.int32()))]
+        return pa.RecordBatch.from_arrays([*cols, pa.array([zlib.compress(b"".join(t), 1) for _, t in held.values()], pa.binary())], names=["chunk", "doc_ids", "sizes", "texts"])
+
+    for b in batches:
+        for chunk, doc, text in zip(*(b.column(c).to_pylist() for c in ("chunk", "doc_id", "raw")), strict=True):
+            docs, texts = held.setdefault(chunk, ([], []))
+            docs.append(doc)
+            texts.append(text)
+            size += len(text)
+            if size > PACK_BYTES:
+                yield flush()
+                held.clear()
+                size = 0
+    if held:
+        yield flush()
+
+
+def _texts(sizes: list[int], blob: bytes) -> list[list[bytes]]:
+    """The words of each packed text."""
+    raw, ends = zlib.decompress(blob), np.cumsum([0, *sizes]).tolist()
+    return [raw[a:b].split(b"\n") if a < b else [] for a, b in zip(ends, ends[1:], strict=False)]
+
+
 def _ask(n_buckets: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: dict[int, set[bytes]] = {}
         for b in batches:
-            for chunk, text in zip(b.column("chunk").to_pylist(), b.column("raw").to_pylist(), strict=True):
-                seen.setdefault(chunk, set()).update(words.split(text or b""))
+            for chunk, sizes, blob in zip(*(b.column(c).to_pylist() for c in ("chunk", "sizes", "texts")), strict=True):
+                seen.setdefault(chunk, set()).update(*_texts(sizes, blob))
         for chunk in list(seen):
             found = _buckets(seen.pop(chunk), n_buckets)
             blobs = [zlib.compress(b"\n".join(ws), 1) for ws in found.values()]
@@ -51,53 +83,92 @@ def _ask(n_buckets: int):
     return run
 
 
-def _answer(tokenizer: str, dtype: str):
+def _distinct(tokenizer: str, dtype: str):
+    """The distinct-word table of a bucket: bucket, word, ids."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = words.Table(words.load(tokenizer), dtype)
         for b in batches:
-            out = []
-            for blob in b.column("words").to_pylist():
-                ws = zlib.decompress(blob).split(b"\n")
-                at = table.places(ws)
-                out.append(zlib.compress(table.lens[at].astype("<u4").tobytes() + table.ids(at).tobytes(), 1))
-            yield pa.RecordBatch.from_arrays([b.column("chunk"), b.column("bucket"), pa.array(out, pa.binary())], names=["chunk", "bucket", "ids"])
+            for bucket, blob in zip(b.column("bucket").to_pylist(), b.column("words").to_pylist(), strict=True):
+                fresh = [w for w in zlib.decompress(blob).split(b"\n") if w not in table.index]
+                if fresh:
+                    at = table.places(fresh)
+                    ids = pa.ListArray.from_arrays(pa.array(np.cumsum([0, *table.lens[at].tolist()]), pa.int32()), pa.array(table.ids(at).astype(np.int32)))
+                    yield pa.RecordBatch.from_arrays([pa.array([bucket] * len(fresh), pa.int32()), pa.array(fresh, pa.binary()), ids], names=["bucket", "word", "ids"])
 
     return run
 
 
+def vocabulary(spark, tokenizer: str) -> DataFrame:
+    """id, piece: a table of fixed size."""
+    return spark.createDataFrame([(i, p) for i, p in enumerate(words.pieces(tokenizer)) if p is not None], "id int, piece string")
+
+
+def joined_pieces(encoded: DataFrame, vocab: DataFrame, keys: list[str]) -> DataFrame:
+    """keys, ids, decoded: each row's ids joined with their pieces, a space between, as the library does without a decoder.
+    Rows without ids are left out; keys must tell rows apart."""
+    flat = encoded.select(*keys, F.posexplode("ids").alias("pos", "id")).join(F.broadcast(vocab), "id")  # the vocabulary is of fixed size
+    rows = flat.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("pos", "id", "piece"))).alias("x"))
+    return rows.select(*keys, F.transform("x", lambda p: p["id"]).alias("ids"), F.array_join(F.transform("x", lambda p: p["piece"]), " ").alias("decoded"))
+
+
+def _answer(asked: pa.Table, known: pa.Table, dtype: str) -> pa.Table:
+    """For every chunk that asked: lengths and ids of its words in order, then lengths and bytes of their decoded pieces."""
+    at = {w: i for i, w in enumerate(known.column("word").to_pylist())}
+    at[None] = len(at)  # words without ids
+    ids = [np.array(x, dtype) for x in known.column("ids").to_pylist()] + [np.zeros(0, dtype)]
+    said = [x.encode() for x in known.column("decoded").to_pylist()] + [b""]
+    n = np.array([len(x) for x in ids], "<u4")
+    m = np.array([len(x) for x in said], "<u4")
+    out = []
+    for blob in asked.column("words").to_pylist():
+        some = [at.get(w, len(at) - 1) for w in zlib.decompress(blob).split(b"\n")]
+        parts = [n[some].tobytes(), np.concatenate([ids[i] for i in some]).tobytes(), m[some].tobytes(), b"".join([said[i] for i in some])]
+        out.append(zlib.compress(b"".join(parts), 1))
+    return pa.table({"chunk": asked.column("chunk"), "bucket": asked.column("bucket"), "ids": pa.array(out, pa.binary())})
+
+
 def _lookup(texts: list[list[bytes]], answers: pa.Table, n_buckets: int, dtype: str):
-    """word -> place, with flat ids, starts and lengths, from the answers to this chunk."""
+    """word -> place, with flat ids, starts, lengths and decoded pieces, from the answers to this chunk."""
     asked = _buckets(set().union(*texts), n_buckets) if texts else {}
     got = dict(zip(answers.column("bucket").to_pylist(), answers.column("ids").to_pylist(), strict=True))
     index: dict[bytes, int] = {}
-    flat, lens = [], []
+    flat, lens, said = [], [], []
     for bucket, ws in asked.items():
         raw = zlib.decompress(got[bucket])
         lens.append(np.frombuffer(raw, "<u4", len(ws)).astype(np.int64))
-        flat.append(np.frombuffer(raw, dtype, offset=4 * len(ws)))
-        if len(flat[-1]) != lens[-1].sum():
+        flat.append(np.frombuffer(raw, dtype, int(lens[-1].sum()), 4 * len(ws)))
+        at = 4 * len(ws) + flat[-1].nbytes
+        ends = (at + 4 * len(ws) + np.cumsum(np.frombuffer(raw, "<u4", len(ws), at).astype(np.int64))).tolist()
+        if ends[-1] != len(raw):
             raise ValueError("an answer doesn't match the words asked for")
+        said += [raw[a:b] for a, b in zip([at + 4 * len(ws), *ends], ends, strict=False)]
         index.update(zip(ws, range(len(index), len(index) + len(ws)), strict=True))
     n = np.concatenate(lens) if lens else np.zeros(0, np.int64)
-    return index, np.concatenate(flat) if flat else np.zeros(0, dtype), np.cumsum(n) - n, n
+    return index, np.concatenate(flat) if flat else np.zeros(0, dtype), np.cumsum(n) - n, n, said
 
 
 def _join(docs: DataFrame, tokenizer: str, finish, schema: str) -> DataFrame:
-    """finish(doc_ids, texts' words, index, flat, start, lens) -> a batch, for each chunk with its words' ids."""
+    """finish(doc_ids, texts' words, index, flat, start, lens, said) -> a table, for each chunk with its words' ids and pieces."""
     dtype = words.width(tokenizer)
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary").alias("raw"))
-    size = rows.agg(F.coalesce(F.sum(F.octet_length("raw")), F.lit(0))).first()[0]
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+    size = rows.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
     n = max(1, -(-size // CHUNK_BYTES))
     buckets = min(n, MAX_BUCKETS)
     # by both, so that neither rows of one doc_id nor copies of one text meet in one chunk
-    chunks = rows.select("doc_id", "raw", F.pmod(F.xxhash64("doc_id", "raw"), F.lit(n)).cast("int").alias("chunk"))
-    chunks = _deal(chunks, n)
-    asked = chunks.mapInArrow(_ask(buckets), "chunk int, bucket int, words binary")
-    answered = asked.repartitionById(buckets, F.col("bucket")).mapInArrow(_answer(tokenizer, dtype), "chunk int, bucket int, ids binary")
+    chunk = F.pmod(F.xxhash64("doc_id", "text"), F.lit(n)).cast("int").alias("chunk")
+    dealt = rows.select("doc_id", F.array_join(words.split_column(F.col("text")), "\n").cast("binary").alias("raw"), chunk)
+    chunks = _deal(dealt.mapInArrow(_pack, "chunk int, doc_ids array<long>, sizes array<int>, texts binary"), n)
+    asked = chunks.mapInArrow(_ask(buckets), "chunk int, bucket int, words binary").repartitionById(buckets, F.col("bucket"))
+    known = joined_pieces(asked.mapInArrow(_distinct(tokenizer, dtype), "bucket int, word binary, ids array<int>"), vocabulary(docs.sparkSession, tokenizer), ["bucket", "word"])
+    answered = asked.groupBy("bucket").cogroup(known.repartitionById(buckets, F.col("bucket")).groupBy("bucket")).applyInArrow(lambda a, b: _answer(a, b, dtype), "chunk int, bucket int, ids binary")
 
     def solve(left: pa.Table, right: pa.Table) -> pa.Table:
-        texts = [words.split(t or b"") for t in left.column("raw").to_pylist()]
-        return finish(left.column("doc_id"), texts, *_lookup(texts, right, buckets, dtype))
+        doc_ids, texts = [], []
+        for some, sizes, blob in zip(*(left.column(c).to_pylist() for c in ("doc_ids", "sizes", "texts")), strict=True):
+            doc_ids += some
+            texts += _texts(sizes, blob)
+        return finish(pa.array(doc_ids, pa.int64()), texts, *_lookup(texts, right, buckets, dtype))
 
     return chunks.groupBy("chunk").cogroup(_deal(answered, n).groupBy("chunk")).applyInArrow(solve, schema)
 
@@ -110,57 +181,45 @@ def _deal(df: DataFrame, n: int) -> DataFrame:
 def encode(docs: DataFrame, tokenizer: str) -> DataFrame:
     """doc_id, ids: the ids of whole texts, without added special tokens."""
 
-    def finish(doc_ids, texts, index, flat, start, lens):
+    def finish(doc_ids, texts, index, flat, start, lens, said):
         ids = [words.gather(flat, start, lens, np.fromiter(map(index.__getitem__, ws), np.int64, len(ws))).astype(np.int32) for ws in texts]
         return pa.table({"doc_id": doc_ids, "ids": pa.array(ids, pa.list_(pa.int32()))})
 
     return _join(docs, tokenizer, finish, "doc_id long, ids array<int>")
 
 
-def decode(encoded: DataFrame, tokenizer: str, key: str = "doc_id") -> DataFrame:
-    """key, decoded: ids joined with their pieces, a space between, as the library does without a decoder. `key` must be unique."""
-    spark = encoded.sparkSession
-    vocab = spark.createDataFrame([(i, p) for i, p in enumerate(words.pieces(tokenizer)) if p is not None], "id int, piece string")
-    flat = encoded.select(key, F.posexplode("ids").alias("pos", "id")).join(F.broadcast(vocab), "id")  # the vocabulary is of fixed size
-    text = flat.groupBy(F.col(key).alias("_key")).agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("pos", "piece"))), lambda x: x["piece"]), " ").alias("decoded"))
-    return encoded.select(key).join(text, F.col(key).eqNullSafe(F.col("_key")), "left").select(key, F.coalesce("decoded", F.lit("")).alias("decoded"))
+def decode(encoded: DataFrame, tokenizer: str) -> DataFrame:
+    """The columns of encoded, and decoded: its ids through the id-to-piece join. Rows are numbered in a table first, so repeated
+    or null keys don't mix. Null ids decode to an empty text."""
+    rows = materialise(encoded.withColumn("_row", F.monotonically_increasing_id()), "encoded")
+    text = joined_pieces(rows.select("_row", "ids"), vocabulary(encoded.sparkSession, tokenizer), ["_row"]).select("_row", F.col("decoded").alias("_text"))
+    return rows.join(text, "_row", "left").select(*encoded.columns, F.coalesce("_text", F.lit("")).alias("decoded"))
 
 
 def round_trip(docs: DataFrame, tokenizer: str) -> DataFrame:
-    """doc_id, decoded: texts after encoding and decoding, in one pass over each chunk."""
-    vocab = words.pieces(tokenizer)
+    """doc_id, decoded: texts after encoding and decoding."""
 
-    def finish(doc_ids, texts, index, flat, start, lens):
-        out = [t for t, _, _ in _decoded(texts, index, flat, start, lens, vocab)]
-        return pa.table({"doc_id": doc_ids, "decoded": pa.array(out, pa.string())})
+    def finish(doc_ids, texts, index, flat, start, lens, said):
+        return pa.table({"doc_id": doc_ids, "decoded": pa.array([_said(ws, index, said).decode() for ws in texts], pa.string())})
 
     return _join(docs, tokenizer, finish, "doc_id long, decoded string")
 
 
-def _decoded(texts, index, flat, start, lens, vocab) -> Iterator[tuple[str, np.ndarray, int]]:
-    """Decoded text, ids and their number. Each distinct word is joined with its pieces once."""
-    piece = np.array(vocab, object)
-    parts, ids = piece[flat].tolist(), flat
-    bounds = zip(start.tolist(), (start + lens).tolist(), strict=True)
-    said = [" ".join(parts[a:b]) for a, b in bounds]
-    empty = bool(len(lens)) and not lens.all()
-    for ws in texts:
-        at = np.fromiter(map(index.__getitem__, ws), np.int64, len(ws))
-        got = words.gather(ids, start, lens, at)
-        places = at[lens[at] > 0].tolist() if empty else at.tolist()
-        yield " ".join([said[i] for i in places]), got, len(got)
+def _said(ws: list[bytes], index: dict[bytes, int], said: list[bytes]) -> bytes:
+    """A text's pieces, from those of its words; words without ids say nothing."""
+    return b" ".join([x for w in ws if (x := said[index[w]])])
 
 
 def digests(docs: DataFrame, tokenizer: str) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256."""
-    vocab = words.pieces(tokenizer)
 
-    def finish(doc_ids, texts, index, flat, start, lens):
+    def finish(doc_ids, texts, index, flat, start, lens, said):
         n, a, b = [], [], []
-        for text, ids, count in _decoded(texts, index, flat, start, lens, vocab):
-            n.append(count)
+        for ws in texts:
+            ids = words.gather(flat, start, lens, np.fromiter(map(index.__getitem__, ws), np.int64, len(ws)))
+            n.append(len(ids))
             a.append(hashlib.sha256(ids.astype("<u4").tobytes()).hexdigest())
-            b.append(hashlib.sha256(text.encode()).hexdigest())
+            b.append(hashlib.sha256(_said(ws, index, said)).hexdigest())
         return pa.table({"doc_id": doc_ids, "n_tokens": pa.array(n, pa.int64()), "ids_sha256": pa.array(a, pa.string()), "decoded_sha256": pa.array(b, pa.string())})
 
     return _join(docs, tokenizer, finish, DIGESTS)

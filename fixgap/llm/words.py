@@ -13,6 +13,8 @@ import re
 from itertools import repeat
 
 import numpy as np
+from pyspark.sql import Column
+from pyspark.sql import functions as F
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
@@ -26,6 +28,18 @@ def split(text: bytes) -> list[bytes]:
     return text.split()
 
 
+_CAPITALS = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"  # fixed values: those that lower-case
+
+
+def split_column(text: Column) -> Column:
+    """The same words as an array, by Spark's functions alone."""
+    lowered = F.when(F.octet_length(text) == F.char_length(text), F.lower(text)).otherwise(F.translate(text, _CAPITALS, _CAPITALS.lower()))
+    apart = F.regexp_replace(lowered, r"(?<=[A-Za-z0-9])([.,])(?=[ \n]|\z)", " $1")
+    # marks U+0300 to U+037F are those with the bytes CC and CD in front
+    kept = F.contains(text, F.lit("<|")) | text.rlike("[\u0300-\u037f]")
+    return F.filter(F.split(F.when(kept, text).otherwise(apart), "[ \\t\\n\\x0B\\f\\r]+"), lambda w: w != "")
+
+
 def load(path: str):
     from tokenizers import Tokenizer
 

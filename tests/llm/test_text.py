@@ -3,6 +3,7 @@
 import hashlib
 import random
 import zlib
+from collections import Counter
 
 import numpy as np
 import public_tokenizers
@@ -68,6 +69,31 @@ def test_decode_join(spark, small, library):
         assert back[r.doc_id] == both[r.doc_id] == library.decode(library.encode(r.text, add_special_tokens=False).ids, skip_special_tokens=False)
 
 
+def test_spark_splits_as_python(spark, rng):
+    al = [*"AbC.,\n \t\r\x0b\x0c1é", "É", "İ", "<|", "|>", "\u0301", "\u2028", "\x85", "\x1c", "\xa0", "ß", "x", ".", " ", "\0"]
+    texts = ["".join(rng.choice(al) for _ in range(rng.randrange(25))) for _ in range(4000)]
+    rows = spark.createDataFrame([(t,) for t in texts], "t string").select("t", words.split_column(F.col("t")).alias("w")).collect()
+    assert all([w.encode() for w in r.w] == words.split(r.t.encode()) for r in rows)
+
+
+def test_decode_keeps_repeated_rows_apart(spark, odd_docs, clashing, empty_docs, library):
+    def said(t):
+        return library.decode(library.encode(t or "", add_special_tokens=False).ids, skip_special_tokens=False)
+
+    for docs in (odd_docs, clashing):
+        encoded = bpe.encode(docs, TOK)
+        got = sorted(str((r.doc_id, r.decoded)) for r in bpe.decode(encoded, TOK).collect())
+        assert got == sorted(str((r.doc_id, said(r.text))) for r in docs.select("doc_id", "text").collect())
+    assert bpe.decode(bpe.encode(empty_docs, TOK), TOK).collect() == []
+
+
+def test_texts_without_letters_are_und(spark):
+    model = langid.fit({"en": Counter({"word": 5}), "fr": Counter({"mot": 5})}, {"en": 3, "fr": 9}, ["w", "o", "r", "d", "m", "t"])
+    docs = spark.createDataFrame([(0, "\u00bd \u00b2 5"), (1, "\u2167"), (2, "a\u00b2word"), (3, "\u0301")], "doc_id long, text string")
+    assert [r.lang_pred for r in langid.predict(docs, model).orderBy("doc_id").collect()] == ["und", "und", "en", "und"]
+    assert langid.words_of("x\u00b2y \u00c9t\u00e9_2a") == ["x", "y", "\u00e9t\u00e9", "a"]
+
+
 def test_forward_sums_all_segmentations():
     pieces = [" a", "a", "b", "ab", " ab", "ba"]
     rng = np.random.default_rng(1)
