@@ -84,17 +84,58 @@ def _ask(n_buckets: int):
 
 
 def _distinct(tokenizer: str, dtype: str):
-    """The distinct-word table of a bucket: bucket, word, ids."""
+    """The distinct-word table of a bucket, a row for each word: its number and ids. After it a row for each chunk that asked: the
+    numbers of its words in order."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = words.Table(words.load(tokenizer), dtype)
+        asks: list[tuple] = []
+        names, none = ["no", "chunk", "bucket", "refs", "ids"], None
         for b in batches:
-            for bucket, blob in zip(b.column("bucket").to_pylist(), b.column("words").to_pylist(), strict=True):
-                fresh = [w for w in zlib.decompress(blob).split(b"\n") if w not in table.index]
-                if fresh:
-                    at = table.places(fresh)
-                    ids = pa.ListArray.from_arrays(pa.array(np.cumsum([0, *table.lens[at].tolist()]), pa.int32()), pa.array(table.ids(at).astype(np.int32)))
-                    yield pa.RecordBatch.from_arrays([pa.array([bucket] * len(fresh), pa.int32()), pa.array(fresh, pa.binary()), ids], names=["bucket", "word", "ids"])
+            for chunk, bucket, blob in zip(*(b.column(c).to_pylist() for c in ("chunk", "bucket", "words")), strict=True):
+                first = len(table.index)
+                at = table.places(zlib.decompress(blob).split(b"\n"))
+                asks.append((-1, chunk, bucket, zlib.compress(at.astype("<u4").tobytes(), 1), none))
+                some = np.arange(first, len(table.index))
+                if len(some):
+                    ids = pa.ListArray.from_arrays(pa.array(np.cumsum([0, *table.lens[some].tolist()]), pa.int32()), pa.array(table.ids(some).astype(np.int32)))
+                    yield pa.RecordBatch.from_arrays([pa.array(some, pa.int64()), *(pa.nulls(len(some), t) for t in (pa.int32(), pa.int32(), pa.binary())), ids], names=names)
+        if asks:
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*asks, strict=True), (pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.list_(pa.int32())), strict=True)], names=names)
+
+    return run
+
+
+def _answers(dtype: str):
+    """Words' ids and pieces, and asks -> for every ask: lengths and ids of its words in order, then lengths and bytes of their
+    decoded pieces (joined by spaces). Everything of one bucket is in one partition."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        no, pos, ids, pieces, asks = [], [], [], [], []
+        for b in batches:
+            here = b.column("no").to_numpy()
+            for i in np.flatnonzero(here < 0).tolist():
+                asks.append(tuple(b.column(c)[i].as_py() for c in ("chunk", "bucket", "refs")))
+            on = pa.array((here >= 0) & b.column("id").is_valid().to_numpy(zero_copy_only=False))
+            rows = b.filter(on)
+            no.append(rows.column("no").to_numpy())
+            pos.append(rows.column("pos").to_numpy(zero_copy_only=False).astype(np.int64))
+            ids.append(rows.column("id").to_numpy(zero_copy_only=False).astype(dtype))
+            pieces += rows.column("piece").to_pylist()
+        if not asks:
+            return
+        no, pos, ids = np.concatenate(no), np.concatenate(pos), np.concatenate(ids)
+        if len(no) > 1 and not ((no[1:] > no[:-1]) | ((no[1:] == no[:-1]) & (pos[1:] > pos[:-1]))).all():
+            order = np.lexsort((pos, no))
+            no, ids, pieces = no[order], ids[order], [pieces[i] for i in order.tolist()]
+        numbers = [np.frombuffer(zlib.decompress(r), "<u4").astype(np.int64) for _, _, r in asks]
+        n = np.bincount(no, minlength=max(int(x.max(initial=-1)) for x in numbers) + 1)
+        ends = np.cumsum(n)
+        said = [" ".join(pieces[a:b]).encode() for a, b in zip((ends - n).tolist(), ends.tolist(), strict=True)]
+        m = np.array([len(x) for x in said], "<u4")
+        for (chunk, bucket, _), at in zip(asks, numbers, strict=True):
+            parts = [n[at].astype("<u4").tobytes(), words.gather(ids, ends - n, n, at).tobytes(), m[at].tobytes(), b"".join([said[i] for i in at.tolist()])]
+            yield pa.RecordBatch.from_arrays([pa.array([chunk], pa.int32()), pa.array([bucket], pa.int32()), pa.array([zlib.compress(b"".join(parts), 1)], pa.binary())], names=["chunk", "bucket", "ids"])
 
     return run
 
@@ -112,22 +153,6 @@ def joined_pieces(encoded: DataFrame, vocab: DataFrame, keys: list[str]) -> Data
     return rows.select(*keys, F.transform("x", lambda p: p["id"]).alias("ids"), F.array_join(F.transform("x", lambda p: p["piece"]), " ").alias("decoded"))
 
 
-def _answer(asked: pa.Table, known: pa.Table, dtype: str) -> pa.Table:
-    """For every chunk that asked: lengths and ids of its words in order, then lengths and bytes of their decoded pieces."""
-    at = {w: i for i, w in enumerate(known.column("word").to_pylist())}
-    at[None] = len(at)  # words without ids
-    ids = [np.array(x, dtype) for x in known.column("ids").to_pylist()] + [np.zeros(0, dtype)]
-    said = [x.encode() for x in known.column("decoded").to_pylist()] + [b""]
-    n = np.array([len(x) for x in ids], "<u4")
-    m = np.array([len(x) for x in said], "<u4")
-    out = []
-    for blob in asked.column("words").to_pylist():
-        some = [at.get(w, len(at) - 1) for w in zlib.decompress(blob).split(b"\n")]
-        parts = [n[some].tobytes(), np.concatenate([ids[i] for i in some]).tobytes(), m[some].tobytes(), b"".join([said[i] for i in some])]
-        out.append(zlib.compress(b"".join(parts), 1))
-    return pa.table({"chunk": asked.column("chunk"), "bucket": asked.column("bucket"), "ids": pa.array(out, pa.binary())})
-
-
 def _lookup(texts: list[list[bytes]], answers: pa.Table, n_buckets: int, dtype: str):
     """word -> place, with flat ids, starts, lengths and decoded pieces, from the answers to this chunk."""
     asked = _buckets(set().union(*texts), n_buckets) if texts else {}
@@ -160,8 +185,10 @@ def _join(docs: DataFrame, tokenizer: str, finish, schema: str) -> DataFrame:
     dealt = rows.select("doc_id", F.array_join(words.split_column(F.col("text")), "\n").cast("binary").alias("raw"), chunk)
     chunks = _deal(dealt.mapInArrow(_pack, "chunk int, doc_ids array<long>, sizes array<int>, texts binary"), n)
     asked = chunks.mapInArrow(_ask(buckets), "chunk int, bucket int, words binary").repartitionById(buckets, F.col("bucket"))
-    known = joined_pieces(asked.mapInArrow(_distinct(tokenizer, dtype), "bucket int, word binary, ids array<int>"), vocabulary(docs.sparkSession, tokenizer), ["bucket", "word"])
-    answered = asked.groupBy("bucket").cogroup(known.repartitionById(buckets, F.col("bucket")).groupBy("bucket")).applyInArrow(lambda a, b: _answer(a, b, dtype), "chunk int, bucket int, ids binary")
+    table = asked.mapInArrow(_distinct(tokenizer, dtype), "no long, chunk int, bucket int, refs binary, ids array<int>")
+    flat = table.select("no", "chunk", "bucket", "refs", F.posexplode_outer("ids").alias("pos", "id"))
+    spelt = flat.join(F.broadcast(vocabulary(docs.sparkSession, tokenizer)), "id", "left")  # the vocabulary is of fixed size
+    answered = spelt.select("no", "chunk", "bucket", "refs", "pos", "id", "piece").mapInArrow(_answers(dtype), "chunk int, bucket int, ids binary")
 
     def solve(left: pa.Table, right: pa.Table) -> pa.Table:
         doc_ids, texts = [], []
