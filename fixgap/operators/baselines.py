@@ -13,6 +13,7 @@ from __future__ import annotations
 import math
 from collections import Counter
 from collections.abc import Iterator
+from itertools import islice
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -20,15 +21,18 @@ from pyspark.sql import functions as F
 
 from ..functions.expr import episode_key, episode_score
 from ..params import Params
-from . import kernel, table
+from . import table
 
 
 def frequent_all(events: DataFrame, p: Params, nodes: int = 16) -> DataFrame:
     """Every frequent multi-node episode: ep_id, size, types, gaps, freq."""
     from ..sources.shared import Scratch
 
-    lay = table.Layout(events.select("etype", "t"), p, nodes)
-    rows, _ = table.frequent(lay, p.fth * events.count(), Scratch(events.sparkSession))
+    scratch = Scratch(events.sparkSession)
+    events = scratch.write(events.select("etype", "t"))
+    lay = table.Layout(events, p, nodes)
+    rows, _ = table.frequent(lay, p.fth * events.count(), scratch)
+    lay.drop()
     return rows
 
 
@@ -54,7 +58,18 @@ def maximal(cands: DataFrame) -> DataFrame:
 
 def closed_then_greedy(events: DataFrame, p: Params) -> DataFrame:
     """One greedy pass over closed frequent episodes: rank, score, size, types, gaps, freq."""
-    return _kernel_pass(events, p, only_closed=True)
+    from ..sources.shared import Scratch
+
+    spark = events.sparkSession
+    scratch = Scratch(spark)
+    events = scratch.write(events.select("etype", "t"))
+    lay = table.Layout(events, p)
+    rows, occs = table.frequent(lay, p.fth * events.count(), scratch)
+    kept = scratch.write(closed(rows).where(episode_score(F.col("size").cast("long"), F.col("freq")) > 0))
+    chosen, _ = table.choose(kept, occs, p.k, p)
+    lay.drop()
+    names = spark.createDataFrame([(i, s, e.key) for i, (e, s) in enumerate(chosen, 1)], "rank int, score long, ep_id string")
+    return kept.join(names, "ep_id").select("rank", "score", "size", "types", "gaps", "freq")
 
 
 def random_subset(cands: DataFrame, n: int, seed: int = 1) -> DataFrame:
@@ -63,30 +78,6 @@ def random_subset(cands: DataFrame, n: int, seed: int = 1) -> DataFrame:
     return useful.orderBy(F.xxhash64("ep_id", F.lit(seed)), "ep_id").limit(n)
 
 
-def _kernel_pass(events: DataFrame, p: Params, only_closed: bool) -> DataFrame:
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import numpy as np
-
-        parts = [(b.column("t").to_numpy(), b.column("etype").to_numpy()) for b in batches]
-        ev = kernel.Events(np.concatenate([x for x, _ in parts] or [[]]), np.concatenate([x for _, x in parts] or [[]]))
-        cands = kernel.frequent(ev, p, len(ev)) if len(ev) else []
-        if only_closed:
-            have = {}
-            for c in cands:
-                for i in range(c.size) if c.size > 2 else ():
-                    types = c.types[:i] + c.types[i + 1 :]
-                    gaps = c.gaps[1:] if i == 0 else c.gaps[:-1] if i == c.size - 1 else (*c.gaps[: i - 1], c.gaps[i - 1] + c.gaps[i], *c.gaps[i + 1 :])
-                    have[types, gaps] = max(have.get((types, gaps), 0), len(c.starts))
-            cands = [c for c in cands if have.get((c.types, c.gaps)) != len(c.starts)]
-        cands = [c for c in cands if c.value > 0]
-        got = kernel.greedy(cands, kernel.overlaps(ev, cands), p.k) if cands else []
-        rows = [(r, s, cands[i].size, list(cands[i].types), list(cands[i].gaps), len(cands[i].starts)) for r, (i, s) in enumerate(got, 1)]
-        cols = list(zip(*rows, strict=True)) if rows else [[]] * 6
-        kinds = (pa.int32(), pa.int64(), pa.int32(), pa.list_(pa.int32()), pa.list_(pa.int32()), pa.int64())
-        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=["rank", "score", "size", "types", "gaps", "freq"])
-
-    return events.select("t", "etype").coalesce(1).mapInArrow(run, "rank int, score long, size int, types array<int>, gaps array<int>, freq long")
-
 
 # ---- order-only pattern sets
 
@@ -99,53 +90,76 @@ def _lines(seqs: DataFrame) -> DataFrame:
 def cover(line: list[int], patterns: list[tuple[int, ...]], window: int) -> list[tuple[int, int, int]]:
     """Uses as (position, pattern number, skips), patterns in the order given; what none covers is left to single events (number -1 - type)."""
     free, uses = [True] * len(line), []
-    have = set(line)
+    at: dict[int, list[int]] = {}
+    for i, e in enumerate(line):
+        at.setdefault(e, []).append(i)
     for number, pat in enumerate(patterns):
-        if not have.issuperset(pat):
+        places = [at.get(e) for e in pat]
+        if None in places:
             continue
-        i = 0
-        while i < len(line):
-            if not free[i] or line[i] != pat[0]:
-                i += 1
+        for i in places[0]:
+            if not free[i]:
                 continue
-            at, j = [i], i + 1
-            while len(at) < len(pat) and j < len(line) and j - i < window:
-                if free[j] and line[j] == pat[len(at)]:
-                    at.append(j)
-                j += 1
-            if len(at) == len(pat):
-                for x in at:
+            got = [i]
+            for some in places[1:]:
+                j = next((x for x in some if x > got[-1] and free[x]), None)
+                if j is None or j - i >= window:
+                    break
+                got.append(j)
+            else:
+                for x in got:
                     free[x] = False
-                uses.append((i, number, at[-1] - i + 1 - len(pat)))
-            i += 1
+                uses.append((i, number, got[-1] - i + 1 - len(pat)))
     uses += [(i, -1 - e, 0) for i, e in enumerate(line) if free[i]]
     return sorted(uses)
 
 
-def _statistics(lines: DataFrame, patterns: list[tuple[int, ...]], window: int) -> tuple[Counter, Counter, Counter]:
-    """Uses by pattern, skips by pattern, and pairs of neighbouring uses, over all sequences."""
+def _statistics(lines: DataFrame, trials: list[list[tuple[int, ...]]], window: int, with_pairs: bool = False) -> list[tuple[Counter, Counter, Counter]]:
+    """For each trial set of patterns, over all sequences and in one pass: uses and skips by pattern, and pairs of neighbouring uses."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         uses, skips, pairs = Counter(), Counter(), Counter()
         for b in batches:
             for line in b.column("line").to_pylist():
-                got = cover(line, patterns, window)
-                for _, k, s in got:
-                    uses[k] += 1
-                    skips[k] += s
-                pairs.update((a[1], b[1]) for a, b in zip(got, got[1:], strict=False))
-        rows = [("use", k, 0, n, skips[k]) for k, n in uses.items()] + [("pair", a, b, n, 0) for (a, b), n in pairs.items()]
-        cols = list(zip(*rows, strict=True)) if rows else [[]] * 5
-        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.int64()), strict=True)], names=["what", "a", "b", "n", "skips"])
-
-    rows = lines.select("line").mapInArrow(run, "what string, a long, b long, n long, skips long").groupBy("what", "a", "b").agg(F.sum("n").alias("n"), F.sum("skips").alias("skips"))
-    uses, skips, pairs = Counter(), Counter(), Counter()
-    single = rows.where("what = 'use'").collect()  # a row for each pattern and type
-    for r in single:
-        uses[r["a"]], skips[r["a"]] = r["n"], r["skips"]
-    for r in rows.where("what = 'pair'").orderBy(F.desc("n"), "a", "b").limit(200).collect():
-        pairs[r["a"], r["b"]] = r["n"]
-    return uses, skips, pairs
+                for i, patterns in enumerate(trials):
+                    got = cover(line, patterns, window)
+                    for _, k, s in got:
+                        uses[i, k] += 1
+                        skips[i, k] += s
+                    if with_pairs:
+                        pairs.update((i, x[1], y[1]) for x, y in zip(got, got[1:], strict=False))
+        rows = [("use", i, k, 0, n, skips[i, k]) for (i, k), n in uses.items()] + [("pair", i, x, y, n, 0) for (i, x, y), n in pairs.items()]
+        cols = list(zip(*rows, strict=True)) if rows else [[]] * 6
+        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (pa.string(), *[pa.int64()] * 5), strict=True)], names=["what", "trial", "a", "b", "n", "skips"])
+
+    rows = lines.select("line").mapInArrow(run, "what string, trial long, a long, b long, n long, skips long").groupBy("what", "trial", "a", "b").agg(F.sum("n").alias("n"), F.sum("skips").alias("skips"))
+    out = [(Counter(), Counter(), Counter()) for _ in trials]
+    for r in rows.collect():  # a row for each pattern, type and pair of them that occurs
+        uses, skips, pairs = out[r["trial"]]
+        if r["what"] == "use":
+            uses[r["a"]], skips[r["a"]] = r["n"], r["skips"]
+        else:
+            pairs[r["a"], r["b"]] = r["n"]
+    return out
+
+
+def _first_better(lines: DataFrame, chosen: list[tuple[int, ...]], cands: Iterator[tuple[int, ...]], best: float, m: int, window: int, patience: int | None, together: int = 16):
+    """The first candidate that, beside the chosen patterns, lowers the bits: (bits, patterns in use), or None.
+
+    Candidates are tried `together` in a pass; without `patience` all of them, else so many at most.
+    """
+    cands = iter(cands if patience is None else islice(cands, patience))
+    while some := list(islice(cands, together)):
+        trials = [_ordered([*chosen, c]) for c in some]
+        for trial, (u, s, _) in zip(trials, _statistics(lines, trials, window), strict=True):
+            bits = code_bits(trial, u, s, m)
+            if bits < best:
+                return bits, [c for k, c in enumerate(trial) if u[k]]
+    return None
+
+
+def _ordered(patterns: list[tuple[int, ...]]) -> list[tuple[int, ...]]:
+    return sorted(set(patterns), key=lambda c: (-len(c), c))
 
 
 def code_bits(patterns: list[tuple[int, ...]], uses: Counter, skips: Counter, m: int) -> float:
@@ -163,51 +177,47 @@ def code_bits(patterns: list[tuple[int, ...]], uses: Counter, skips: Counter, m:
     return bits
 
 
-def gap_coding(seqs: DataFrame, m: int, mode: str = "grow", max_window: int = 15, max_size: int = 12, max_patterns: int = 40) -> tuple[list[tuple[int, ...]], float, float]:
+def gap_coding(seqs: DataFrame, m: int, mode: str = "grow", max_window: int = 15, max_size: int = 12, patience: int | None = None) -> tuple[list[tuple[int, ...]], float, float]:
     """Patterns, their bits, and the bits of single events alone. seqs: seq_id, etype, t (order only).
 
-    grow: join the two that follow each other most in the cover while bits fall. candidates: go once through joined pairs of the
-    first cover, longest and most frequent first, keep what lowers the bits, and drop earlier ones that have become useless.
+    grow: join two that follow each other in the cover, the most frequent first, as long as some join lowers the bits.
+    candidates: go through joined pairs of the first cover and their overlaps, longest first, keep what lowers the bits, and drop
+    earlier ones that have become useless. patience: joins (or candidates in a row) without gain that end the search; None tries all.
     """
     lines = _lines(seqs).persist()
-    uses, skips, pairs = _statistics(lines, [], max_window)
+    (uses, skips, pairs), = _statistics(lines, [[]], max_window, True)
     base = best = code_bits([], uses, skips, m)
     chosen: list[tuple[int, ...]] = []
-    spell = lambda k, ps: ps[k] if k >= 0 else (-1 - k,)
+    joins = lambda ps, some: (c for (a, b), _ in sorted(some.items(), key=lambda x: (-x[1], x[0])) if len(c := _spell(a, ps) + _spell(b, ps)) <= max_size and len(set(c)) == len(c))
     if mode == "candidates":
-        todo = [spell(a, []) + spell(b, []) for (a, b), _ in pairs.most_common(2 * max_patterns)]
-        longer = [x + y[-1:] for x in todo for y in todo if x[1:] == y[:-1] and y[-1] not in x]
-        for cand in sorted(set(longer + [c for c in todo if len(set(c)) == 2]), key=lambda c: (-len(c), c))[: 3 * max_patterns]:
-            trial = sorted([*chosen, cand], key=lambda c: (-len(c), c))
-            u, s, _ = _statistics(lines, trial, max_window)
-            bits = code_bits(trial, u, s, m)
-            if bits < best:
-                best, chosen = bits, [c for k, c in enumerate(trial) if u[k]]
+        todo = list(joins([], pairs))
+        todo += [x + y[-1:] for x in todo for y in todo if x[1:] == y[:-1] and y[-1] not in x]
+        rest = sorted(set(todo), key=lambda c: (-len(c), -pairs[-1 - c[0], -1 - c[1]], c))
+        while rest and (got := _first_better(lines, chosen, iter(rest), best, m, max_window, patience)):
+            best, kept = got
+            new = next((c for c in kept if c not in chosen), None)
+            chosen = kept
+            rest = rest[rest.index(new) + 1 :] if new in rest else rest[1:]
     else:
         tried: set[tuple[int, ...]] = set()
-        while len(chosen) < max_patterns:
-            grown = [c for (a, b), _ in pairs.most_common() if len(c := spell(a, chosen) + spell(b, chosen)) <= max_size and len(set(c)) == len(c) and c not in tried][:4]
-            if not grown:
-                break
-            kept = False
-            for cand in grown:
-                tried.add(cand)
-                trial = sorted([*chosen, cand], key=lambda c: (-len(c), c))
-                u, s, ps = _statistics(lines, trial, max_window)
-                bits = code_bits(trial, u, s, m)
-                if bits < best:
-                    used = [k for k in range(len(trial)) if u[k]]
-                    again = {k: i for i, k in enumerate(used)}
-                    move = lambda k, again=again: again[k] if k >= 0 else k
-                    chosen, best, kept = [trial[k] for k in used], bits, True
-                    pairs = Counter({(move(a), move(b)): n for (a, b), n in ps.items()})
-                    break
-            if not kept:
+        while True:
+            fresh = [c for c in joins(chosen, pairs) if c not in tried]
+            got = _first_better(lines, chosen, iter(fresh), best, m, max_window, patience)
+            if got is None:
                 break
+            best, kept = got
+            new = next((c for c in kept if c not in chosen), fresh[0])
+            tried.update(fresh[: fresh.index(new) + 1])
+            chosen = kept
+            (_, _, pairs), = _statistics(lines, [chosen], max_window, True)
     lines.unpersist()
     return chosen, best, base
 
 
+def _spell(k: int, patterns: list[tuple[int, ...]]) -> tuple[int, ...]:
+    return patterns[k] if k >= 0 else (-1 - k,)
+
+
 def binomial_tail(n: int, k: int) -> float:
     """P(at least k of n fair tosses)."""
     return sum(math.exp(math.lgamma(n + 1) - math.lgamma(i + 1) - math.lgamma(n - i + 1) - n * math.log(2)) for i in range(k, n + 1))
@@ -236,29 +246,26 @@ def dependent_types(lines: DataFrame, pattern: tuple[int, ...], window: int, alp
     return sorted(((r["etype"], r["wins"]) for r in rows if binomial_tail(r["n"], r["wins"]) <= alpha), key=lambda x: (-x[1], x[0]))
 
 
-def dependency_test(seqs: DataFrame, m: int, alpha: float = 0.01, min_pairs: int = 25, max_window: int = 15, max_patterns: int = 20, tries: int = 6) -> tuple[list[tuple[int, ...]], float, float]:
+def dependency_test(seqs: DataFrame, m: int, alpha: float = 0.01, min_pairs: int = 25, max_window: int = 15) -> tuple[list[tuple[int, ...]], float, float]:
     """Patterns grown from single types by dependent types while bits fall; as `gap_coding` returns. One sequence has one pair, so nothing passes."""
     lines = _lines(seqs).persist()
-    uses, skips, _ = _statistics(lines, [], max_window)
+    (uses, skips, _), = _statistics(lines, [[]], max_window)
     base = best = code_bits([], uses, skips, m)
     chosen: list[tuple[int, ...]] = []
-    for seed in [(-1 - k,) for k, _ in sorted(uses.items(), key=lambda x: (-x[1], x[0]))][: 3 * max_patterns]:
-        if len(chosen) >= max_patterns or any(seed[0] in c for c in chosen):
+    for seed in [(-1 - k,) for k, _ in sorted(uses.items(), key=lambda x: (-x[1], x[0]))]:
+        if any(seed[0] in c for c in chosen):
             continue
         current = seed
         while True:
-            better = None
-            for e, _ in dependent_types(lines, current, max_window, alpha, min_pairs)[:tries]:
-                trial = sorted([*chosen, (*current, e)], key=lambda c: (-len(c), c))
-                u, s, _ = _statistics(lines, trial, max_window)
-                bits = code_bits(trial, u, s, m)
-                if bits < best:
-                    best, better = bits, (*current, e)
-                    break
-            if better is None:
+            longer = [(*current, e) for e, _ in dependent_types(lines, current, max_window, alpha, min_pairs)]
+            rest = [c for c in chosen if c != current]
+            got = _first_better(lines, rest, iter(longer), best, m, max_window, None)
+            if got is None:
+                break
+            best, chosen = got
+            grown = next((c for c in longer if c in chosen), None)
+            if grown is None:
                 break
-            current = better
-        if len(current) > 1:
-            chosen = sorted([*chosen, current], key=lambda c: (-len(c), c))
+            current = grown
     lines.unpersist()
     return chosen, best, base

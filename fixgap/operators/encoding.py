@@ -85,6 +85,42 @@ def per_event_time_units(encoded: DataFrame) -> DataFrame:
     return encoded.agg(F.sum(2 * F.col("size") + 1 + F.col("n_occ") * F.col("size")).cast("long").alias("per_event_units"))
 
 
-def long_form(encoded: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Rows without their starts, and (row_no, start_t): for rows too long for one array."""
-    return encoded.drop("starts"), encoded.select("row_no", F.explode("starts").alias("start_t"))
+# ---- the long form: rows without starts, and one start a row; no array grows with the data
+
+
+def encode_long(episodes: DataFrame, occ: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(row_no, size, types, gaps, n_occ) and (row_no, start_t). Counts are partial sums; starts are never brought together."""
+    starts = occ.join(episodes.select("row_no", "ep_id"), "ep_id").select("row_no", "start_t")
+    n = starts.groupBy("row_no").agg(F.count(F.lit(1)).alias("n_occ"))
+    return episodes.join(n, "row_no").select("row_no", "size", "types", "gaps", "n_occ"), starts
+
+
+def trivial_long(events: DataFrame) -> tuple[DataFrame, DataFrame]:
+    rows = events.groupBy("etype").agg(F.count(F.lit(1)).alias("n_occ"))
+    rows = rows.select(F.col("etype").alias("row_no"), F.lit(1).alias("size"), F.array("etype").alias("types"), F.array().cast("array<int>").alias("gaps"), "n_occ")
+    return rows, events.select(F.col("etype").alias("row_no"), F.col("t").alias("start_t"))
+
+
+def decode_long(rows: DataFrame, starts: DataFrame) -> DataFrame:
+    """etype, t. rows: one for each episode and type of a model."""
+    nodes = rows.select("row_no", F.explode(F.arrays_zip(F.col("types").alias("e"), offsets(F.col("gaps")).alias("off"))).alias("x"))
+    return starts.join(nodes, "row_no").select(F.col("x.e").alias("etype"), (F.col("start_t") + F.col("x.off")).cast("long").alias("t")).distinct()
+
+
+def blocks(rows: DataFrame, starts: DataFrame, block_ticks: int = 1 << 20) -> DataFrame:
+    """ENCODED with block_no: a row's starts in arrays of one block of time each, as a stream is written."""
+    parts = starts.groupBy("row_no", F.floor(F.col("start_t") / block_ticks).alias("block_no")).agg(F.sort_array(F.collect_list("start_t")).alias("starts"))
+    return rows.drop("n_occ").join(parts, "row_no").select("row_no", "block_no", "size", "types", "gaps", F.size("starts").cast("long").alias("n_occ"), "starts")
+
+
+def units_for(events: DataFrame, episodes: DataFrame, occ: DataFrame) -> DataFrame:
+    """Lengths of the data under a given multi-node set: its occurrences, and 1-node rows for what they leave.
+
+    episodes: ep_id, size, types, gaps, offsets; occ: ep_id, start_t.
+    """
+    nodes = episodes.select("ep_id", F.explode(F.arrays_zip("types", "offsets")).alias("x"))
+    gone = occ.join(nodes, "ep_id").select(F.col("x.types").alias("etype"), (F.col("start_t") + F.col("x.offsets")).alias("t"))
+    rest = events.select("etype", "t").join(gone, ["etype", "t"], "left_anti")
+    multi = occ.groupBy("ep_id").agg(F.count(F.lit(1)).alias("n_occ")).join(episodes.select("ep_id", "size"), "ep_id").select("size", "n_occ")
+    ones = rest.groupBy("etype").agg(F.count(F.lit(1)).alias("n_occ")).select(F.lit(1).alias("size"), "n_occ")
+    return units(multi.unionByName(ones))

@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
-from pyspark.ml.linalg import SparseVector, VectorUDT
+from pyspark.ml.linalg import VectorUDT
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions.expr import episode_key, offsets
 from ..params import Params
 from . import occ, selection
 
+_VECTORS = T.StructType([T.StructField("v", VectorUDT())])
+
 
 def select_per_class(events: DataFrame, labels: DataFrame, p: Params, tg_gap: int | None = None) -> DataFrame:
     """Episodes chosen for each class, all classes in one job: cls, ep_id, size, types, gaps, offsets. 1-node rows are dropped.
@@ -43,11 +46,6 @@ def singletons(events: DataFrame) -> DataFrame:
     return events.groupBy("seq_id", F.concat(F.lit("e"), F.col("etype").cast("string")).alias("feature")).agg(F.count(F.lit(1)).alias("n"))
 
 
-@F.udf(VectorUDT())
-def _sparse(size, index, value):
-    return SparseVector(size, index, value)
-
-
 def assemble(features: DataFrame, labels: DataFrame) -> DataFrame:
     """seq_id, label, features: long counts as sparse vectors. Sequences without any feature get an empty vector."""
     from ..sources.sequence import numbered
@@ -56,6 +54,7 @@ def assemble(features: DataFrame, labels: DataFrame) -> DataFrame:
     width = vocabulary.count()
     rows = features.join(vocabulary, "feature").groupBy("seq_id").agg(F.sort_array(F.collect_list(F.struct((F.col("i") - 1).alias("i"), F.col("n").cast("double").alias("n")))).alias("x"))
     both = labels.join(rows, "seq_id", "left")
-    empty = F.array().cast("array<struct<i:int,n:double>>")
-    x = F.coalesce("x", empty)
-    return both.select("seq_id", "label", _sparse(F.lit(max(width, 1)), F.transform(x, lambda s: s["i"]), F.transform(x, lambda s: s["n"])).alias("features"))
+    x = F.coalesce("x", F.array().cast("array<struct<i:int,n:double>>"))
+    parts = F.struct(F.lit(0).cast("tinyint").alias("type"), F.lit(max(width, 1)).alias("size"), F.transform(x, lambda s: s["i"]).alias("indices"), F.transform(x, lambda s: s["n"]).alias("values"))
+    # a vector's stored form, turned into one by the reader of JSON; no Python sees a row
+    return both.select("seq_id", "label", F.from_json(F.to_json(F.struct(parts.alias("v"))), _VECTORS)["v"].alias("features"))

@@ -6,7 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..model import ENCODED
@@ -27,9 +27,10 @@ def _table(cls: str | None, picks: list[kernel.Pick], left: kernel.Events) -> pa
 
 
 def select_groups(events: DataFrame, p: Params, selector: str = "path_greedy", by: str | None = None) -> DataFrame:
-    """Rows of ENCODED with cls, round, rank and score, for every group of `by` (cast to string) at once; no `by`: one group.
+    """Rows of ENCODED with cls, round, rank and score, for every group of `by` (cast to string); no `by`: one group.
 
-    A group is one line of time and is solved in one task, so it must hold at most p.kernel_events events; more is an error.
+    A group is one line of time. Groups of at most p.kernel_events events are solved at once, each in one task; larger ones go
+    through the table engine one after another. Results are equal.
     """
 
     def run(group: pa.Table) -> pa.Table:
@@ -39,7 +40,15 @@ def select_groups(events: DataFrame, p: Params, selector: str = "path_greedy", b
         return _table(group.column("cls")[0].as_py(), picks, left)
 
     cls = F.col(by).cast("string") if by else F.lit("all")
-    return events.select(cls.alias("cls"), "etype", "t").groupBy("cls").applyInArrow(run, ROWS)
+    rows = events.select(cls.alias("cls"), "etype", "t")
+    large = [r["cls"] for r in rows.groupBy("cls").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > p.kernel_events).collect()] if by else []  # a row for each class
+    few = rows
+    for c in large:
+        few = few.where(~F.col("cls").eqNullSafe(F.lit(c)))
+    out = few.groupBy("cls").applyInArrow(run, ROWS)
+    for c in large:
+        out = out.unionByName(select(rows.where(F.col("cls").eqNullSafe(F.lit(c))).select("etype", "t"), p.but(engine="table"), selector).withColumn("cls", F.lit(c)))
+    return out
 
 
 def select(events: DataFrame, p: Params = Params(), selector: str = "path_greedy") -> DataFrame:
@@ -52,8 +61,6 @@ def select(events: DataFrame, p: Params = Params(), selector: str = "path_greedy
     spark = events.sparkSession
     picks, occs, left, _ = table.select(events, p, selector)
     ones = encoding.trivial(left).drop("row_no").withColumn("_e", F.col("types")[0])
-    from pyspark.sql import Window
-
     ones = ones.withColumn("row_no", F.row_number().over(Window.orderBy("_e")) + len(picks)).drop("_e")  # a row for each type
     empty = [F.lit(None).cast(k).alias(c) for c, k in (("round", "int"), ("rank", "int"), ("score", "long"))]
     ones = ones.select("row_no", *empty, "size", "types", "gaps", "n_occ", "starts")
@@ -65,20 +72,21 @@ def select(events: DataFrame, p: Params = Params(), selector: str = "path_greedy
 
 
 def trace(events: DataFrame, p: Params = Params(), selector: str = "path_greedy") -> DataFrame:
-    """round, n_found, n_useful, n_picked, events_left."""
+    """round, n_found, n_useful, n_picked, events_left; by the engine that `select` would take."""
+    schema = "round long, n_found long, n_useful long, n_picked long, events_left long"
+    if p.engine == "table" or (p.engine == "auto" and events.count() > p.kernel_events):
+        return events.sparkSession.createDataFrame(table.select(events, p, selector)[3], schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t, e = [], []
         for b in batches:
             t.append(b.column("t").to_numpy())
             e.append(b.column("etype").to_numpy())
-        if sum(map(len, t)) > p.kernel_events:
-            raise ValueError("too many events for one task; read the trace of table.select")
         rows = kernel.select(np.concatenate(t), np.concatenate(e), p, selector)[2] if t else []
         cols = list(zip(*rows, strict=True)) if rows else [[]] * 5
         yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["round", "n_found", "n_useful", "n_picked", "events_left"])
 
-    return events.select("t", "etype").coalesce(1).mapInArrow(run, "round long, n_found long, n_useful long, n_picked long, events_left long")
+    return events.select("t", "etype").coalesce(1).mapInArrow(run, schema)
 
 
 def plain(encoded: DataFrame) -> DataFrame:

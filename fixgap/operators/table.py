@@ -17,12 +17,20 @@ from ..params import Params
 from ..sources.shared import Scratch
 from . import kernel, occ
 
+SMALL_ROWS = 50_000  # rows of paths, winners or names that are broadcast
+POOL = 2000  # candidates that a choice starts with
+
 
 class Layout:
     """Events with a block each, and the same with halo copies."""
 
     def __init__(self, events: DataFrame, p: Params, nodes: int = 16):
-        self.p, self.nodes, self.ticks = p, nodes, max(p.block_ticks, (nodes - 1) * p.tg + 1)
+        self.p = p
+        self._lay(events, nodes)
+
+    def _lay(self, events: DataFrame, nodes: int) -> None:
+        p = self.p
+        self.nodes, self.ticks = nodes, max(p.block_ticks, (nodes - 1) * p.tg + 1)
         self.home = events.select("etype", "t", F.floor(F.col("t") / self.ticks).alias("block"))
         halo = (nodes - 1) * p.tg
         copies = F.when(F.col("t") % self.ticks < halo, F.array("block", F.col("block") - 1)).otherwise(F.array("block"))
@@ -31,12 +39,26 @@ class Layout:
     def drop(self) -> None:
         self.wide.unpersist()
 
+    def room_for(self, size: int, frontier: DataFrame) -> DataFrame:
+        """The frontier, in a layout whose halo holds episodes of `size` nodes: blocks are laid anew with twice the nodes if not."""
+        if size <= self.nodes:
+            return frontier
+        old = self.wide
+        self._lay(self.home.select("etype", "t"), max(size, 2 * self.nodes))
+        old.unpersist()
+        return frontier.withColumn("block", F.floor(F.col("start_t") / self.ticks))
+
+
+def small(df: DataFrame, rows: int) -> DataFrame:
+    """A hint to broadcast a frame of so many rows, if they are few."""
+    return F.broadcast(df) if rows <= SMALL_ROWS else df
+
 
 def step(lay: Layout, frontier: DataFrame, paths: DataFrame) -> DataFrame:
     """All one-event extensions of the frontier by a type that the path doesn't have: path, block, start_t, t, etype, gap."""
     reach = frontier.select("path", "block", "start_t", F.explode(F.sequence(F.lit(1), F.lit(lay.p.tg))).alias("gap"), "end_t").withColumn("t", F.col("end_t") + F.col("gap"))
     met = reach.join(lay.wide, ["block", "t"])
-    return met.join(F.broadcast(paths.select("path", "types")), "path").where(~F.array_contains("types", F.col("etype"))).select("path", "block", "start_t", "t", "etype", "gap")
+    return met.join(paths.select("path", "types"), "path").where(~F.array_contains("types", F.col("etype"))).select("path", "block", "start_t", "t", "etype", "gap")
 
 
 def best_paths(lay: Layout, scratch: Scratch) -> tuple[list[Episode], DataFrame]:
@@ -44,16 +66,15 @@ def best_paths(lay: Layout, scratch: Scratch) -> tuple[list[Episode], DataFrame]
     p, spark = lay.p, lay.home.sparkSession
     counts = {r["etype"]: r["n"] for r in lay.home.groupBy("etype").agg(F.count(F.lit(1)).alias("n")).where("n >= 5").collect()}
     paths = {e: ((e,), (), n) for e, n in counts.items()}
-    frontier = lay.home.where(F.col("etype").isin(list(counts))) if len(counts) < 1000 else lay.home.join(F.broadcast(spark.createDataFrame([(e,) for e in counts], "etype int")), "etype")
+    frontier = lay.home.where(F.col("etype").isin(list(counts))) if len(counts) < 1000 else lay.home.join(small(spark.createDataFrame([(e,) for e in counts], "etype int"), len(counts)), "etype")
     frontier = frontier.select(F.col("etype").alias("path"), "block", F.col("t").alias("start_t"), F.col("t").alias("end_t"))
     done: list[Episode] = []
     found: DataFrame | None = None
     size = 1
     while paths:
-        if size + 1 > lay.nodes:
-            raise ValueError(f"an episode outgrew the layout's {lay.nodes} nodes; lay blocks with more")
+        frontier = lay.room_for(size + 1, frontier)
         frame = spark.createDataFrame([(k, list(v[0])) for k, v in paths.items()], "path int, types array<int>")
-        cand = scratch.write(step(lay, frontier, frame))
+        cand = scratch.write(step(lay, frontier, small(frame, len(paths))))
         n = cand.groupBy("path", "etype", "gap").agg(F.count(F.lit(1)).alias("n"))
         best = n.withColumn("r", F.row_number().over(Window.partitionBy("path").orderBy(F.desc("n"), "gap", "etype"))).where("r = 1").collect()
         grown = {}
@@ -68,12 +89,12 @@ def best_paths(lay: Layout, scratch: Scratch) -> tuple[list[Episode], DataFrame]
         if closed:
             done += closed.values()
             keys = spark.createDataFrame([(k, e.key) for k, e in closed.items()], "path int, ep_id string")
-            here = frontier.join(F.broadcast(keys), "path").select("ep_id", "start_t")
+            here = frontier.join(small(keys, len(closed)), "path").select("ep_id", "start_t")
             found = here if found is None else found.unionByName(here)
         if not grown:
             break
-        wins = spark.createDataFrame([(k, v[0][-1], v[1][-1]) for k, v in grown.items()], "path int, etype int, gap int")
-        frontier = cand.join(F.broadcast(wins), ["path", "etype", "gap"]).select("path", "block", "start_t", F.col("t").alias("end_t"))
+        wins = small(spark.createDataFrame([(k, v[0][-1], v[1][-1]) for k, v in grown.items()], "path int, etype int, gap int"), len(grown))
+        frontier = cand.join(wins, ["path", "etype", "gap"]).select("path", "block", "start_t", F.col("t").alias("end_t"))
         paths, size = grown, size + 1
     if found is None:
         return [], spark.createDataFrame([], "ep_id string, start_t long")
@@ -91,7 +112,8 @@ def frequent(lay: Layout, least: float, scratch: Scratch) -> tuple[DataFrame, Da
     eps = ones.select(F.col("etype").cast("string").alias("path"), F.array("etype").alias("types"), F.array().cast("array<int>").alias("gaps"))
     frontier = lay.home.join(ones.select("etype"), "etype").select(F.col("etype").cast("string").alias("path"), "block", F.col("t").alias("start_t"), F.col("t").alias("end_t"))
     all_eps, all_occ, size = None, None, 1
-    while not (p.max_size and size >= p.max_size) and size < lay.nodes:
+    while not (p.max_size and size >= p.max_size):
+        frontier = lay.room_for(size + 1, frontier)
         reach = frontier.select("path", "block", "start_t", F.explode(F.sequence(F.lit(1), F.lit(p.tg))).alias("gap"), "end_t").withColumn("t", F.col("end_t") + F.col("gap"))
         met = reach.join(lay.wide, ["block", "t"]).join(eps.select("path", "types"), "path").where(~F.array_contains("types", F.col("etype")))
         met = scratch.write(met.select("path", "block", "start_t", "t", "etype", "gap"))
@@ -133,6 +155,34 @@ def greedy(cands: list[_Choice], om_rows: list, left: int | None, p: Params) ->
     return kernel.greedy(cands, om, left)
 
 
+def choose(useful: DataFrame, occs: DataFrame, left: int | None, p: Params, pool: int = POOL) -> tuple[list[tuple[Episode, int]], DataFrame | None]:
+    """The greedy picks (episode, overlap score) from useful candidates, and the picked episodes as a frame.
+
+    Only a pool of the best candidates by initial score reaches the driver, with the overlaps among them. An overlap score never
+    exceeds the initial score, so picks above the best initial score outside the pool are final. If more may follow, the pool
+    is widened and the choice made again; its beginning stays the same.
+    """
+    spark = useful.sparkSession
+    order = [F.desc("score"), F.desc("size"), "span", "types", "gaps"]  # the tie rule
+    rows = useful.withColumn("score", episode_score(F.col("size").cast("long"), F.col("freq"))).withColumn("span", F.aggregate("gaps", F.lit(0), lambda a, g: a + g))
+    ranked = rows.orderBy(*order)
+    while True:
+        most = pool if p.max_candidates is None else min(pool, p.max_candidates)
+        got = ranked.limit(most + 1).collect()
+        bound = got[most]["score"] if len(got) > most and most != p.max_candidates else 0
+        got = got[:most]
+        if not got:
+            return [], None
+        cands = [_Choice(Episode(tuple(r["types"]), tuple(r["gaps"])), r["freq"]) for r in got]
+        frame = occ.episodes_frame(spark, [c.episode for c in cands])
+        om = overlap_matrix(occs.join(small(frame.select("ep_id"), len(cands)), "ep_id"), frame).collect() if p.overlap_mode == "penalise" else []
+        picks = greedy(cands, om, left, p)
+        final = next((i for i, (_, s) in enumerate(picks) if s <= bound), len(picks))
+        if final == len(picks) and (bound == 0 or len(picks) == left):
+            return [(cands[i].episode, s) for i, s in picks], frame
+        pool *= 2
+
+
 def select(events: DataFrame, p: Params, selector: str = "path_greedy", nodes: int = 32) -> tuple[list[tuple], DataFrame | None, DataFrame, list[tuple]]:
     """Picks (round, rank, score, episode), their occurrences (ep_id, start_t), the events left over, and a trace."""
     spark = events.sparkSession
@@ -147,34 +197,30 @@ def select(events: DataFrame, p: Params, selector: str = "path_greedy", nodes: i
         lay = Layout(rest, p, nodes)
         if selector == "path_greedy":
             eps, occs = best_paths(lay, scratch)
-            freq = {r["ep_id"]: r["freq"] for r in occ.frequency(occs).collect()} if eps else {}
             found = len(eps)
+            rows = occ.episodes_frame(spark, eps).join(occ.frequency(occs), "ep_id") if eps else None
         else:
             rows, occs = frequent(lay, p.fth * (total if p.min_freq_base == "original" else left), scratch)
-            useful = rows.where(episode_score(F.col("size").cast("long"), F.col("freq")) > 0)
             found = rows.count()
-            got = useful.collect()  # useful candidates only, the selector's input
-            eps, freq = [Episode(tuple(r["types"]), tuple(r["gaps"])) for r in got], {r["ep_id"]: r["freq"] for r in got}
-        cands = [c for e in eps if (c := _Choice(e, freq[e.key])).value > 0]
-        if p.max_candidates is not None:
-            cands = sorted(cands, key=lambda c: (-c.value, kernel.tie_order(c)))[: p.max_candidates]
-        if not cands:
+        if found:
+            useful = scratch.write(rows.where(episode_score(F.col("size").cast("long"), F.col("freq")) > 0).select("ep_id", "size", "types", "gaps", "freq"))
+            n_useful = useful.count()
+            n_useful = n_useful if p.max_candidates is None else min(n_useful, p.max_candidates)
+        if not found or not n_useful:
             trace.append((rnd, found, 0, 0, left))
             lay.drop()
             break
-        frame = occ.episodes_frame(spark, [c.episode for c in cands])
-        om = overlap_matrix(occs.join(F.broadcast(frame.select("ep_id")), "ep_id"), frame).collect()
-        chosen = greedy(cands, om, None if p.k is None else p.k - len(picks), p)
-        names = spark.createDataFrame([(cands[i].episode.key,) for i, _ in chosen], "ep_id string")
-        mine = scratch.write(occs.join(F.broadcast(names), "ep_id"))
-        for i, s in chosen:
-            picks.append((rnd, len(picks) + 1, s, cands[i].episode))
+        chosen, frame = choose(useful, occs, None if p.k is None else p.k - len(picks), p)
+        names = spark.createDataFrame([(e.key,) for e, _ in chosen], "ep_id string")
+        mine = scratch.write(occs.join(small(names, len(chosen)), "ep_id"))
+        for e, s in chosen:
+            picks.append((rnd, len(picks) + 1, s, e))
         gone = occ.covered(mine.withColumn("seq_id", F.lit(0).cast("long")), frame).select("etype", "t")
         rest = scratch.write(rest.join(gone, ["etype", "t"], "left_anti"))
         left = rest.count()
         kept = mine if kept is None else kept.unionByName(mine)
         lay.drop()
-        trace.append((rnd, found, len(cands), len(chosen), left))
+        trace.append((rnd, found, n_useful, len(chosen), left))
         if sum(s for _, s in chosen) <= p.min_gain:
             break
     return picks, kept, rest, trace

@@ -12,7 +12,8 @@ from ..model import Episode
 from ..operators import baselines, encoding, features, occ, selection, table
 from ..params import Params
 from ..sources import sequence as seq
-from ..sources.shared import ship
+from ..sources.shared import Scratch, ship
+from . import oracle
 
 Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 O: dict[str, str] = {}
@@ -105,7 +106,7 @@ def singletons_frequent(spark, d):
     return ev.groupBy("etype").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= float(_LEAST) * total)
 
 
-def _mined(spark, d, topology, fth, size):
+def _mined(spark, d, topology, fth, size=None):
     p = Params(fth=fth, engine="table", max_size=size)
     return baselines.frequent_all(coded(spark, d, topology), p)
 
@@ -161,12 +162,33 @@ def best_ext_level2(spark, d):
     return _best(table.step(lay, grown.select("path", "block", "start_t", F.col("t").alias("end_t")), longer))
 
 
+_GROW = "WITH RECURSIVE " + conveyor_sql("three") + ", " + oracle.greedy_paths("", "ev", TG, "frequency_floor")
+
+
+@query(_GROW + " SELECT DISTINCT CAST(path AS INT) AS path, types, gaps, CAST(size AS INT) AS size, n FROM grow WHERE size IN (3, 4)")
+def best_ext_level3(spark, d):
+    """The paths after two and three extensions, grown until the frequency floor."""
+    scratch = Scratch(spark)
+    ev = scratch.write(coded(spark, d, "three"))
+    lay, front = _level(ev, Params())
+    grown = lay.home.select("etype").distinct().select(F.col("etype").alias("path"), F.array("etype").alias("types"), F.array().cast("array<int>").alias("gaps"))
+    out = None
+    for size in (1, 2, 3):
+        cand = scratch.write(table.step(lay, front, grown))
+        best = _best(cand).where((F.col("n") * size > 2 * size + 3) | ((F.col("n") * size == 2 * size + 3) & (F.col("gap") < TG)))
+        front = cand.join(best, ["path", "etype", "gap"]).select("path", "block", "start_t", F.col("t").alias("end_t"))
+        grown = scratch.write(best.join(grown.select("path", "types", "gaps"), "path").select("path", F.concat("types", F.array("etype")).alias("types"), F.concat("gaps", F.array("gap")).alias("gaps"), "n"))
+        if size > 1:
+            here = grown.select("path", "types", "gaps", F.lit(size + 1).alias("size"), "n")
+            out = here if out is None else out.unionByName(here)
+    lay.drop()
+    return out
+
+
 # ---- scores, overlap, choice
 
 
 def _pair_episodes(spark, d, topology, fth=0.02) -> tuple[DataFrame, DataFrame]:
-    from ..sources.shared import Scratch
-
     ev = coded(spark, d, topology)
     scratch = Scratch(spark)
     ev = scratch.write(ev)
@@ -223,27 +245,45 @@ def delete_covered(spark, d):
     return ev.join(occ.covered(mine, rows).select("etype", "t"), ["etype", "t"], "left_anti")
 
 
-# ---- a fixed model: three units of each of two routes
+# ---- a fixed model: the first three units of each of two routes
 
-FIXED = [(["IN01", "BELT01", "TURN01"], [2, 3]), (["IN02", "BELT06", "TURN03"], [2, 3])]
+_A, _B = (x[:3] for x in seq.TOPOLOGY["two"])
+_KINDS = [[seq.TRANSFER[u.rstrip("0123456789")] for u in x[:2]] for x in (_A, _B)]
+FIXED = [(_A, _KINDS[0]), (_B, _KINDS[1])]
 
 
-def _fixed(spark, d) -> tuple[DataFrame, DataFrame]:
+def _fixed_parts(spark, d) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Events, the two episodes with row_no, and their occurrences."""
     ship(spark)
     ev, alphabet = seq.encode_alphabet(conveyor(spark, d, "two"))
     code = {r["symbol"]: r["etype"] for r in alphabet.collect()}  # a row for each unit
     eps = [Episode(tuple(code[s] for s in syms), tuple(gaps)) for syms, gaps in FIXED]
-    frame = occ.episodes_frame(spark, eps)
-    occs = occ.fixed(ev, frame)
-    numbered = frame.join(spark.createDataFrame([(e.key, i) for i, e in enumerate(eps, 1)], "ep_id string, row_no int"), "ep_id")
-    multi = encoding.encode(numbered, occs)
-    rest = ev.select("etype", "t").join(occ.covered(occs, frame).select("etype", "t"), ["etype", "t"], "left_anti")
-    return ev.select("etype", "t"), multi.unionByName(encoding.trivial(rest).withColumn("row_no", F.col("row_no") + 100))
+    frame = occ.episodes_frame(spark, eps).join(spark.createDataFrame([(e.key, i) for i, e in enumerate(eps, 1)], "ep_id string, row_no int"), "ep_id")
+    return ev.select("etype", "t"), frame, occ.fixed(ev, frame)
+
 
+def _rest(ev: DataFrame, frame: DataFrame, occs: DataFrame) -> DataFrame:
+    return ev.join(occ.covered(occs, frame).select("etype", "t"), ["etype", "t"], "left_anti")
 
-_FIX = f"""WITH {conveyor_sql('two')}, o1 AS (SELECT a.t FROM ev a JOIN ev b ON b.sym = 'BELT01' AND b.t = a.t + 2 JOIN ev c ON c.sym = 'TURN01' AND c.t = a.t + 5 WHERE a.sym = 'IN01'),
-    o2 AS (SELECT a.t FROM ev a JOIN ev b ON b.sym = 'BELT06' AND b.t = a.t + 2 JOIN ev c ON c.sym = 'TURN03' AND c.t = a.t + 5 WHERE a.sym = 'IN02'),
-    cov AS (SELECT 'IN01' AS sym, t FROM o1 UNION SELECT 'BELT01', t + 2 FROM o1 UNION SELECT 'TURN01', t + 5 FROM o1 UNION SELECT 'IN02', t FROM o2 UNION SELECT 'BELT06', t + 2 FROM o2 UNION SELECT 'TURN03', t + 5 FROM o2),
+
+def _fixed(spark, d) -> tuple[DataFrame, DataFrame]:
+    ev, frame, occs = _fixed_parts(spark, d)
+    return ev, encoding.encode(frame, occs).unionByName(encoding.trivial(_rest(ev, frame, occs)).withColumn("row_no", F.col("row_no") + 100))
+
+
+def _fixed_long(spark, d):
+    ev, frame, occs = _fixed_parts(spark, d)
+    rows, starts = encoding.trivial_long(_rest(ev, frame, occs))
+    return ev, encoding.encode_long(frame, occs), (rows.withColumn("row_no", F.col("row_no") + 100), starts.withColumn("row_no", F.col("row_no") + 100))
+
+
+def _three(units: list[str], gaps: list[int]) -> str:
+    return f"SELECT a.t FROM ev a JOIN ev b ON b.sym = '{units[1]}' AND b.t = a.t + {gaps[0]} JOIN ev c ON c.sym = '{units[2]}' AND c.t = a.t + {sum(gaps)} WHERE a.sym = '{units[0]}'"
+
+
+_COV = " UNION ".join(f"SELECT '{u}' AS sym, t + {off} AS t FROM o{i}" for i, (units, gaps) in enumerate(FIXED, 1) for u, off in zip(units, (0, gaps[0], sum(gaps)), strict=True))
+_GAP_BITS = [sum(2 * (g.bit_length() - 1) + 1 for g in gaps) for _, gaps in FIXED]
+_FIX = f"""WITH {conveyor_sql('two')}, o1 AS ({_three(*FIXED[0])}), o2 AS ({_three(*FIXED[1])}), cov AS ({_COV}),
     rest AS (SELECT etype, t FROM ev WHERE NOT EXISTS (SELECT 1 FROM cov WHERE cov.sym = ev.sym AND cov.t = ev.t)),
     enc AS (SELECT 1 AS row_no, 3 AS size, list(t) AS starts, count(*) AS n FROM o1 UNION ALL SELECT 2, 3, list(t), count(*) FROM o2 UNION ALL SELECT etype + 100, 1, list(t), count(*) FROM rest GROUP BY etype)"""
 _BITS = "(2 * (length(bin(n)) - 1) + 1)"
@@ -255,13 +295,31 @@ def encode_fixed_model(spark, d):
     return e.select("row_no", "size", "n_occ", F.aggregate("starts", F.lit(0).cast("long"), lambda a, x: a + x).alias("start_sum"), F.array_min("starts").alias("first_start"))
 
 
+@query(_FIX + " SELECT CAST(row_no AS INT) AS row_no, size, n AS n_occ, unnest(starts) AS start_t FROM enc WHERE n > 0")
+def encode_long_fixed_model(spark, d):
+    ev, multi, ones = _fixed_long(spark, d)
+    return (multi[0].unionByName(ones[0])).join(multi[1].unionByName(ones[1]), "row_no").select("row_no", "size", "n_occ", "start_t")
+
+
+@query(f"WITH {conveyor_sql('two')} SELECT etype, t FROM ev")
+def decode_long_fixed_model(spark, d):
+    ev, multi, ones = _fixed_long(spark, d)
+    return encoding.decode_long(multi[0].unionByName(ones[0]), multi[1].unionByName(ones[1]))
+
+
+@query(_FIX + " SELECT sum(2 * size)::BIGINT AS model_units, sum(n + 1)::BIGINT AS data_units, sum(2 * size + n + 1)::BIGINT AS total_units, count(*) FILTER (size > 1) AS n_patterns FROM enc WHERE n > 0")
+def length_for_set(spark, d):
+    ev, frame, occs = _fixed_parts(spark, d)
+    return encoding.units_for(ev, frame, occs)
+
+
 @query(_FIX + " SELECT sum(2 * size)::BIGINT AS model_units, sum(n + 1)::BIGINT AS data_units, sum(2 * size + n + 1)::BIGINT AS total_units, count(*) FILTER (size > 1) AS n_patterns FROM enc WHERE n > 0")
 def length_fixed_model(spark, d):
     return encoding.units(_fixed(spark, d)[1])
 
 
 @query(_FIX + f""", m AS (SELECT count(DISTINCT etype) AS m FROM ev), u AS (SELECT row_no, size, n, unnest(starts) AS x FROM enc WHERE n > 0),
-    s AS (SELECT row_no, sum(2 * (length(bin(x)) - 1) + 1) AS b FROM u GROUP BY 1), rows_ AS (SELECT (2 * (length(bin(size)) - 1) + 1) + size * (SELECT length(bin(m)) FROM m) + CASE WHEN size = 3 THEN 3 + 3 ELSE 0 END + {_BITS} + b AS bits FROM enc JOIN s USING (row_no) WHERE n > 0)
+    s AS (SELECT row_no, sum(2 * (length(bin(x)) - 1) + 1) AS b FROM u GROUP BY 1), rows_ AS (SELECT (2 * (length(bin(size)) - 1) + 1) + size * (SELECT length(bin(m)) FROM m) + CASE row_no WHEN 1 THEN {_GAP_BITS[0]} WHEN 2 THEN {_GAP_BITS[1]} ELSE 0 END + {_BITS} + b AS bits FROM enc JOIN s USING (row_no) WHERE n > 0)
     SELECT (sum(bits) + (SELECT 2 * (length(bin(m)) - 1) + 1 FROM m))::BIGINT AS total_bits FROM rows_""")
 def bits_fixed_model(spark, d):
     ev, e = _fixed(spark, d)
@@ -289,60 +347,64 @@ def per_event_time_units(spark, d):
     return encoding.per_event_time_units(_fixed(spark, d)[1])
 
 
-# ---- selectors: their decoded encodings are the data, whatever they chose
+# ---- selectors: chosen episodes, traces and units against SQL that makes the whole choice itself; decoded encodings against the data
+
+ROUNDS = 5  # written out in SQL; the conveyors take fewer
+_MODEL = " SELECT * FROM chosen"
+_COST = f" SELECT (SELECT count(*) FROM ev) AS n_events, (SELECT 3 * count(DISTINCT etype) + count(*) FROM ev) AS trivial_units, CAST({oracle.UNITS} AS BIGINT) AS total_units, (SELECT count(*) FROM chosen) AS n_patterns, true AS lossless"
 
-for _top in seq.TOPOLOGY:
-    for _rule in ("score_improves", "frequency_floor"):
-        _sql = f"WITH {conveyor_sql(_top)} SELECT etype, t FROM ev"
-        query(_sql, f"select_{_top}_{_rule}_decoded")(lambda s, d, top=_top, rule=_rule: encoding.decode(selection.select(coded(s, d, top), Params(stop_rule=rule))))
-    query(f"WITH {conveyor_sql(_top)} SELECT count(*) AS n_events, 3 * count(DISTINCT etype) + count(*) AS trivial_units, true AS lossless, true AS shorter FROM ev", f"select_{_top}_cost_check")(lambda s, d, top=_top: _cost_check(s, d, top))
-    query(None, f"model_{_top}")(lambda s, d, top=_top: selection.select(coded(s, d, top)).where("rank IS NOT NULL").select("round", "rank", "score", "size", "n_occ", episode_key(F.col("types"), F.col("gaps")).alias("episode")))
-    query(None, f"trace_{_top}")(lambda s, d, top=_top: selection.trace(coded(s, d, top)))
 
+def _model(spark, d, top, p=Params(), selector="path_greedy"):
+    rows = selection.select(coded(spark, d, top), p, selector).where("rank IS NOT NULL")
+    return rows.select("round", "rank", "score", "size", "n_occ", episode_key(F.col("types"), F.col("gaps")).alias("episode"))
 
-def _cost_check(spark, d, top):
-    from ..sources.shared import Scratch
 
+def _cost_check(spark, d, top, p=Params(), selector="path_greedy"):
     scratch = Scratch(spark)
     ev = scratch.write(coded(spark, d, top))
-    enc = scratch.write(selection.select(ev))
+    enc = scratch.write(selection.select(ev, p, selector))
     bad = encoding.lost_or_added(ev, enc).agg((F.count(F.lit(1)) == 0).alias("lossless"))
-    u = encoding.trivial_units(ev)
-    return u.join(encoding.units(enc)).join(bad).select("n_events", "trivial_units", "lossless", (F.col("total_units") <= F.col("trivial_units")).alias("shorter"))
+    return encoding.trivial_units(ev).join(encoding.units(enc)).join(bad).select("n_events", "trivial_units", "total_units", "n_patterns", "lossless")
 
 
-query(f"WITH {conveyor_sql('two')} SELECT etype, t FROM ev", "select_two_phase_decoded")(lambda s, d: encoding.decode(selection.select(coded(s, d, "two"), Params(fth=0.02), "two_phase")))
-query(f"WITH {conveyor_sql('two')} SELECT etype, t FROM ev", "select_best_k_decoded")(lambda s, d: encoding.decode(selection.select(coded(s, d, "two"), Params(k=3))))
-query(f"WITH {conveyor_sql('two')} SELECT etype, t FROM ev", "select_best_few_decoded")(lambda s, d: encoding.decode(selection.select(coded(s, d, "two"), Params(max_candidates=4))))
-query(f"WITH {conveyor_sql('two')} SELECT etype, t FROM ev", "select_one_round_decoded")(lambda s, d: encoding.decode(selection.select(coded(s, d, "two"), Params(max_rounds=1))))
-query(f"WITH {conveyor_sql('two')} SELECT etype, t FROM ev", "select_no_penalty_decoded")(lambda s, d: encoding.decode(selection.select(coded(s, d, "two"), Params(overlap_mode="ignore", max_rounds=1))))
-query(None, "model_two_phase")(lambda s, d: selection.select(coded(s, d, "two"), Params(fth=0.02), "two_phase").where("rank IS NOT NULL").select("rank", "score", "size", "n_occ", episode_key(F.col("types"), F.col("gaps")).alias("episode")))
-query(None, "frequent_closed")(lambda s, d: baselines.closed(_mined(s, d, "two", 0.02, 4)))
-query(None, "frequent_maximal")(lambda s, d: baselines.maximal(_mined(s, d, "two", 0.02, 4)))
-query(None, "closed_then_greedy")(lambda s, d: (ship(s), baselines.closed_then_greedy(coded(s, d, "two"), Params(fth=0.02)))[1])
-query(None, "random_subset")(lambda s, d: baselines.random_subset(_mined(s, d, "two", 0.02, 3), 10))
-
+def _pair(name: str, top: str, p: Params, selector: str = "path_greedy", rounds: int = ROUNDS, trace: bool = False, by_table: bool = False) -> None:
+    """model_<name>, cost and trace by the kernel, select_<name>_table by the table engine, all against one SQL choice."""
+    sql = oracle.selection(conveyor_sql(top), p.max_rounds or rounds, p.stop_rule, p.fth if selector == "two_phase" else None, p.k, p.max_candidates, p.overlap_mode == "penalise", p.tg, p.max_size)
+    query(sql + _MODEL, f"model_{name}")(lambda s, d: _model(s, d, top, p, selector))
+    if by_table:
+        query(sql + _MODEL, f"select_{name}_table")(lambda s, d: _model(s, d, top, p.but(engine="table"), selector))
+    query(sql + _COST, f"select_{name}_cost_check")(lambda s, d: _cost_check(s, d, top, p, selector))
+    if trace:
+        # rounds after the last are not run
+        query(sql + " SELECT CAST(round AS BIGINT) AS round, n_found, n_useful, n_picked, events_left FROM steps WHERE round <= 1 + (SELECT count(*) FROM steps WHERE n_picked > 0) AND round <= 1 + (SELECT count(*) FROM steps WHERE events_left > 0)", f"trace_{name}")(lambda s, d: selection.trace(coded(s, d, top), p, selector))
 
-def _order_only_rows(spark, d, top, size=50):
-    ev = coded(spark, d, top).withColumn("seq_id", F.lit(0).cast("long"))
-    return seq.order_only(seq.chop(ev, size)), ev.select("etype").distinct().count()
-
-
-def _result(spark, method, got):
-    patterns, bits, base = got
-    return spark.createDataFrame([(method, len(patterns), float(bits), float(base), float(base / bits))], "method string, n_patterns int, bits double, singleton_bits double, ratio double")
 
+for _top in seq.TOPOLOGY:
+    _pair(_top, _top, Params(), trace=True, by_table=_top != "five")
+    for _rule in ("score_improves", "frequency_floor"):
+        _sql = f"WITH {conveyor_sql(_top)} SELECT etype, t FROM ev"
+        query(_sql, f"select_{_top}_{_rule}_decoded")(lambda s, d, top=_top, rule=_rule: encoding.decode(selection.select(coded(s, d, top), Params(stop_rule=rule))))
+_pair("two_phase", "two", Params(fth=0.02, max_size=3), "two_phase", 8, trace=True, by_table=True)
+_pair("two_phase_long", "two", Params(fth=0.04, max_rounds=1), "two_phase")
+_pair("best_k", "three", Params(k=4))
+_pair("best_few", "three", Params(max_candidates=4), rounds=9)
+_pair("one_round", "three", Params(max_rounds=1), by_table=True)
+_pair("no_penalty", "three", Params(overlap_mode="ignore", max_rounds=1))
+_pair("floor_two_rounds", "three", Params(stop_rule="frequency_floor", max_rounds=2))
+query(f"WITH {conveyor_sql('two')} SELECT etype, t FROM ev", "select_two_phase_decoded")(lambda s, d: encoding.decode(selection.select(coded(s, d, "two"), Params(fth=0.02), "two_phase")))
 
-@query()
-def baseline_gap_coding(spark, d):
-    rows, m = _order_only_rows(spark, d, "two")
-    return _result(spark, "gap_coding", baselines.gap_coding(rows, m, max_patterns=6))
 
+# ---- reductions of all frequent episodes
 
-@query()
-def baseline_dependency_test(spark, d):
-    rows, m = _order_only_rows(spark, d, "two")
-    return _result(spark, "dependency_test", baselines.dependency_test(rows, m, max_patterns=3, tries=2))
+_ALL = f"WITH RECURSIVE {conveyor_sql('two')}, {oracle.all_frequent('', 'ev', 0.04)}, {oracle.closed('', 'found')}"
+_EPS = " SELECT key AS ep_id, CAST(size AS INT) AS size, n AS freq FROM eps"
+query(_ALL + _EPS, "frequent_all")(lambda s, d: _mined(s, d, "two", 0.04).select("ep_id", "size", "freq"))
+query(_ALL + _EPS + " WHERE key IN (SELECT key FROM closed)", "frequent_closed")(lambda s, d: baselines.closed(_mined(s, d, "two", 0.04)).select("ep_id", "size", "freq"))
+query(_ALL + _EPS + " WHERE key IN (SELECT key FROM maximal)", "frequent_maximal")(lambda s, d: baselines.maximal(_mined(s, d, "two", 0.04)).select("ep_id", "size", "freq"))
+query(_ALL + ", kept AS MATERIALIZED (SELECT * FROM found WHERE key IN (SELECT key FROM closed)), " + oracle.picks("", "kept") + " SELECT CAST(place + 1 AS INT) AS rank, value AS score, key AS episode, n AS freq FROM pick", "closed_then_greedy")(
+    lambda s, d: baselines.closed_then_greedy(coded(s, d, "two"), Params(fth=0.04)).select("rank", "score", episode_key(F.col("types"), F.col("gaps")).alias("episode"), "freq")
+)
+query(None, "random_subset")(lambda s, d: baselines.random_subset(_mined(s, d, "two", 0.04), 10))
 
 
 # ---- features
@@ -392,15 +454,33 @@ query("SELECT DISTINCT CAST(l_quantity AS BIGINT) AS n, 2 * (length(bin(CAST(l_q
 def _workloads() -> None:
     from . import workloads as w
 
-    Q["entry_flagship"] = w.flagship
+    ratio = f"(SELECT 3 * count(DISTINCT etype) + count(*) FROM ev) / ({oracle.UNITS})"
+    whole = {top: oracle.selection(conveyor_sql(top), ROUNDS) for top in seq.TOPOLOGY}
+    query(whole["three"] + f" SELECT rank AS row_no, size, episode, n_occ, score, CAST({oracle.UNITS} AS BIGINT) AS units, {ratio} AS ratio FROM chosen", "entry_flagship")(w.flagship)
+    lines = [f"SELECT * FROM ({sql} SELECT '{top}' AS data, (SELECT count(*) FROM ev) AS n_events, (SELECT 3 * count(DISTINCT etype) + count(*) FROM ev) AS trivial_units, CAST({oracle.UNITS} AS BIGINT) AS total_units, (SELECT count(*) FROM chosen) AS n_patterns, {ratio} AS ratio)" for top, sql in whole.items()]
+    query(" UNION ALL ".join(lines), "tab_conv_units")(w.conveyor_units)
     for top in seq.TOPOLOGY:
-        Q[f"conv_{top}_top_patterns"] = lambda s, d, top=top: w.conveyor_top_patterns(s, d, top)
+        names = f", names AS (SELECT DISTINCT etype, sym FROM ev), spelt AS (SELECT rank, score, n_occ, unnest(list_transform(regexp_extract_all(episode, '(^|>)([0-9]+)', 2), lambda x: CAST(x AS INT))) AS etype, unnest(range(1, size + 1)) AS i FROM chosen)"
+        sql = oracle.selection(conveyor_sql(top), ROUNDS, k=10) + names + " SELECT rank, score, n_occ, string_agg(sym, '>' ORDER BY i) AS pattern FROM spelt JOIN names USING (etype) GROUP BY ALL"
+        query(sql, f"conv_{top}_top_patterns")(lambda s, d, top=top: w.conveyor_top_patterns(s, d, top))
+        Q[f"conv_{top}_relevance"] = lambda s, d, top=top: w.conveyor_relevance(s, d, top)
+        if top != "five":  # its baselines take minutes; call the function
+            Q[f"tab_conv_{top}"] = lambda s, d, top=top: w.conveyor_table(s, d, top, chops=(25, 50, 100) if top == "two" else (50,))
+    Q["tab_conv_time"] = lambda s, d: w.conveyor_table(s, d, "two", chops=(100,), seconds=True)
+    for name in w.REAL:
+        Q[f"tab_real_{name}"] = lambda s, d, name=name: w.real_table(s, d, (name,))
+    Q["tab_real_time"] = lambda s, d: w.real_table(s, d, ("roles", "tags", "intervals"), seconds=True)
+    Q["cost_vs_candidates"] = w.cost_vs_candidates
+    pairs = f"WITH {conveyor_sql('two')}, {_PAIRS} SELECT 1 AS level, count(*) AS kinds FROM (SELECT etype FROM ev GROUP BY etype HAVING count(*) >= 0.02 * (SELECT count(*) FROM ev)) UNION ALL SELECT 2, count(*) FROM p WHERE n >= 0.02 * (SELECT count(*) FROM ev)"
+    query(pairs, "explain_cost")(lambda s, d: w.explain_cost(coded(s, d, "two"), Params(fth=0.02)))
     Q["noise_control_5"] = lambda s, d: w.noise_control(s, d, 5)
     Q["noise_control_50"] = lambda s, d: w.noise_control(s, d, 50)
     Q["text_top20"] = w.text_top20
     Q["sweep_parameters"] = w.sweep
     Q["two_vs_greedy"] = lambda s, d: w.two_vs_greedy(s, d).drop("s_two_phase", "s_path_greedy")
-    Q["tab_accuracy_embeddings"] = lambda s, d: w.accuracy(s, d, "embeddings", folds=2)
+    # one repetition of two folds; the functions' defaults are twenty of ten
+    for name in ("embeddings", "convlab"):
+        Q[f"tab_accuracy_{name}"] = lambda s, d, name=name: w.accuracy(s, d, name, folds=2, reps=1, sources=("fixed_gap", "order_only", "singletons"))
 
 
 _workloads()

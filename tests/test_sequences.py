@@ -18,6 +18,7 @@ from fixgap.operators import baselines, classify, encoding, features, kernel, me
 from fixgap.params import Params
 from fixgap.sources import sequence
 
+# The worked examples.
 D1 = [("A", 1), ("A", 2), ("B", 3), ("E", 4), ("A", 5), ("B", 6), ("C", 6), ("B", 7), ("D", 8), ("C", 10), ("E", 11)]
 D2 = [("D", 1), ("A", 2), ("C", 3), ("E", 3), ("A", 4), ("B", 4), ("C", 5), ("D", 5), ("B", 6), ("C", 7), ("E", 7), ("C", 8), ("C", 9)]
 A, B, C, D, E = range(1, 6)
@@ -169,7 +170,65 @@ def test_table_engine_equals_kernel(spark, selector, block):
     assert a == b and any(r.rank for r in a)
 
 
-EXPECTED = {"two": (5260, 5305, 677, 4, 1362, 39), "three": (10461, 10548, 1103, 6, 3374, 84), "five": (28735, 28921, 3144, 14, 9825, 218)}
+# events, trivial units, then total units and episodes by the prose rule and by the frequency floor
+def test_long_episodes_in_the_table_engine(spark):
+    """Episodes of more nodes than a layout was laid for: blocks are laid anew, and both engines give them all."""
+    pairs = [(e, 60 * k + e) for k in range(7) for e in range(1, 13)]
+    ev = spark.createDataFrame([(e, t) for e, t in pairs], "etype int, t long")
+    p = Params(tg=1, fth=0.02, block_ticks=16)
+    picks, left, _ = kernel.select(*_arrays(pairs), p)
+    got, _, rest, _ = table.select(ev, p, nodes=3)
+    assert [(x.rank, x.score, x.episode.types, x.episode.gaps) for x in picks] == [(r, s, e.types, e.gaps) for _, r, s, e in got] and got[0][3].size == 12
+    assert rest.count() == len(left)
+    rows = baselines.frequent_all(ev, p, nodes=4).collect()
+    k = kernel.Events(*_arrays(pairs))
+    assert {(tuple(r.types), tuple(r.gaps), r.freq) for r in rows} == {(c.types, c.gaps, len(c.starts)) for c in kernel.frequent(k, p, len(k))}
+    assert [r.size for r in baselines.maximal(spark.createDataFrame(rows)).collect()] == [12]
+
+
+@pytest.mark.parametrize("pool", [1, 3, 1000])
+def test_lazy_choice_equals_the_whole_one(spark, pool):
+    rng = random.Random(9)
+    pairs = {(e, 20 * k + o + rng.randrange(2)) for k in range(1, 40) for e, o in ((A, 0), (B, 3), (C, 5), (D, 9))} | set(_random(rng, 60, 5, 800))
+    k = kernel.Events(*_arrays(sorted(pairs)))
+    cands = [c for c in kernel.frequent(k, Params(tg=4, fth=0.05, max_size=4), len(k)) if c.value > 0]
+    want = [(Episode(cands[i].types, cands[i].gaps).key, s) for i, s in kernel.greedy(cands, kernel.overlaps(k, cands), None)]
+    rows = [(*Episode(c.types, c.gaps).row()[:4], len(c.starts)) for c in cands]
+    useful = spark.createDataFrame(rows, "ep_id string, size int, types array<int>, gaps array<int>, freq long")
+    occs = spark.createDataFrame([(r[0], int(x)) for r, c in zip(rows, cands, strict=True) for x in c.starts], "ep_id string, start_t long")
+    got, _ = table.choose(useful, occs, None, Params(tg=4), pool)
+    assert [(e.key, s) for e, s in got] == want and len(want) > 2
+
+
+def test_large_classes_go_through_the_table_engine(spark):
+    rows = [(c, e, 20 * k + o) for c in ("x", "y") for k in range(1, 12 if c == "x" else 30) for e, o in ((A, 0), (B, 2), (C, 5))]
+    ev = spark.createDataFrame(rows, "label string, etype int, t long")
+    a = selection.select_groups(ev, Params(), by="label").orderBy("cls", "row_no").collect()
+    b = selection.select_groups(ev, Params(kernel_events=50), by="label").select(*a[0].asDict()).orderBy("cls", "row_no").collect()
+    assert a == b and {r.cls for r in a if r["size"] == 3} == {"x", "y"}
+    one = ev.where("label = 'y'").select("etype", "t")
+    assert selection.trace(one, Params(kernel_events=50)).collect() == selection.trace(one).collect()
+
+
+def test_ranks_in_blocks(spark, monkeypatch):
+    monkeypatch.setattr(sequence, "RANK_BLOCK", 7)
+    rng = random.Random(3)
+    rows = sorted({(s, rng.randrange(1, 5), rng.randrange(1, 90)) for s in (0, 4) for _ in range(60)}, key=lambda r: (r[0], r[2], r[1]))
+    ev = spark.createDataFrame(rows, "seq_id long, etype int, t long").repartition(3)
+    want = {s: [r for r in rows if r[0] == s] for s in (0, 4)}
+    assert {(r.seq_id, r.etype, r.t) for r in sequence.order_only(ev).collect()} == {(s, r[1], i) for s in want for i, r in enumerate(want[s], 1)}
+    assert {(r.seq_id, r.etype, r.t) for r in sequence.chop(ev, 10).collect()} == {(s * 2**31 + i // 10, r[1], r[2]) for s in want for i, r in enumerate(want[s])}
+    mixed = sequence.shuffled(ev).collect()
+    assert {(r.seq_id, r.t) for r in mixed} == {(r[0], r[2]) for r in rows} and len(mixed) <= len(rows)
+
+
+def test_stems_and_stop_words(spark):
+    df = spark.createDataFrame([(1, "The parties linked their nodes, linking classes quickly")], "doc_id long, text string")
+    got = sequence.from_text(df, stop_words=sequence.STOP_WORDS, stemmer=sequence.stem).orderBy("t").collect()
+    assert [(r.sym, r.t) for r in got] == [("party", 2), ("link", 3), ("node", 5), ("link", 6), ("classe", 7), ("quick", 8)]
+
+
+EXPECTED = {"two": (7021, 7081, 731, 4, 2140, 47), "three": (13035, 13137, 1712, 8, 4572, 107), "five": (27147, 27345, 2859, 13, 10611, 246)}
 
 
 @pytest.mark.parametrize("topology", EXPECTED)
@@ -194,10 +253,11 @@ def test_path_greedy_beats_the_order_only_baselines(spark, small):
     ev, _ = sequence.encode_alphabet(sequence.conveyor_from_orders(sequence.table(spark, small, "orders"), "two"))
     rows = {r.method: r for r in api.compare(ev, ["path_greedy"]).collect()}
     chopped = sequence.order_only(sequence.chop(ev.withColumn("seq_id", F.lit(0).cast("long")), 50))
-    for got in (baselines.gap_coding(chopped, 15, max_patterns=4), baselines.gap_coding(chopped, 15, mode="candidates", max_patterns=2)):
-        assert got[1] <= got[2] and rows["path_greedy"].ratio_bits > 3 * got[2] / got[1]
+    m = ev.select("etype").distinct().count()
+    for got in (baselines.gap_coding(chopped, m, patience=16), baselines.gap_coding(chopped, m, mode="candidates", patience=16), baselines.dependency_test(chopped, m)):
+        assert got[0] and got[1] < got[2] and rows["path_greedy"].ratio_bits > 2 * got[2] / got[1]
     one = sequence.order_only(ev.withColumn("seq_id", F.lit(0).cast("long")))
-    patterns, bits, base = baselines.dependency_test(one, 15, max_patterns=1)
+    patterns, bits, base = baselines.dependency_test(one, m)
     assert patterns == [] and bits == base  # a single sequence has a single pair, so no test passes
 
 
