@@ -48,17 +48,27 @@ def pair_join(stream: DataFrame, tg_seconds: int, first: str, second: str, key:
     return a.join(b, F.expr(f"ka = kb AND tb > ta AND tb <= ta + INTERVAL {tg_seconds} SECONDS"), how)
 
 
-def match(stream: DataFrame, episodes: list[Episode], slack: int = 0) -> DataFrame:
+def match(stream: DataFrame, episodes: list[Episode], slack: int = 0, time: str | None = None, tick_ms: int = 1000) -> DataFrame:
     """key, ep_id, start_t of each occurrence of frozen episodes, once, when its last event arrives. stream: key, etype, t.
 
     State holds the events of the last span (plus `slack` ticks for late ones), so its size follows the span, not the stream.
+    With `time`, a watermarked timestamp column, a key's state leaves once the watermark is a span (and slack) of `tick_ms`
+    ticks past its newest event, so idle keys hold nothing, and rows behind the watermark are dropped (see `late_rows`).
     """
     plans = [(e.key, list(zip(e.types, e.offsets, strict=True))) for e in episodes]
     span = max((e.offsets[-1] for e in episodes), default=0)
+    hold = (span + slack + 1) * tick_ms
 
     def run(key, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        old = set(zip(*state.get, strict=True)) if state.exists else set()
-        new = {(int(e), int(t)) for b in batches for e, t in zip(b["etype"], b["t"], strict=True)} - old
+        if state.hasTimedOut:
+            state.remove()
+            return
+        etypes, times, until = state.get if state.exists else ([], [], 0)
+        old, new = set(zip(etypes, times, strict=True)), set()
+        for b in batches:
+            new |= {(int(e), int(t)) for e, t in zip(b["etype"], b["t"], strict=True)}
+            until = max(until, int(b["ms"].max()) + hold) if time else 0
+        new -= old
         seen, out = old | new, set()
         for e, t in new:
             for name, nodes in plans:
@@ -67,10 +77,20 @@ def match(stream: DataFrame, episodes: list[Episode], slack: int = 0) -> DataFra
                         out.add((name, t - off))
         last = max((t for _, t in seen), default=0)
         kept = sorted(x for x in seen if x[1] >= last - span - slack)
-        state.update(([x[0] for x in kept], [x[1] for x in kept]))
+        state.update(([x[0] for x in kept], [x[1] for x in kept], until))
+        if time:
+            state.setTimeoutTimestamp(max(until, state.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame([(key[0], n, s) for n, s in sorted(out)], columns=["key", "ep_id", "start_t"])
 
-    return stream.groupBy("key").applyInPandasWithState(run, "key string, ep_id string, start_t long", "etypes array<int>, times array<long>", "append", "NoTimeout")
+    rows = stream.select("key", "etype", "t", time, F.unix_millis(time).alias("ms")) if time else stream
+    schema, state = "key string, ep_id string, start_t long", "etypes array<int>, times array<long>, until long"
+    return rows.groupBy("key").applyInPandasWithState(run, schema, state, "append", "EventTimeTimeout" if time else "NoTimeout")
+
+
+def late_rows(query) -> int:
+    """Rows that a query's stateful operators dropped behind the watermark, over the progress it still reports (an aggregate's
+    rows are counted after its partial aggregation)."""
+    return sum(s["numRowsDroppedByWatermark"] for p in query.recentProgress for s in p["stateOperators"])
 
 
 def monitor(model_episodes: DataFrame, on_result: Callable[[int, dict], None], floor: float = 1.0) -> Callable[[DataFrame, int], None]:
@@ -91,14 +111,30 @@ def monitor(model_episodes: DataFrame, on_result: Callable[[int, dict], None], f
     return run
 
 
-def refresh(params: Params, on_model: Callable[[int, list], None], keep_ticks: int) -> Callable[[DataFrame, int], None]:
-    """A foreachBatch function that chooses episodes anew from the last `keep_ticks` of its batch; models are numbered by epoch."""
+def refresh(params: Params, on_model: Callable[[int, list], None], keep_ticks: int, store: str | None = None) -> Callable[[DataFrame, int], None]:
+    """A foreachBatch function that chooses episodes anew from the last `keep_ticks`; models are numbered by epoch.
+
+    The window is that of the batch, or with `store`, a shared folder, that of all batches: each is a table of its own there
+    (a repeated epoch replaces it), and tables that the window has passed are deleted.
+    """
     from ..operators import selection
 
     def run(batch: DataFrame, epoch: int) -> None:
-        last = batch.agg(F.max("t")).first()[0]
+        events = batch.select("etype", "t")
+        if store:
+            events.write.mode("overwrite").parquet(f"{store}/epoch={epoch}")
+            events = batch.sparkSession.read.schema("etype int, t long, epoch long").parquet(store)
+        last = events.agg(F.max("t")).first()[0]
         if last is not None:
-            rows = selection.select(batch.where(F.col("t") > last - keep_ticks).select("etype", "t"), params)
+            rows = selection.select(events.where(F.col("t") > last - keep_ticks).select("etype", "t"), params)
             on_model(epoch, rows.where("rank IS NOT NULL").orderBy("rank").collect())
+            if store:  # a row for each stored batch
+                for r in events.groupBy("epoch").agg(F.max("t").alias("t")).where(F.col("t") <= last - keep_ticks).collect():
+                    _drop(batch.sparkSession, f"{store}/epoch={r['epoch']}")
 
     return run
+
+
+def _drop(spark: SparkSession, path: str) -> None:
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)

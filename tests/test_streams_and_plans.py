@@ -62,6 +62,35 @@ def test_matcher_equals_batch(spark, tmp_path):
     assert got == {(r.ep_id, r.start_t) for r in batch.collect()}
 
 
+def test_matcher_lets_idle_keys_go(spark, tmp_path):
+    """Batches: key a begins; b moves the watermark far on, which ends a's state; a late row of a is dropped and counted."""
+    at, cols = str(tmp_path / "m"), "key string, etype int, t long"
+    batches = [[("a", 1, 100), ("a", 2, 102)], [("b", 1, 1000)], [("b", 2, 1002)], [("a", 2, 103), ("b", 1, 1010), ("b", 2, 1012)]]
+    for rows in batches:
+        spark.createDataFrame(rows, cols).coalesce(1).write.mode("append").parquet(at)
+    stream = spark.readStream.schema(cols).option("maxFilesPerTrigger", 1).parquet(at)
+    timed = st.with_lateness(stream.withColumn("at", F.timestamp_seconds("t")), "10 seconds", "at")
+    out = st.match(timed, [Episode((1, 2), (2,))], time="at")
+    q = out.writeStream.format("memory").queryName("expiring").outputMode("append").trigger(availableNow=True).start()
+    q.awaitTermination(120)
+    late, held = st.late_rows(q), [s["numRowsTotal"] for p in q.recentProgress for s in p["stateOperators"]]
+    q.stop()
+    assert {(r.key, r.start_t) for r in spark.table("expiring").collect()} == {("a", 100), ("b", 1000), ("b", 1010)}
+    assert late == 1 and held[0] == 1 and max(held) == 2 and held[-1] == 1  # a and b, then b alone
+
+
+def test_refresh_over_a_stored_window(spark, tmp_path):
+    ev = spark.createDataFrame([(e, 20 * k + o) for k in range(1, 31) for e, o in ((1, 0), (2, 2), (3, 5))], "etype int, t long")
+    models, store = {}, str(tmp_path / "window")
+    run = st.refresh(Params(), lambda i, rows: models.update({i: [r.types for r in rows]}), 320, store)
+    for epoch in range(3):
+        run(ev.where(f"t >= {20 + 200 * epoch} AND t < {220 + 200 * epoch}"), epoch)
+    run(ev.where("t >= 420"), 2)  # a repeated epoch replaces its table
+    left = spark.read.parquet(store)
+    assert sorted(r.epoch for r in left.select("epoch").distinct().collect()) == [1, 2]
+    assert left.count() == 60 and models == dict.fromkeys(range(3), [[1, 2, 3]])
+
+
 def test_monitor_and_refresh(spark):
     ev = spark.createDataFrame([(e, 20 * k + o) for k in range(1, 30) for e, o in ((1, 0), (2, 2), (3, 5))], "etype int, t long")
     seen, models = [], []
