@@ -63,10 +63,12 @@ def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield flush()
 
 
-def _texts(sizes: list[int], blob: bytes) -> list[list[bytes]]:
-    """The words of each packed text."""
-    raw, ends = zlib.decompress(blob), np.cumsum([0, *sizes]).tolist()
-    return [raw[a:b].split(b"\n") if a < b else [] for a, b in zip(ends, ends[1:], strict=False)]
+def _texts(sizes: list[int], blob: bytes) -> Iterator[list[bytes]]:
+    """The words of each packed text, one text's at a time."""
+    raw, at = zlib.decompress(blob), 0
+    for n in sizes:
+        yield raw[at : at + n].split(b"\n") if n else []
+        at += n
 
 
 def _ask(n_buckets: int):
@@ -74,7 +76,9 @@ def _ask(n_buckets: int):
         seen: dict[int, set[bytes]] = {}
         for b in batches:
             for chunk, sizes, blob in zip(*(b.column(c).to_pylist() for c in ("chunk", "sizes", "texts")), strict=True):
-                seen.setdefault(chunk, set()).update(*_texts(sizes, blob))
+                known = seen.setdefault(chunk, set())
+                for ws in _texts(sizes, blob):
+                    known.update(ws)
         for chunk in list(seen):
             found = _buckets(seen.pop(chunk), n_buckets)
             blobs = [zlib.compress(b"\n".join(ws), 1) for ws in found.values()]
@@ -153,9 +157,12 @@ def joined_pieces(encoded: DataFrame, vocab: DataFrame, keys: list[str]) -> Data
     return rows.select(*keys, F.transform("x", lambda p: p["id"]).alias("ids"), F.array_join(F.transform("x", lambda p: p["piece"]), " ").alias("decoded"))
 
 
-def _lookup(texts: list[list[bytes]], answers: pa.Table, n_buckets: int, dtype: str):
+def _lookup(texts: Iterator[list[bytes]], answers: pa.Table, n_buckets: int, dtype: str):
     """word -> place, with flat ids, starts, lengths and decoded pieces, from the answers to this chunk."""
-    asked = _buckets(set().union(*texts), n_buckets) if texts else {}
+    distinct: set[bytes] = set()
+    for ws in texts:
+        distinct.update(ws)
+    asked = _buckets(distinct, n_buckets)
     got = dict(zip(answers.column("bucket").to_pylist(), answers.column("ids").to_pylist(), strict=True))
     index: dict[bytes, int] = {}
     flat, lens, said = [], [], []
@@ -191,11 +198,13 @@ def _join(docs: DataFrame, tokenizer: str, finish, schema: str) -> DataFrame:
     answered = spelt.select("no", "chunk", "bucket", "refs", "pos", "id", "piece").mapInArrow(_answers(dtype), "chunk int, bucket int, ids binary")
 
     def solve(left: pa.Table, right: pa.Table) -> pa.Table:
-        doc_ids, texts = [], []
-        for some, sizes, blob in zip(*(left.column(c).to_pylist() for c in ("doc_ids", "sizes", "texts")), strict=True):
-            doc_ids += some
-            texts += _texts(sizes, blob)
-        return finish(pa.array(doc_ids, pa.int64()), texts, *_lookup(texts, right, buckets, dtype))
+        doc_ids = pa.array([d for some in left.column("doc_ids").to_pylist() for d in some], pa.int64())
+
+        def texts() -> Iterator[list[bytes]]:  # split twice, so that a chunk's words are never all held
+            for sizes, blob in zip(left.column("sizes"), left.column("texts"), strict=True):
+                yield from _texts(sizes.as_py(), blob.as_py())
+
+        return finish(doc_ids, texts(), *_lookup(texts(), right, buckets, dtype))
 
     return chunks.groupBy("chunk").cogroup(_deal(answered, n).groupBy("chunk")).applyInArrow(solve, schema)
 
