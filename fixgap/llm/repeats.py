@@ -11,6 +11,11 @@ are independent. What an anchor's windows cover is its context.
    windows share.
 3. Ranges meet their texts again, and every byte under a repeated window goes.
 
+Anchor hashes of very many rows (a passage that a large share of the texts hold) are found first on a sample of the rows. The
+sample decides only how rows are dealt out, never what is repeated: rows of such a hash go by context instead of by hash, their
+contexts are all compared, and of a context that a task has already sent twice, further rows are known to be repeated and go
+anywhere.
+
 Texts are known by 79 bits of hash; equal texts have equal results, so copies in one task cost one text's rows.
 
 Nulls: a null text is empty. Texts shorter than `length` keep all bytes. Repeated rows are copies of one another and count as
@@ -24,6 +29,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -33,6 +39,10 @@ from .base import materialise
 LENGTH, GRAM, STEP = 200, 32, 50
 PIECE = 4 << 20  # bytes of text handled at once
 BUCKET_BYTES = 3 << 20
+SAMPLE, OFTEN = 1 / 64, 256  # share of rows looked at for frequent anchor hashes, and how often these occur there
+HOT = 100_000  # most hashes dealt by context; any other then has at most a share of 1 / HOT of all rows
+SEEN = 200_000  # contexts of frequent hashes that a task remembers
+ROWS = "fp long, ctx long, k1 long, k2 short, first int, lead short, spread short, twice byte, deal int, hint int"
 SCHEMA = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
 _PLACE = np.uint64((1 << 23) - 1)
 
@@ -88,11 +98,37 @@ def anchors(group: list[tuple[int, int, bytes]], length: int, gram: int) -> tupl
     return h[place].view(np.int64), context.view(np.int64), np.array([i for i, _, _ in group])[who], place + shift, first + shift, last + shift
 
 
-def _scan(length: int, gram: int):
-    names = ["fp", "ctx", "k1", "k2", "first", "lead", "spread", "twice"]
-    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int16(), pa.int32(), pa.int16(), pa.int16(), pa.int8()]
+def _deal(fp: np.ndarray, ctx: np.ndarray, twice: np.ndarray, hot: tuple[np.ndarray, np.ndarray], seen: dict, task: int) -> tuple[np.ndarray, ...]:
+    """deal, hint, twice of each row. Ordinary rows: 0 and 0. Rows of a frequent hash: above 0, told by their context, and the
+    hash's estimated rows. Rows whose context this task has sent twice already: below 0, spread evenly, and -1."""
+    deal, hint = np.zeros(len(fp), np.int32), np.zeros(len(fp), np.int32)
+    known, rows = hot
+    if not len(known):
+        return deal, hint, twice
+    at = np.minimum(np.searchsorted(known, fp), len(known) - 1)
+    some = np.flatnonzero(known[at] == fp)
+    deal[some] = (ctx[some] & 0x7FFFFFFF).astype(np.int32) | 1
+    hint[some] = rows[at[some]]
+    twice = twice.copy()
+    if len(seen) > SEEN:
+        seen.clear()
+    for i, key in zip(some.tolist(), zip(fp[some].tolist(), ctx[some].tolist(), strict=True), strict=True):
+        n = seen.get(key, 0)
+        if n > 1:
+            seen[key] = n + 1
+            deal[i], hint[i], twice[i] = -1 - (n * 0x9E3779B1 + task * 0x85EBCA6B) % 0x7FFFFFFF, -1, 1
+        else:
+            seen[key] = n + 1 + int(twice[i])
+    return deal, hint, twice
+
+
+def _scan(length: int, gram: int, hot: tuple[np.ndarray, np.ndarray] = (np.zeros(0, np.int64), np.zeros(0, np.int32))):
+    names = ["fp", "ctx", "k1", "k2", "first", "lead", "spread", "twice", "deal", "hint"]
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int16(), pa.int32(), pa.int16(), pa.int16(), pa.int8(), pa.int32(), pa.int32()]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sent: dict[tuple[int, int], int] = {}
+        task = TaskContext.get().partitionId()
         for b in batches:
             k1, k2 = b.column("k1").to_numpy(), b.column("k2").to_numpy()
             seen: dict[tuple[int, int], int] = {}
@@ -110,7 +146,8 @@ def _scan(length: int, gram: int):
             k1, k2, twice = np.array([k[0] for k in keys], np.int64), np.array([k[1] for k in keys], np.int64), np.array(times, np.int8)
             for group in _pieces(texts, length):
                 fp, ctx, who, place, first, last = anchors(group, length, gram)
-                cols = (fp, ctx, k1[who], k2[who], first, place - first, last - first, twice[who])
+                deal, hint, more = _deal(fp, ctx, twice[who], hot, sent, task)
+                cols = (fp, ctx, k1[who], k2[who], first, place - first, last - first, more, deal, hint)
                 yield pa.RecordBatch.from_arrays([pa.array(c.astype(t.to_pandas_dtype())) for c, t in zip(cols, kinds, strict=True)], names=names)
 
     return run
@@ -194,17 +231,27 @@ def cut(raw: bytes, ranges: pa.Array, length: int) -> tuple[bytes, int, int]:
     return x[~gone].tobytes(), int(gone.sum()), int((gone & ~np.concatenate([[False], gone[:-1]])).sum())
 
 
-def repeated(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, step: int = STEP, bucket_bytes: int = BUCKET_BYTES) -> tuple[DataFrame, DataFrame]:
+def frequent(docs: DataFrame, length: int, gram: int, sample: float, often: int) -> tuple[np.ndarray, np.ndarray]:
+    """Anchor hashes found `often` times or more on a sample of the rows, sorted, and their rows estimated from it."""
+    some = keyed(docs if sample >= 1 else docs.sample(sample, seed=11)).mapInArrow(_scan(length, gram), ROWS)
+    counts = some.groupBy("fp").agg(F.sum(F.col("twice") + F.lit(1)).alias("n")).where(F.col("n") >= often)
+    got = sorted((r["fp"], r["n"]) for r in counts.orderBy(F.desc("n"), "fp").limit(HOT).collect())
+    return np.array([g[0] for g in got], np.int64), np.array([min(int(g[1] / sample), (1 << 31) - 1) for g in got], np.int32)
+
+
+def repeated(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, step: int = STEP, bucket_bytes: int = BUCKET_BYTES, sample: float = SAMPLE, often: int = OFTEN) -> tuple[DataFrame, DataFrame]:
     """The keyed texts, and k1, k2, ranges: starts of repeated windows (first .. first + spread) of each text that has any."""
     texts = keyed(docs)
-    found = texts.mapInArrow(_scan(length, gram), "fp long, ctx long, k1 long, k2 short, first int, lead short, spread short, twice byte")
-    group, same = Window.partitionBy("fp"), Window.partitionBy("fp", "ctx")
+    found = texts.mapInArrow(_scan(length, gram, frequent(docs, length, gram, sample, often)), ROWS)
+    group, same = Window.partitionBy("fp", "deal"), Window.partitionBy("fp", "deal", "ctx")
     n = F.sum(F.col("twice") + F.lit(1))
     classed = (
-        found.repartition("fp").withColumn("n", n.over(same)).withColumn("rep", F.min(F.struct("k1", "k2", "first")).over(same))
-        .withColumn("total", n.over(group)).withColumn("low", F.min("n").over(group)).withColumn("rows", F.count(F.lit(1)).over(group)).where("total > 1")
+        found.repartition("fp", "deal").withColumn("n", n.over(same)).withColumn("rep", F.min(F.struct("k1", "k2", "first")).over(same))
+        .withColumn("total", n.over(group)).withColumn("low", F.min("n").over(group)).withColumn("rows", F.when(F.col("hint") > 0, F.col("hint").cast("long")).otherwise(F.count(F.lit(1)).over(group)))
+        .where("total > 1 OR hint > 0")
     )
-    ask = (F.col("total") > F.col("n")) & (F.col("low") == 1) & (F.struct("k1", "k2", "first") == F.col("rep"))
+    contested = (F.col("hint") > 0) | (F.col("hint") == 0) & (F.col("total") > F.col("n")) & (F.col("low") == 1)
+    ask = contested & (F.struct("k1", "k2", "first") == F.col("rep"))
     whole = F.col("n") > 1
     marks = materialise(classed.where(ask | whole).select("k1", "k2", "first", "spread", whole.alias("whole"), ask.alias("ask"), *(F.when(ask, F.col(c)).alias(c) for c in ("fp", "ctx", "lead", "rows"))), "marks")
     ranges = marks.where("whole").select("k1", "k2", "first", "spread")

@@ -101,11 +101,26 @@ def test_repeats_against_counting(spark):
     texts = [None, "", "x", "a" * 60, "é" * 40] + [para(rng.randrange(1, 40)) + (rng.choice(shared) if rng.random() < 0.5 else "") for _ in range(100)]
     texts += texts[10:40] + [t[: rng.randrange(len(t))] + "Q" + t[5:] for t in texts[10:60]]
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
-    for n, gram, step, bucket in ((20, 5, 5, 1 << 20), (24, 7, 12, 300), (20, 4, 20, 60)):
-        got = [tuple(r)[1:] for r in repeats.remove(docs, length=n, gram=gram, step=step, bucket_bytes=bucket).orderBy("doc_id").collect()]
+    for n, gram, step, bucket, often in ((20, 5, 5, 1 << 20, 256), (24, 7, 12, 300, 256), (20, 4, 20, 60, 2), (20, 5, 5, 1 << 20, 4), (24, 7, 12, 300, 1)):
+        got = [tuple(r)[1:] for r in repeats.remove(docs, length=n, gram=gram, step=step, bucket_bytes=bucket, sample=1.0, often=often).orderBy("doc_id").collect()]
         assert got == _repeats_brute([(t or "").encode() for t in texts], n)
 
 
+def test_a_passage_of_every_text_is_dealt_out(spark):
+    """One passage in all texts, alone, whole or cut: rows of its anchors don't meet in one window group, and results stay exact."""
+    rng = random.Random(4)
+    word = lambda: "".join(rng.choice("abcdef") for _ in range(6))
+    passage = " ".join(word() for _ in range(12))
+    texts = [word() + passage[: rng.choice([40, 84, 84])] + word() for _ in range(300)] + [passage] * 60
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    hot = repeats.frequent(docs, 24, 7, 1.0, 50)
+    assert len(hot[0]) and hot[1].min() >= 50
+    rows = repeats.keyed(docs).mapInArrow(repeats._scan(24, 7, hot), repeats.ROWS).toPandas()
+    assert rows.groupby(["fp", "deal", "ctx"]).size().max() <= 6  # two a task
+    got = [tuple(r)[1:] for r in repeats.remove(docs, length=24, gram=7, step=12, sample=1.0, often=50).orderBy("doc_id").collect()]
+    assert got == _repeats_brute([t.encode() for t in texts], 24)
+
+
 def test_repeats_in_pieces(spark, monkeypatch):
     monkeypatch.setattr(repeats, "PIECE", 64)
     rng = random.Random(9)
