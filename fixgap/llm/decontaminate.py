@@ -13,8 +13,10 @@ its words is within floor(0.2 n) word edits of the item's n words. Windows of an
 
 Items are broadcast in blocks of bounded size, one pass over the documents for each block. Long texts are handled whole.
 
-Nulls: a null text holds nothing; null or short items (under MIN_WORDS words) match nothing, as such phrases also occur by
-themselves. Repeated items and repeated rows are reported each. Extra columns are ignored; empty tables give no rows.
+Items under MIN_WORDS words may have no edits, so they need none of this: the words at every place are looked up whole. find()
+reports them; clean() leaves them out, as a phrase of one to four words occurs by itself and is no leak.
+
+Nulls: a null text holds nothing; null items and items without a word match nothing. Repeated items and repeated rows are reported each. Extra columns are ignored; empty tables give no rows.
 """
 
 from __future__ import annotations
@@ -121,22 +123,29 @@ def best_stretch(item: np.ndarray, text: np.ndarray) -> tuple[int, int, int]:
 class Items:
     """A block of items, with what the filter and the tables need."""
 
-    def __init__(self, rows: list[tuple[int, list[str]]]):
+    def __init__(self, rows: list[tuple[int, list[str]]], shortest: int = 1):
         self.vocab: dict[str, int] = {}
         self.ids, self.items = [], []
         for item_id, ws in rows:
-            if len(ws) >= MIN_WORDS:
+            if len(ws) >= shortest:
                 self.ids.append(item_id)
                 self.items.append(np.array([self.vocab.setdefault(w, len(self.vocab) + 1) for w in ws], np.int64))
         self.sizes: dict[int, list[int]] = defaultdict(list)
+        whole: dict[int, list[int]] = defaultdict(list)  # by size: items that only match whole
         for i, x in enumerate(self.items):
-            self.sizes[len(x)].append(i)
+            (self.sizes if len(x) >= MIN_WORDS else whole)[len(x)].append(i)
+        self.whole: dict[int, tuple[np.ndarray, np.ndarray]] = {}  # sorted hashes and their items
+        for n, some in whole.items():
+            got = runs(np.concatenate([self.items[i] for i in some]), np.arange(len(some)) * n, n)
+            order = np.argsort(got, kind="stable")
+            self.whole[n] = got[order], np.array(some)[order]
         self.slot = {n: k % 63 for k, n in enumerate(sorted(self.sizes))}  # sizes that share a slot only weaken the filter
         bits = max(20, int(np.ceil(np.log2(64 * max(1, sum(map(len, self.items)))))))
         self.shift = np.uint64(64 - bits)
         self.pairs = np.zeros(1 << bits, np.uint64)  # which sizes of items have a pair with this hash
-        for x in self.items:
-            self.pairs[self._pair(x)] |= np.uint64(1 << self.slot[len(x)])
+        for n, some in self.sizes.items():
+            for i in some:
+                self.pairs[self._pair(self.items[i])] |= np.uint64(1 << self.slot[n])
         self.tables: dict[int, tuple[np.ndarray, np.ndarray]] = {}  # sorted keys and their items
         self.parts: dict[int, dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]] = {}  # by size and length: sorted segments, their items and offsets
         for n, some in self.sizes.items():
@@ -178,6 +187,8 @@ class Items:
 
     def candidates(self, x: np.ndarray) -> set[tuple[int, int]]:
         """(item, window start) pairs that share a key. x: word ids of one or more texts, 0 for other words and between texts."""
+        if not self.sizes:
+            return set()
         mask = self.pairs[self._pair(x)]
         mask[(x[:-1] == 0) | (x[1:] == 0)] = 0
         at = np.flatnonzero(mask)
@@ -216,6 +227,21 @@ class Items:
             found.update(zip(items[near].tolist(), begin[near].tolist(), strict=True))
         return found
 
+    def _exact(self, x: np.ndarray, ends: np.ndarray) -> Iterator[tuple[int, int, int]]:
+        """(text, item, start) of the first place in each text where an item that only matches whole does so."""
+        for n, (known, owner) in self.whole.items():
+            at = np.flatnonzero(x[: len(x) - n + 1])
+            for k in range(1, n):
+                at = at[x[at + k] > 0]
+            got = runs(x, at, n)
+            left = np.searchsorted(known, got, "left")
+            size = np.searchsorted(known, got, "right") - left
+            start = np.repeat(at, size)
+            items, texts = owner[np.repeat(left - np.cumsum(size) + size, size) + np.arange(size.sum())], np.searchsorted(ends, start, "right")
+            for k in np.unique(texts * len(self.items) + items, return_index=True)[1].tolist():
+                if np.array_equal(x[start[k] : start[k] + n], self.items[items[k]]):
+                    yield int(texts[k]), int(items[k]), int(start[k])
+
     def matches(self, texts: list[list[str]]) -> list[tuple[int, int, int, int, int, float]]:
         """(text, item_id, first word, words, edits, similarity) of each item that a text holds: its best stretch, the first of equals."""
         if not self.items or not texts:
@@ -233,7 +259,7 @@ class Items:
         for (i, s), a, b in zip(pairs, first.tolist(), np.minimum(last, len(texts) - 1).tolist(), strict=True):
             for text in range(a, b + 1):
                 found[text, i].append(s)
-        out = []
+        out = [(text, self.ids[i], s - int(ends[text]) + 1 + len(texts[text]), len(self.items[i]), 0, 1.0) for text, i, s in self._exact(x, ends)]
         for (text, i), starts in sorted(found.items()):
             item, n, d, best, covered = self.items[i], len(self.items[i]), allowed(len(self.items[i])), None, -1
             begin, end = int(ends[text]) - 1 - len(texts[text]), int(ends[text]) - 1
@@ -267,18 +293,18 @@ class Items:
         yield from ((first + m[0], *m[1:]) for m in self.matches(group))
 
 
-def blocks(benchmark: DataFrame, most: int = BLOCK_WORDS) -> Iterator[Items]:
-    """Items in blocks of at most `most` words (a longer item is a block of its own), streamed to the driver one by one."""
+def blocks(benchmark: DataFrame, most: int = BLOCK_WORDS, shortest: int = 1) -> Iterator[Items]:
+    """Items of `shortest` words or more in blocks of at most `most` words (a longer item is a block of its own), streamed to the driver one by one."""
     held, size = [], 0
     for r in benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).orderBy("item_id", "text").toLocalIterator():
         ws = words_of(r["text"])
         if held and size + len(ws) > most:
-            yield Items(held)
+            yield Items(held, shortest)
             held, size = [], 0
         held.append((r["item_id"], ws))
         size += len(ws)
     if held:
-        yield Items(held)
+        yield Items(held, shortest)
 
 
 def find(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
@@ -304,9 +330,9 @@ def _finder(shared):
 
 
 def clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """The documents that hold no item, with all their columns."""
+    """The documents that hold no item of MIN_WORDS words or more, with all their columns."""
     out = docs
-    for items in blocks(benchmark):
+    for items in blocks(benchmark, shortest=MIN_WORDS):
         shared = docs.sparkSession.sparkContext.broadcast(items)
         at = docs.columns.index("text")
 

@@ -176,6 +176,24 @@ def test_leaks_with_edits_are_found(spark, small):
     assert found / total >= 0.95
 
 
+def test_short_items_match_whole(spark, rng):
+    """Items of one to four words: found where the same words stand in a row, the first place, and no edits; no document goes for them."""
+    vocab = ["a", "b", "c", "d"]
+    bench = [(i, " ".join(rng.choice(vocab) for _ in range(rng.randrange(1, 5)))) for i in range(25)] + [(90, "!!"), (91, None), (92, "b a"), (92, "b a"), (93, "a b c d d c b a")]
+    docs = [(i, " ".join(rng.choice([*vocab, "x"]) for _ in range(rng.randrange(12)))) for i in range(80)] + [(200, None), (201, "a"), (201, "B, A")]
+    want = []
+    for d, t in docs:
+        ws = decontaminate.words_of(t)
+        for i, item in bench:
+            w = decontaminate.words_of(item)
+            at = [k for k in range(len(ws) - len(w) + 1) if ws[k : k + len(w)] == w] if 0 < len(w) < decontaminate.MIN_WORDS else []
+            want += [(d, i, at[0], len(w), 0, 1.0)] if at else []
+    d, b = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(bench, "item_id long, text string")
+    assert sorted(tuple(r) for r in decontaminate.find(d, b.where("item_id != 93 OR item_id IS NULL")).collect()) == sorted(want)
+    assert {tuple(r) for r in decontaminate.find(d, b).collect()} >= set(want)
+    assert decontaminate.clean(d, b.where("item_id != 93")).count() == len(docs)
+
+
 def test_decontamination_by_brute_force(spark, small):
     docs, bench = table(spark, small, "documents"), table(spark, small, "benchmark")
     got = {(r.doc_id, r.item_id) for r in decontaminate.find(docs, bench).collect()}
