@@ -9,7 +9,7 @@ Texts are scored whole. Words are runs of letters and digits, lower-cased; a beg
 
 Nulls: a null text is scored as an empty one, which has no feature; a null doc_id is never held out. Labels that are null
 or belong to no document are ignored; of repeated labels of one document the highest counts. Repeated rows stay; extra
-columns are ignored; without any confirmed toxic document every score is next to 0.
+columns are ignored; without any confirmed toxic document, or any feature that tells these apart, every score is next to 0.
 """
 
 from __future__ import annotations
@@ -88,29 +88,33 @@ def choose_features(sample: DataFrame, n_pos: int, n_unl: int, most: int = FEATU
     return [r["feature"] for r in counts.withColumn("z", z).where("z > 6").orderBy(F.desc("z"), "feature").limit(most).collect()]
 
 
+def risk_step(xp: np.ndarray, xu: np.ndarray, w: np.ndarray, prior: float, beta: float = 0.0, gamma: float = 1.0) -> tuple[float, float, np.ndarray]:
+    """Positive part and corrected negative part of the risk with the logistic loss, and the step's gradient: of their sum, or,
+    where the negative part is below -beta, of gamma times its opposite."""
+    sig = lambda z: 1 / (1 + np.exp(-np.clip(z, -60, 60)))
+    soft = lambda z: np.logaddexp(0, z)
+    w32 = w[:-1].astype(np.float32)
+    zp, zu = xp @ w32 + w[-1], xu @ w32 + w[-1]
+    positive, negative = prior * soft(-zp).mean(), soft(zu).mean() - prior * soft(zp).mean()
+    gu, gp = (sig(zu) / len(xu)).astype(np.float32), (prior * sig(zp) / len(xp)).astype(np.float32)
+    neg_w = np.append(xu.T @ gu - xp.T @ gp, gu.sum() - gp.sum())
+    if negative < -beta:
+        return positive, negative, -gamma * neg_w
+    gq = (prior * (sig(zp) - 1) / len(xp)).astype(np.float32)
+    return positive, negative, np.append(xp.T @ gq, gq.sum()) + neg_w
+
+
 def nn_pu(x_pos: np.ndarray, x_unl: np.ndarray, prior: float, epochs: int = 150, batches: int = 8, rate: float = 0.02, l2: float = 1e-5, beta: float = 0.0, gamma: float = 1.0, seed: int = 7) -> tuple[np.ndarray, float]:
     """Adam on the non-negative risk with the logistic loss. beta, gamma: tolerance and step of the correction."""
     rng = np.random.default_rng(seed)
     w = np.zeros(x_pos.shape[1] + 1)
     m, v, step = np.zeros_like(w), np.zeros_like(w), 0
-    sig = lambda z: 1 / (1 + np.exp(-np.clip(z, -60, 60)))
-    soft = lambda z: np.logaddexp(0, z)
     for epoch in range(epochs):
         pi, ui = np.array_split(rng.permutation(len(x_pos)), batches), np.array_split(rng.permutation(len(x_unl)), batches)
         for a, b in zip(pi, ui, strict=True):
             if not len(a) or not len(b):
                 continue
-            xp, xu = x_pos[a], x_unl[b]
-            w32 = w[:-1].astype(np.float32)
-            zp, zu = xp @ w32 + w[-1], xu @ w32 + w[-1]
-            negative = soft(zu).mean() - prior * soft(zp).mean()
-            gu, gp = (sig(zu) / len(b)).astype(np.float32), (prior * sig(zp) / len(a)).astype(np.float32)
-            neg_w = np.append(xu.T @ gu - xp.T @ gp, gu.sum() - gp.sum())
-            if negative < -beta:
-                grad = -gamma * neg_w
-            else:
-                gq = (prior * (sig(zp) - 1) / len(a)).astype(np.float32)
-                grad = np.append(xp.T @ gq, gq.sum()) + neg_w
+            grad = risk_step(x_pos[a], x_unl[b], w, prior, beta, gamma)[2]
             grad[:-1] += l2 * w[:-1]
             step += 1
             m, v = 0.9 * m + 0.1 * grad, 0.999 * v + 0.001 * grad**2
@@ -124,6 +128,8 @@ def fit(sample: DataFrame, prior: float) -> Model:
     if not sizes.get(1) or not sizes.get(0):
         return Model([], np.zeros(0), -60.0, prior)
     names = choose_features(sample, sizes[1], sizes[0])
+    if not names:
+        return Model([], np.zeros(0), -60.0, prior)
 
     def places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         index = {n: i for i, n in enumerate(names)}

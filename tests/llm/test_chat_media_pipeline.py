@@ -148,6 +148,23 @@ def test_digests_against_plain_values(spark, odd_docs):
     assert all(r.media_bytes == len(files[r.doc_id]) and r.media_sha256 == hashlib.sha256(files[r.doc_id]).hexdigest() for r in got if r.doc_id not in (3, None))
 
 
+def test_stages_on_odd_tables(spark, odd_docs, clashing, empty_docs, tmp_path):
+    """Each stage by itself on null, empty, long and repeated rows, clashing columns and an empty table, and the whole run on them."""
+    where = str(tmp_path)
+    spark.createDataFrame([(1, 1, 1), (3, 1, 0), (None, 1, 1), (99, 1, None)], "doc_id long, quality int, toxic int").write.parquet(f"{where}/labels.parquet")
+    spark.createDataFrame([(1, "word word word word word word"), (2, None), (3, "same text twice")], "item_id long, text string").write.parquet(f"{where}/benchmark.parquet")
+    rows = odd_docs.count()
+    kept = {"near_copies": rows - 4, "decontamination": rows - 1, "personal_data": rows, "token_ids": rows}  # two blank texts and two copies go
+    for name, stage in corpus_pipeline.STAGES:
+        a, b = stage(spark, odd_docs, where), stage(spark, clashing, where)
+        if name != "token_ids":
+            assert a.columns == odd_docs.columns and b.columns == clashing.columns
+        assert a.count() == b.count() == kept.get(name, b.count()), name
+        assert stage(spark, empty_docs, where).count() == 0
+    odd_docs.write.parquet(f"{where}/documents.parquet")
+    assert {r.doc_id for r in corpus_pipeline.run(spark, where).collect()} >= {5, 6, 8, None}
+
+
 def test_pipeline_stages(spark, small):
     docs = table(spark, small, "documents")
     columns, n = docs.columns, docs.count()

@@ -1,7 +1,9 @@
 """BPE, token files, language and toxicity against the library, brute force and held-out accuracy."""
 
 import hashlib
+import math
 import random
+import re
 import zlib
 from collections import Counter
 
@@ -141,6 +143,36 @@ def test_nn_pu_separates_hidden_positives():
     assert ((x @ w + b > 0) == y).mean() > 0.9
 
 
+def test_risk_and_its_gradient_against_plain_forms():
+    """The risk summed document by document, and its gradient by finite differences, on both sides of the correction."""
+    rng, sides = np.random.default_rng(3), set()
+    for _ in range(20):
+        xp, xu = (rng.random((n, 5)) < 0.4 for n in (7, 9))
+        w, prior = np.round(rng.normal(size=6) * 8) / 4, rng.choice([0.1, 0.9])
+
+        def parts(w, xp=xp, xu=xu, prior=prior):
+            loss = lambda z: math.log1p(math.exp(z))
+            z = lambda x: sum(wi for wi, on in zip(w, x, strict=False) if on) + w[-1]
+            return prior * sum(loss(-z(x)) for x in xp) / len(xp), sum(loss(z(x)) for x in xu) / len(xu) - prior * sum(loss(z(x)) for x in xp) / len(xp)
+
+        pos, neg, grad = toxicity.risk_step(xp.astype(np.float32), xu.astype(np.float32), w, prior, gamma=0.5)
+        assert np.allclose((pos, neg), parts(w), atol=1e-5)
+        sides.add(neg < 0)
+        aim = lambda w, neg=neg, parts=parts: -0.5 * parts(w)[1] if neg < 0 else sum(parts(w))
+        slope = [(aim(w + d) - aim(w - d)) / 2e-4 for d in np.eye(6) * 1e-4]
+        assert np.allclose(grad, slope, atol=1e-4)
+    assert sides == {True, False}
+
+
+def test_toxicity_scores_by_definition(spark, odd_docs):
+    model = toxicity.Model(["word", "wor*", "text", "twic*", "same"], np.array([1.5, 9.0, -2.0, 0.25, 0.5]), -0.5, 0.1)
+    for r in toxicity.score(odd_docs, model).join(odd_docs.select("doc_id", "text"), "doc_id").where("doc_id != 3").collect():
+        words = set(re.findall(r"[^\W_]+", (r.text or "").lower()))
+        on = words | {w[:n] + "*" for w in words for n in (4, 5, 6) if len(w) > n}
+        want = 1 / (1 + math.exp(0.5 - sum(w for n, w in zip(model.names, model.weights, strict=True) if n in on)))
+        assert abs(r.score - want) < 1e-12 and r.predicted == int(want >= 0.5)
+
+
 def test_toxicity_on_planted(spark, rng):
     vocab = ["".join(rng.choice("abcdefgh") for _ in range(5)) for _ in range(300)]
     rows, labels = [], []
