@@ -12,30 +12,37 @@ from fixgap.llm import bpe, decontaminate, near_copies, pii, toxicity
 from fixgap.llm.base import materialise, ship, table
 
 TOKENIZER = "word_bpe_49k.json"
+BATCH_ROWS = 1000  # documents of an Arrow batch: the default of 10,000 takes tens of MB on both sides of every Python worker
 
 
-def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+def _ready(spark: SparkSession) -> None:
     ship(spark)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    _ready(spark)
     return toxicity.clean(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    ship(spark)
+    _ready(spark)
     return near_copies.keep_one(docs)
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    _ready(spark)
     return decontaminate.clean(docs, table(spark, sf_dir, "benchmark"))
 
 
 def mask_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    ship(spark)
+    _ready(spark)
     return pii.redact(docs, pii.train(docs))
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, n_tokens, ids."""
-    ship(spark)
+    _ready(spark)
     return bpe.encode(docs, public_tokenizers.path(TOKENIZER)).select("doc_id", F.size("ids").cast("long").alias("n_tokens"), "ids")
 
 

@@ -31,6 +31,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .base import give_back
+
 WORD = re.compile(r"[^\W_]+")
 MIN_WORDS = 5
 EDITS = 0.2  # of an item's words
@@ -341,6 +343,7 @@ def clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
                 keep = np.ones(b.num_rows, bool)
                 keep[[m[0] for m in shared.value.in_groups(b.column(at).to_pylist())]] = False
                 yield b.filter(pa.array(keep))
+            give_back()
 
         out = out.mapInArrow(run, docs.schema)
     return out

@@ -1,6 +1,8 @@
-"""Near copies by word shingles: min-wise hashing finds candidates, the shingle sets themselves decide.
+"""Near copies by SimHash fingerprints, and by word shingles beyond their reach.
 
-Two texts are near copies if their sets of five-word shingles have a Jaccard similarity of at least 0.8. Sets are kept as
+Two texts are near copies if their fingerprints (of three-word shingles, as in simhash.py) differ in three bits or fewer; covering
+masks find all such pairs. Three bits are about a similarity of 0.97, so texts are near copies as well if their sets of five-word
+shingles have a Jaccard similarity of at least 0.8: min-wise hashing finds candidates, the sets themselves decide. Sets are kept as
 32-bit hashes of shingles (two sets of n shingles share n * n / 2^32 by chance, so a similarity is off by less than n / 2^32;
 keys of whole sets and of bands have 64 bits). Each set has BANDS x ROWS smallest hashes, under as many multipliers; a band's are one key, and
 sets that share a key are candidates. A pair of similarity s is missed with probability (1 - s^ROWS)^BANDS: 0.0004 at 0.8.
@@ -26,7 +28,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .base import is_empty, materialise
+from . import simhash
+from .base import give_back, is_empty, materialise
 from .components import connected
 
 WORDS = 5
@@ -36,7 +39,7 @@ LEADERS = 4  # sets of a larger bucket that the first round compares with the re
 FEW = 64  # sets outside the largest component that end a bucket's rounds
 SLICE = 256  # documents whose sets a task holds at once
 MULTIPLIERS = np.random.default_rng(8).integers(0, 1 << 63, BANDS * ROWS, np.uint64) * np.uint64(2) + np.uint64(1)
-SKETCH = T.StructType([T.StructField("key", T.LongType()), T.StructField("size", T.LongType()), T.StructField("bands", T.ArrayType(T.LongType())), T.StructField("shingles", T.ArrayType(T.IntegerType()))])
+SKETCH = T.StructType([T.StructField("key", T.LongType()), T.StructField("fp", T.LongType()), T.StructField("size", T.LongType()), T.StructField("bands", T.ArrayType(T.LongType())), T.StructField("shingles", T.ArrayType(T.IntegerType()))])
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -91,13 +94,15 @@ def _longs(values: list[int], kind=np.uint64) -> pa.Array:
 
 
 def sketches(docs: DataFrame) -> DataFrame:
-    """doc_id, key of the shingle set, its size, band keys and shingles."""
+    """doc_id, key of the shingle set, the text's fingerprint, the set's size, band keys and shingles."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in (x.slice(i, SLICE) for x in batches for i in range(0, x.num_rows, SLICE)):
-            sets = [shingles(x or b"") for x in b.column("raw").to_pylist()]
-            cols = [b.column("doc_id"), _longs([_key(s) for s in sets]), _longs([len(s) for s in sets]), _lists([bands(s) for s in sets]), _lists([short(s) for s in sets])]
+            texts = b.column("raw").to_pylist()
+            sets, fps = [shingles(x or b"") for x in texts], [simhash.fingerprint(x or b"") for x in texts]
+            cols = [b.column("doc_id"), _longs([_key(s) for s in sets]), _longs(fps), _longs([len(s) for s in sets]), _lists([bands(s) for s in sets]), _lists([short(s) for s in sets])]
             yield pa.RecordBatch.from_arrays(cols, names=["doc_id", *SKETCH.names])
+        give_back()
 
     raw = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").cast("binary").alias("raw"))
     return raw.mapInArrow(run, T.StructType([T.StructField("doc_id", T.LongType()), *SKETCH.fields]))
@@ -115,8 +120,18 @@ def _similar(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").where(both * 9 >= (F.size("sa") + F.size("sb")) * 4).select("a", "b")
 
 
-def links(rows: DataFrame, small: int = SMALL, leaders: int = LEADERS) -> DataFrame:
-    """Sketches with a row number -> a, b (keys of sets): links that connect all candidates of enough similarity, directly or by others' links."""
+def fingerprint_links(rows: DataFrame) -> DataFrame:
+    """Sketches -> a, b (keys of sets): a star for each component of texts that fingerprints link."""
+    kinds = materialise(rows.select("key", "fp").distinct(), "kinds")
+    roots = connected(simhash.links(kinds.select("fp").distinct()))
+    rooted = kinds.join(roots, F.col("fp") == F.col("node"), "left").select("key", F.coalesce("root", "fp").alias("root"))
+    hubs = rooted.groupBy("root").agg(F.min("key").alias("b"))
+    return rooted.join(hubs, "root").where("key != b").select(F.col("key").alias("a"), "b")
+
+
+def links(rows: DataFrame, small: int = SMALL, leaders: int = LEADERS, known: DataFrame | None = None) -> DataFrame:
+    """Sketches with a row number -> a, b (keys of sets): links that connect all candidates of enough similarity, directly or by
+    others' links. known: further links, which come out too."""
     distinct = rows.groupBy("key").agg(F.first("size").alias("size"), F.first("bands").alias("bands"))
     entries = distinct.select("key", "size", F.explode("bands").alias("bucket"))
     sizes = entries.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
@@ -126,7 +141,8 @@ def links(rows: DataFrame, small: int = SMALL, leaders: int = LEADERS) -> DataFr
     sets = materialise(rows.select("row", "shingles").join(chosen_rows, "row").select("key", "shingles"), "sets")
     few = shared.where(F.col("n") <= small)
     one, other = (few.select("bucket", F.col("key").alias(k), F.col("size").alias(s)) for k, s in ("xm", "yn"))
-    found = links_of = materialise(_similar(_apart(one.join(other, "bucket").where("x < y")), sets), "links")
+    found = _similar(_apart(one.join(other, "bucket").where("x < y")), sets)
+    found = links_of = materialise(found if known is None else found.unionByName(known), "links")
     active = materialise(shared.where(F.col("n") > small).select("bucket", "key", "size"), "active")
     roots, few_out = None, max(FEW, leaders)
     while not is_empty(active):
@@ -150,10 +166,13 @@ def links(rows: DataFrame, small: int = SMALL, leaders: int = LEADERS) -> DataFr
     return links_of
 
 
-def near_duplicates(docs: DataFrame, small: int = SMALL, leaders: int = LEADERS) -> DataFrame:
-    """doc_id, key, root, component_id: the least key and the smallest doc_id that links reach, itself included."""
+def near_duplicates(docs: DataFrame, small: int = SMALL, leaders: int = LEADERS, by_fingerprint: bool = False) -> DataFrame:
+    """doc_id, key, root, component_id: the least key and the smallest doc_id that links reach, itself included.
+
+    by_fingerprint: links of fingerprints count beside those of shingle sets.
+    """
     rows = materialise(sketches(docs).withColumn("row", F.monotonically_increasing_id()), "shingles")  # numbers stay as written
-    roots = connected(links(rows, small, leaders))
+    roots = connected(links(rows, small, leaders, fingerprint_links(rows) if by_fingerprint else None))
     lows = rows.groupBy("key").agg(F.min("doc_id").alias("low"))
     rooted = materialise(lows.join(roots, F.col("key") == F.col("node"), "left").select("key", "low", F.coalesce("root", "key").alias("root")), "rooted")
     label = rooted.join(rooted.groupBy("root").agg(F.min("low").alias("component_id")), "root").select("key", "root", "component_id")
@@ -161,11 +180,11 @@ def near_duplicates(docs: DataFrame, small: int = SMALL, leaders: int = LEADERS)
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """One document of each component, with all its columns: that with the smallest doc_id.
+    """One document of each component of both kinds of links, with all its columns: that with the smallest doc_id.
 
     Where a component's rows share that doc_id (repeated rows) or have none, one of them stays, chosen by its text's hash.
     """
-    found = materialise(near_duplicates(docs), "components")
+    found = materialise(near_duplicates(docs, by_fingerprint=True), "components")
     first = found.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("_id"))
     sizes = first.agg(F.count(F.lit(1)), F.count_distinct("_id")).first()
     if sizes[0] == sizes[1] and is_empty(found.where("component_id IS NULL")):

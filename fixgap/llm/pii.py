@@ -450,5 +450,6 @@ def redact(docs: DataFrame, tagger: Tagger | None) -> DataFrame:
             if size is not None:
                 cols[size] = pa.array([n if x == y else len(y) for n, x, y in zip(cols[size].to_pylist(), old, new, strict=True)], pa.int64())
             yield pa.RecordBatch.from_arrays(cols, names=b.schema.names)
+        give_back()
 
     return docs.mapInArrow(run, docs.schema)

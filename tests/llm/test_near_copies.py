@@ -7,7 +7,7 @@ from itertools import combinations
 import corpus_pipeline
 import pytest
 
-from fixgap.llm import near_copies
+from fixgap.llm import near_copies, simhash
 from fixgap.llm.base import table
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -92,3 +92,21 @@ def test_odd_rows(spark, odd_docs, empty_docs, clashing):
         assert out.columns == docs.columns and Counter(r.text for r in out.collect())["same text twice"] == 1
     nulls = spark.createDataFrame([(None, f"{'a b c d e f g h i j k l m n o p ' * 3}{x}", "en", "s", 9) for x in ("q r", "q r")] + [(None, "other", "en", "s", 5)], DOCS)
     assert near_copies.keep_one(nulls).count() == 2
+
+
+def test_fingerprints_link_what_shingles_do_not(spark):
+    """Fingerprints at three bits or fewer make near copies, whatever the five-word shingles say."""
+    rng = random.Random(11)
+    while True:  # changed words apart from one another cost five-word shingles most
+        w = [f"w{rng.randrange(5000)}" for _ in range(400)]
+        v = list(w)
+        for i in range(0, 400, 21):
+            v[i] = "changed"
+        a, b = " ".join(w), " ".join(v)
+        if (simhash.fingerprint(a.encode()) ^ simhash.fingerprint(b.encode())).bit_count() <= 3:
+            break
+    sets = _sets([(5, a), (9, b)])
+    assert not _pairs(sets)
+    rows = [(d, t, "en", "s", len(t)) for d, t in ((9, b), (5, a), (7, "another text of more than five words"))]
+    kept = corpus_pipeline.drop_near_copies(spark, spark.createDataFrame(rows, DOCS), "")
+    assert sorted(r.doc_id for r in kept.collect()) == [5, 7]
