@@ -118,6 +118,12 @@ def test_scans_are_pruned_and_filters_pushed(spark, small):
     assert "PushedFilters: [" in plan and "o_orderstatus" in plan.split("PushedFilters")[1] and "o_orderpriority" not in plan
 
 
+def test_interval_overlap_joins_by_size_too(spark, small):
+    """Not by the few brands alone, with sizes compared pair by pair."""
+    plan = _plan(__spark_entry__.queries()["join_interval_overlap"](spark, small))
+    assert "Left keys [2]" in plan and "NestedLoop" not in plan
+
+
 def _same(value):
     if value is None or (isinstance(value, float) and value != value):
         return "null"
