@@ -342,3 +342,12 @@ def test_expressions(spark):
     r = spark.createDataFrame([([1, 2, 3], [4, 5]), ([7], [])], "types array<int>, gaps array<int>").select(episode_key(F.col("types"), F.col("gaps")), offsets(F.col("gaps"))).collect()
     assert [tuple(x) for x in r] == [("1+4>2+5>3", [0, 4, 9]), ("7", [0])]
     assert score(2, 6) == 1 and score(2, 5) == 0
+
+
+def test_later_rounds_of_a_large_line_go_to_the_kernel(spark, small):
+    """Above kernel_events the first round is the table engine's; what it leaves is solved in one task, with equal results."""
+    ev = sequence.encode_alphabet(sequence.conveyor_from_orders(sequence.table(spark, small, "orders"), "two"))[0].select("etype", "t").localCheckpoint()
+    p = Params(kernel_events=5000)
+    assert table.rounds(ev, p, "path_greedy", until=5000)[4] == (1, ev.count())
+    got, want = (sorted(map(str, selection.select(ev, x).collect())) for x in (p, p.but(engine="kernel")))
+    assert got == want
