@@ -7,11 +7,11 @@ shingles have a Jaccard similarity of at least 0.8: min-wise hashing finds candi
 keys of whole sets and of bands have 64 bits). Each set has BANDS x ROWS smallest hashes, under as many multipliers; a band's are one key, and
 sets that share a key are candidates. A pair of similarity s is missed with probability (1 - s^ROWS)^BANDS: 0.0004 at 0.8.
 
-Equal sets count once. In buckets of up to SMALL sets all pairs are compared. In a larger one, a few sets chosen at random are
-compared with all others that no link joins to them yet, and leave the bucket. That joins most of a group of near copies into
-one component, and the sets outside the bucket's largest component are few: then each of them is compared with all that no link
-joins to it, and the bucket is done. Where they are many, a next round takes four times as many random sets first. So large
-groups of near copies cost little more than their number, and no pair in question is left out.
+Equal sets count once. In buckets of up to SMALL sets all pairs are compared. In a larger one, LEADERS sets in the largest buckets
+are compared with all others first, which joins most of a group of near copies into one component. Buckets that are in one
+component are done. In the others, the sets outside the largest component are compared with all of the bucket, inside tasks: cells
+of at most about SIDE of them by SIDE of the bucket's sets, by products of 0-1 blocks of sets by shingles. A cell returns a forest of
+the links between components, so no rows are made of pairs, and no pair in question is left out.
 
 Words are of bytes, split at ASCII white space with A-Z lowered; a text of under five words is one shingle, and wordless texts
 (null ones too) are equal. A null doc_id is a component's id only if no other is there.
@@ -35,8 +35,10 @@ from .components import connected
 WORDS = 5
 BANDS, ROWS = 20, 5
 SMALL = 16  # sets of a bucket that are all compared with one another
-LEADERS = 4  # sets of a larger bucket that the first round compares with the rest
-FEW = 64  # sets outside the largest component that end a bucket's rounds
+LEADERS = 2  # sets of a larger bucket that are compared with the rest first
+SIDE = 1024  # sets on each side of a cell
+LOAD = 1 << 19  # shingles on each side of a cell
+COLUMNS = 2048  # shingles that a product takes at once
 SLICE = 256  # documents whose sets a task holds at once
 MULTIPLIERS = np.random.default_rng(8).integers(0, 1 << 63, BANDS * ROWS, np.uint64) * np.uint64(2) + np.uint64(1)
 SKETCH = T.StructType([T.StructField("key", T.LongType()), T.StructField("fp", T.LongType()), T.StructField("size", T.LongType()), T.StructField("bands", T.ArrayType(T.LongType())), T.StructField("shingles", T.ArrayType(T.IntegerType()))])
@@ -129,7 +131,59 @@ def fingerprint_links(rows: DataFrame) -> DataFrame:
     return rooted.join(hubs, "root").where("key != b").select(F.col("key").alias("a"), "b")
 
 
-def links(rows: DataFrame, small: int = SMALL, leaders: int = LEADERS, known: DataFrame | None = None) -> DataFrame:
+def _cell(group: pa.Table) -> pa.Table:
+    """Links a, b of a forest that joins what the similar pairs of a cell's left and other sets join."""
+    left = group.column("outside").to_numpy()
+    key, root = group.column("key").to_numpy(), group.column("root").to_numpy()
+    lists = group.column("shingles").combine_chunks()
+    size = np.diff(lists.offsets.to_numpy())
+    _, col, n = np.unique(lists.flatten().to_numpy(), return_inverse=True, return_counts=True)
+    row, often = np.repeat(np.arange(len(key)), size), n > 1  # a shingle of one set is in no pair
+    row, col = row[often[col]], (np.cumsum(often) - 1)[col[often[col]]]
+    order = np.argsort(col, kind="stable")
+    row, col = row[order], col[order]
+    both = np.zeros((left.sum(), (~left).sum()), np.float32)  # whole numbers stay exact in single precision
+    for a in range(0, int(often.sum()), COLUMNS):
+        i, j = np.searchsorted(col, (a, a + COLUMNS))
+        x = np.zeros((len(key), COLUMNS), np.float32)
+        x[row[i:j], col[i:j] - a] = 1
+        both += x[left] @ x[~left].T
+    near = (both * 9 >= (size[left][:, None] + size[~left][None]) * 4) & (root[left][:, None] != root[~left][None])
+    one, other, of_one, of_other = key[left], key[~left], root[left], root[~left]
+    out = [np.zeros((0, 2), np.int64)]
+    for i in np.flatnonzero(near.any(1)):
+        hit = np.flatnonzero(near[i])
+        roots, first = np.unique(of_other[hit], return_index=True)
+        new = roots != of_one[i]
+        out.append(np.stack([np.full(new.sum(), one[i]), other[hit[first[new]]]], 1))
+        of_one, of_other = (np.where(np.isin(x, roots), of_one[i], x) for x in (of_one, of_other))
+    out = np.concatenate(out)
+    return pa.table([pa.array(out[:, 0]), pa.array(out[:, 1])], names=["a", "b"])
+
+
+def _cells(rooted: DataFrame, sets: DataFrame, side: int) -> DataFrame:
+    """bucket, key, size, root -> a, b: links between the components of each bucket."""
+    parts = rooted.groupBy("bucket", "root").agg(F.count(F.lit(1)).alias("n"), F.sum("size").alias("load"))
+    whole = parts.groupBy("bucket").agg(F.sum("n").alias("n"), F.sum("load").alias("load"), F.max(F.struct("n", "root", "load")).alias("top")).where("n > top.n")
+
+    def blocks(n, load):
+        return F.greatest(F.lit(1), F.ceil(n / side), F.ceil(load / LOAD)).cast("int")
+
+    whole = whole.select("bucket", F.col("top.root").alias("main"), blocks(F.col("n"), F.col("load")).alias("others"), blocks(F.col("n") - F.col("top.n"), F.col("load") - F.col("top.load")).alias("outs"))
+    open_ = materialise(rooted.join(whole, "bucket"), "open")
+
+    def part(n: str, salt: int):
+        return F.pmod(F.xxhash64("key", F.lit(salt)), F.col(n)).cast("int")
+
+    def every(n: str):
+        return F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+
+    all_ = open_.select("bucket", "key", "root", every("outs").alias("i"), part("others", 1).alias("j"), F.lit(False).alias("outside"))
+    outs = open_.where("root != main").select("bucket", "key", "root", part("outs", 2).alias("i"), every("others").alias("j"), F.lit(True).alias("outside"))
+    return all_.unionByName(outs).join(sets, "key").groupBy("bucket", "i", "j").applyInArrow(_cell, "a long, b long")
+
+
+def links(rows: DataFrame, small: int = SMALL, leaders: int = LEADERS, known: DataFrame | None = None, side: int = SIDE) -> DataFrame:
     """Sketches with a row number -> a, b (keys of sets): links that connect all candidates of enough similarity, directly or by
     others' links. known: further links, which come out too."""
     distinct = rows.groupBy("key").agg(F.first("size").alias("size"), F.first("bands").alias("bands"))
@@ -141,38 +195,31 @@ def links(rows: DataFrame, small: int = SMALL, leaders: int = LEADERS, known: Da
     sets = materialise(rows.select("row", "shingles").join(chosen_rows, "row").select("key", "shingles"), "sets")
     few = shared.where(F.col("n") <= small)
     one, other = (few.select("bucket", F.col("key").alias(k), F.col("size").alias(s)) for k, s in ("xm", "yn"))
-    found = _similar(_apart(one.join(other, "bucket").where("x < y")), sets)
-    found = links_of = materialise(found if known is None else found.unionByName(known), "links")
-    active = materialise(shared.where(F.col("n") > small).select("bucket", "key", "size"), "active")
-    roots, few_out = None, max(FEW, leaders)
-    while not is_empty(active):
-        # the former round's star stands for all links before it
-        star = found if roots is None else roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(found)
-        roots = connected(star)
-        rooted = materialise(active.join(roots, F.col("key") == F.col("node"), "left").select("bucket", "key", "size", F.coalesce("root", "key").alias("root")), "rooted")
-        parts = rooted.groupBy("bucket", "root").agg(F.count(F.lit(1)).alias("n"))
-        whole = parts.groupBy("bucket").agg(F.sum("n").alias("all"), F.max(F.struct("n", "root")).alias("top")).where("all > top.n")
-        whole = whole.select("bucket", F.col("top.root").alias("main"), (F.col("all") - F.col("top.n") <= few_out).alias("last"))
-        open_ = materialise(rooted.join(whole, "bucket"), "open")
-        draw = F.xxhash64("bucket", "key", F.lit(leaders))
-        some = open_.where("NOT last").groupBy("bucket", F.pmod(draw, F.lit(leaders))).agg(F.min_by(F.struct("key", "size", "root"), draw).alias("c")).select("bucket", "c.*")
-        rest = open_.where("last AND root != main").select("bucket", "key", "size", "root")
-        chosen = materialise(some.unionByName(rest).select("bucket", F.col("key").alias("x"), F.col("size").alias("m"), F.col("root").alias("of")), "leaders")
-        pairs = open_.select("bucket", F.col("key").alias("y"), F.col("size").alias("n"), "root").join(chosen, "bucket").where("root != of")
-        found = materialise(_similar(_apart(pairs), sets), "links")
-        links_of = links_of.unionByName(found)
-        active = materialise(open_.where("NOT last").join(chosen.select("bucket", F.col("x").alias("key")), ["bucket", "key"], "left_anti").select("bucket", "key", "size"), "active")
-        leaders, few_out = leaders * 4, few_out * 2
-    return links_of
-
-
-def near_duplicates(docs: DataFrame, small: int = SMALL, leaders: int = LEADERS, by_fingerprint: bool = False) -> DataFrame:
+    pairs = one.join(other, "bucket").where("x < y").drop("bucket")
+    active = shared.where(F.col("n") > small)
+    large = not is_empty(active)
+    if large:
+        # a set in many large buckets is close to many others
+        weight = active.groupBy("key").agg(F.sum("n").alias("weight"))
+        active = materialise(active.join(weight, "key").select("bucket", "key", "size", "weight"), "active")
+        pick = F.max_by(F.struct("key", "size"), F.struct("weight", "key")).alias("c")
+        chosen = active.groupBy("bucket", F.pmod(F.xxhash64("key"), F.lit(leaders))).agg(pick).select("bucket", F.col("c.key").alias("x"), F.col("c.size").alias("m"))
+        pairs = pairs.unionByName(active.select("bucket", F.col("key").alias("y"), F.col("size").alias("n")).join(chosen, "bucket").where("x != y").select("x", "m", "y", "n"))
+    found = _similar(_apart(pairs), sets)
+    found = materialise(found if known is None else found.unionByName(known), "links")
+    if not large:
+        return found
+    rooted = active.join(connected(found), F.col("key") == F.col("node"), "left").select("bucket", "key", "size", F.coalesce("root", "key").alias("root"))
+    return found.unionByName(materialise(_cells(materialise(rooted, "rooted"), sets, side), "links"))
+
+
+def near_duplicates(docs: DataFrame, small: int = SMALL, leaders: int = LEADERS, by_fingerprint: bool = False, side: int = SIDE) -> DataFrame:
     """doc_id, key, root, component_id: the least key and the smallest doc_id that links reach, itself included.
 
     by_fingerprint: links of fingerprints count beside those of shingle sets.
     """
     rows = materialise(sketches(docs).withColumn("row", F.monotonically_increasing_id()), "shingles")  # numbers stay as written
-    roots = connected(links(rows, small, leaders, fingerprint_links(rows) if by_fingerprint else None))
+    roots = connected(links(rows, small, leaders, fingerprint_links(rows) if by_fingerprint else None, side))
     lows = rows.groupBy("key").agg(F.min("doc_id").alias("low"))
     rooted = materialise(lows.join(roots, F.col("key") == F.col("node"), "left").select("key", "low", F.coalesce("root", "key").alias("root")), "rooted")
     label = rooted.join(rooted.groupBy("root").agg(F.min("low").alias("component_id")), "root").select("key", "root", "component_id")

@@ -110,3 +110,41 @@ def test_fingerprints_link_what_shingles_do_not(spark):
     rows = [(d, t, "en", "s", len(t)) for d, t in ((9, b), (5, a), (7, "another text of more than five words"))]
     kept = corpus_pipeline.drop_near_copies(spark, spark.createDataFrame(rows, DOCS), "")
     assert sorted(r.doc_id for r in kept.collect()) == [5, 7]
+
+
+def test_large_groups_make_no_rows_of_pairs(spark, monkeypatch):
+    """Copies that are mostly too far from one another: the work is in cells, and rows stay in proportion to the sets."""
+    rng = random.Random(12)
+    base = [f"w{rng.randrange(3000)}" for _ in range(140)]
+    texts = []
+    for _ in range(300):
+        w = list(base)
+        for _ in range(rng.randrange(2, 6)):
+            w[rng.randrange(len(w))] = f"w{rng.randrange(3000)}"
+        texts.append(" ".join(w))
+    counted, similar = [], near_copies._similar
+
+    def spy(pairs, sets):
+        counted.append(pairs.count())
+        return similar(pairs, sets)
+
+    monkeypatch.setattr(near_copies, "_similar", spy)
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    want = _components(_sets(enumerate(texts)))
+    assert {r.doc_id: r.component_id for r in near_copies.near_duplicates(docs).collect()} == want and 2 < len(set(want.values())) < 290
+    assert sum(counted) <= 20 * len(texts), counted
+
+
+def test_cells_of_few_sets(spark):
+    """Cells that hold parts of a group find what one cell finds."""
+    rng = random.Random(13)
+    base = [f"w{rng.randrange(3000)}" for _ in range(200)]
+    texts = []
+    for _ in range(40):
+        w = list(base)
+        for _ in range(rng.randrange(3, 9)):
+            w[rng.randrange(len(w))] = f"w{rng.randrange(3000)}"
+        texts.append(" ".join(w))
+    got = near_copies.near_duplicates(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), 2, 1, side=9)
+    want = _components(_sets(enumerate(texts)))
+    assert {r.doc_id: r.component_id for r in got.collect()} == want and 2 < len(set(want.values())) < 40
