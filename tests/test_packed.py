@@ -50,3 +50,38 @@ def test_overlaps_count_an_event_once_over_block_borders(spark):
     cands = [c for c in kernel.frequent(ev, p.but(fth=0.05), len(ev)) if c.value > 0]
     line = packed.Line(spark.createDataFrame(pairs, "etype int, t long"), p, Scratch(spark), 8)
     assert line.overlaps([packed.Episode(c.types, c.gaps) for c in cands]) == kernel.overlaps(ev, cands) and len(cands) > 3
+
+
+@pytest.mark.parametrize("ahead", [1, 3])
+def test_a_choice_counts_overlaps_of_its_picks_only(spark, monkeypatch, ahead):
+    """All pairs of many candidates made large lines miss their time; rows of the picks make the same choice."""
+    pairs = sorted(_planted(5))
+    p = Params(fth=0.03, block_ticks=900, max_size=4)
+    ev = kernel.Events(np.array([t for _, t in pairs]), np.array([e for e, _ in pairs]))
+    cands = [c for c in kernel.frequent(ev, p, len(ev)) if c.value > 0]
+    om = kernel.overlaps(ev, cands)
+    want = [(packed.Episode(cands[i].types, cands[i].gaps), s) for i, s in kernel.greedy(cands, om, None)]
+    line = packed.Line(spark.createDataFrame(pairs, "etype int, t long"), p, Scratch(spark), 8)
+    eps = [packed.Episode(c.types, c.gaps) for c in cands]
+    assert line.overlaps_of([0, 5, 2], eps) == {i: om.get(i, {}) for i in (0, 5, 2)}
+    monkeypatch.setattr(packed, "FEW", 1)
+    monkeypatch.setattr(packed, "AHEAD", ahead)
+    monkeypatch.setattr(packed.Line, "overlaps", None)
+    for pool in (5, packed.POOL):
+        got = packed.choose(line, [(e, len(c.starts)) for e, c in zip(eps, cands, strict=True)], None, pool)
+        assert got == want and len(cands) > 50 > len(want) > 1
+
+
+def test_coded_conveyor_is_the_encoded_line(spark):
+    """Packages dealt out by time give the events and types of the whole line, equal events once, also without a time or route."""
+    from datetime import datetime, timedelta
+
+    from fixgap.sources import sequence as seq
+
+    day = lambda i: None if i % 97 == 0 else datetime(1994, 12, 20) + timedelta(days=i * 37 % 2000)
+    rows = [(i, i * 11 % 300, day(i), None if i % 89 == 0 else f"{(1, 3, 4)[i % 3]}-X") for i in range(1, 900)]
+    orders = spark.createDataFrame([*rows, *rows[:50]], "o_orderkey long, o_custkey long, o_orderdate timestamp, o_orderpriority string")
+    want, alphabet = seq.encode_alphabet(seq.conveyor_from_orders(orders, "three", day_ticks=1000))
+    got, names = seq.coded_conveyor(orders, "three", day_ticks=1000)
+    assert sorted(map(str, got.collect())) == sorted(map(str, want.select(*got.columns).collect()))
+    assert sorted(map(tuple, names.collect())) == sorted(map(tuple, alphabet.select("etype", "symbol").collect()))
