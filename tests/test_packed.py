@@ -85,3 +85,17 @@ def test_coded_conveyor_is_the_encoded_line(spark):
     got, names = seq.coded_conveyor(orders, "three", day_ticks=1000)
     assert sorted(map(str, got.collect())) == sorted(map(str, want.select(*got.columns).collect()))
     assert sorted(map(tuple, names.collect())) == sorted(map(tuple, alphabet.select("etype", "symbol").collect()))
+
+
+def test_frequent_episodes_of_a_middling_line_are_not_left_to_one_task(spark, monkeypatch):
+    """The second round of a large line went to one task with thousands of candidates."""
+    from fixgap.operators import selection
+
+    pairs = sorted(_planted(7, size=5, uses=60))
+    ev = spark.createDataFrame(pairs, "etype int, t long")
+    p = Params(fth=0.03, block_ticks=900, kernel_events=2 * len(pairs), max_rounds=1)
+    called = []
+    rounds = table.rounds
+    monkeypatch.setattr(table, "rounds", lambda *x, **y: called.append(y["until"]) or rounds(*x, **y))
+    rows = [sorted(map(str, selection.select(ev, q, "two_phase").collect())) for q in (p, p.but(engine="kernel"))]
+    assert rows[0] == rows[1] and called == [p.kernel_events // 32]
