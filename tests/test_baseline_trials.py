@@ -3,8 +3,11 @@
 from __future__ import annotations
 
 import random
+from collections import Counter
 
-from fixgap.operators import baselines
+import pyarrow as pa
+
+from fixgap.operators import baselines, lines
 from fixgap.plans import paper
 
 
@@ -38,3 +41,39 @@ def test_conveyor_tables_try_every_join(spark, small, monkeypatch):
     for name in ("tab_conv_two", "tab_conv_three", "tab_conv_time"):
         queries[name](spark, small).collect()
     assert asked == [None] * 5
+
+
+def test_covers_in_arrays_equal_covers_of_each_sequence(monkeypatch):
+    """Covers in plain Python, a sequence at a time, made every pass over a large line take seconds."""
+    rng = random.Random(9)
+    rows = [[rng.randrange(1, 6) for _ in range(rng.randrange(0, 60))] for _ in range(300)]
+    patterns, window = [(3, 1, 2, 5), (2, 4, 1), (1, 2), (4, 3), (7, 1)], 9
+    batch = pa.RecordBatch.from_arrays([pa.array([[0]] + rows, pa.list_(pa.int32()))], names=["line"]).slice(1)
+    for chunk in (1, 500, 1 << 18):
+        uses, skips, pairs, n, wins = Counter(), Counter(), Counter(), Counter(), Counter()
+        monkeypatch.setattr(lines, "CHUNK", chunk)
+        for piece in lines.pieces(iter([batch])):
+            for k, c, s in (got := lines.statistics(piece, patterns, window, True))[0]:
+                uses[k] += c
+                skips[k] += s
+            for a, b, c in got[1]:
+                pairs[a, b] += c
+            for e, c, w in lines.sides(piece, (1, 2), window):
+                n[e] += c
+                wins[e] += w
+        covers = [baselines.cover(line, patterns, window) for line in rows]
+        assert uses == Counter(k for x in covers for _, k, _ in x)
+        assert +skips == +sum((Counter({k: s}) for x in covers for _, k, s in x), Counter())
+        assert pairs == Counter((a[1], b[1]) for x in covers for a, b in zip(x, x[1:], strict=False))
+        want = Counter(), Counter()
+        for line in rows:
+            beside = Counter()
+            for i, k, s in baselines.cover(line, [(1, 2)], window):
+                if k == 0:
+                    beside.update(set(line[i + 2 + s : i + window]))
+                    beside.subtract(set(line[max(0, i + 2 + s - window) : i]))
+            for e, x in beside.items():
+                if x and e not in (1, 2):
+                    want[0][e] += 1
+                    want[1][e] += x > 0
+        assert n == want[0] and +wins == +want[1]
