@@ -49,9 +49,10 @@ def test_covers_in_arrays_equal_covers_of_each_sequence(monkeypatch):
     rows = [[rng.randrange(1, 6) for _ in range(rng.randrange(0, 60))] for _ in range(300)]
     patterns, window = [(3, 1, 2, 5), (2, 4, 1), (1, 2), (4, 3), (7, 1)], 9
     batch = pa.RecordBatch.from_arrays([pa.array([[0]] + rows, pa.list_(pa.int32()))], names=["line"]).slice(1)
-    for chunk in (1, 500, 1 << 18):
+    for chunk, flags in ((1, 1 << 22), (500, 0), (1 << 18, 0), (1 << 18, 1 << 22)):
         uses, skips, pairs, n, wins = Counter(), Counter(), Counter(), Counter(), Counter()
         monkeypatch.setattr(lines, "CHUNK", chunk)
+        monkeypatch.setattr(lines, "FLAGS", flags)
         for piece in lines.pieces(iter([batch])):
             for k, c, s in (got := lines.statistics(piece, patterns, window, True))[0]:
                 uses[k] += c
